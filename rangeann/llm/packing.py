@@ -43,7 +43,7 @@ def pieces(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id:
         for batch in batches:
             ids, texts = batch.column(0).cast(pa.int64()).to_pylist(), binary_column(batch, text_col)
             for a, b in slices(map(len, texts), SUB_BATCH_BYTES):
-                words = [t.split() for t in texts[a:b]]
+                words = [look.words(t) for t in texts[a:b]]
                 get = look.known(words).__getitem__
                 rows = []
                 for doc, w in zip(ids[a:b], words, strict=True):

@@ -15,11 +15,12 @@ other columns of the input are ignored, whatever their names; a null id stays nu
 
 from __future__ import annotations
 
+import json
 import os
-from array import array
 from collections import Counter
 from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,12 +28,16 @@ from pyspark.sql import functions as F
 from rangeann.llm.common import binary_column, slices
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
-CACHE_ENTRIES = 400_000  # of a worker's cache, then it starts anew from the frequent table
+CACHE_ENTRIES = 500_000  # of a worker's cache, then it starts anew from the frequent table
 SUB_BATCH_BYTES = 1 << 20
 TASK_TOP = 4_096  # pre-tokens that one task reports
 TASK_DISTINCT = 200_000  # pre-tokens that one task counts at a time
 
+GROUP = 256  # words encoded as one text
+MARKS = b".,;:!?"
+
 _TOKENIZERS: dict[int, object] = {}
+_ENDS: dict[int, tuple[np.ndarray | None, bool]] = {}
 _CACHES: dict[tuple, dict[bytes, object]] = {}
 
 
@@ -56,16 +61,63 @@ def tokenizer_of(vocabulary: str):
 
 
 class Lookup:
-    """Pre-token to value, by the frequent table, then the worker's cache, then the library."""
+    """Pre-token to value, by the frequent table, then the worker's cache, then the library.
+
+    A pre-token that no cache has is parted into a core and the marks behind it, which the
+    vocabulary never joins to a letter before them.  Cores of letters alone are one word each to
+    it, so many of them are encoded as one text, whose ids fall apart where a word ends.
+    """
 
     def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool):
         self.tokenizer, self.frequent, self.ids = tokenizer_of(vocabulary), frequent, ids
         self.cache = _CACHES.setdefault((hash(vocabulary), ids), {})
         self.cache.update(frequent)
+        self.ends, self.folds = word_ends(vocabulary)
+        self.empty = b"" if ids else 0
+
+    def words(self, text: bytes) -> list[bytes]:
+        """The pre-tokens, with A-Z folded where the vocabulary does so anyway."""
+        return (text.lower() if self.folds and b"<|" not in text else text).split()
+
+    def value(self, ids: np.ndarray) -> object:
+        return ids.tobytes() if self.ids else len(ids)
 
     def encode(self, keys: list[bytes]) -> list[object]:
-        found = self.tokenizer.encode_batch_fast([k.decode("utf-8", "replace") for k in keys], add_special_tokens=False)
-        return [array("I", e.ids).tobytes() for e in found] if self.ids else [len(e.ids) for e in found]
+        texts, found, rest = [k.decode("utf-8", "replace") for k in keys], [None] * len(keys), []
+        if self.ends is None:
+            rest = range(len(keys))
+        else:
+            alone = []
+            for i, t in enumerate(texts):
+                (alone if t.isalpha() else rest).append(i)
+            groups = [alone[i : i + GROUP] for i in range(0, len(alone), GROUP)]
+            joined = self.tokenizer.encode_batch_fast([" ".join(texts[i] for i in g) for g in groups], add_special_tokens=False)
+            for g, e in zip(groups, joined, strict=True):
+                ids = np.array(e.ids, np.uint32)
+                cuts = np.flatnonzero(self.ends[ids]) + 1
+                if len(cuts) != len(g):
+                    rest += g
+                    continue
+                at = 0
+                for i, cut in zip(g, cuts.tolist(), strict=True):
+                    found[i] = ids[at:cut].tobytes() if self.ids else cut - at
+                    at = cut
+        for i, e in zip(rest, self.tokenizer.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
+            found[i] = self.value(np.array(e.ids, np.uint32))
+        return found
+
+    def learn(self, missing: list[bytes], cache: dict[bytes, object]) -> None:
+        if self.ends is None:
+            cache.update(zip(missing, self.encode(missing), strict=True))
+            return
+        parts = []
+        for w in missing:
+            core = w.rstrip(MARKS)
+            parts.append((core, w[len(core) :]) if core[-1:].isalpha() else (w, b""))
+        fresh = list({p for both in parts for p in both if p and p not in cache})
+        cache.update(zip(fresh, self.encode(fresh), strict=True))
+        cache[b""] = self.empty
+        cache.update((w, cache[a] + cache[b]) for w, (a, b) in zip(missing, parts, strict=True))
 
     def known(self, words: list[list[bytes]]) -> dict[bytes, object]:
         """A dictionary that has every pre-token of ``words``."""
@@ -74,12 +126,31 @@ class Lookup:
             cache.clear()
             cache.update(self.frequent)
         missing = list({w for w in chain.from_iterable(words) if w not in cache})
-        short = [w for w in missing if len(w) <= MAX_KEY]
-        cache.update(zip(short, self.encode(short), strict=True))
-        if len(short) == len(missing):
-            return cache
+        self.learn([w for w in missing if len(w) <= MAX_KEY], cache)
         long = [w for w in missing if len(w) > MAX_KEY]
-        return _Chained(cache, dict(zip(long, self.encode(long), strict=True)))
+        return _Chained(cache, dict(zip(long, self.encode(long), strict=True))) if long else cache
+
+
+def word_ends(vocabulary: str) -> tuple[np.ndarray | None, bool]:
+    """Which ids end a word, if the vocabulary marks that and parts letters from marks; whether it folds A-Z.
+
+    Only for the pre-tokenizer of letters, single digits and marks over white space that the
+    vocabulary with word ends has; any other vocabulary is used pre-token by pre-token.
+    """
+    key = hash(vocabulary)
+    if key not in _ENDS:
+        v = json.loads(vocabulary)
+        steps, model = (v.get("pre_tokenizer") or {}).get("pretokenizers", [{}]), v["model"]
+        suffix = model.get("end_of_word_suffix")
+        split = json.dumps(steps[0].get("pattern", {}))
+        norm = [n.get("type") for n in (v.get("normalizer") or {}).get("normalizers", [])]
+        if suffix and norm == ["NFC", "Replace", "Lowercase"] and "[\\\\p{L}]+" in split and "[^\\\\s\\\\p{L}\\\\p{N}]+" in split:
+            ends = np.zeros(max([*model["vocab"].values(), *(t["id"] for t in v["added_tokens"])]) + 1, bool)
+            ends[[i for t, i in model["vocab"].items() if t.endswith(suffix)]] = True
+            _ENDS[key] = ends, True
+        else:
+            _ENDS[key] = None, False
+    return _ENDS[key]
 
 
 class _Chained(dict):
@@ -91,14 +162,14 @@ class _Chained(dict):
         return self.first[key]
 
 
-def frequent_pretokens(docs: DataFrame, text_col: str, table_size: int) -> list[bytes]:
+def frequent_pretokens(docs: DataFrame, text_col: str, table_size: int, folds: bool = False) -> list[bytes]:
     """The most frequent pre-tokens of all texts, by bounded counters in each task and one small sum."""
 
     def tops(batches):
         counts: Counter = Counter()
         for batch in batches:
             for data in binary_column(batch, text_col):
-                counts.update(data.split())
+                counts.update(data.lower().split() if folds and b"<|" not in data else data.split())
                 if len(counts) > TASK_DISTINCT:
                     counts = Counter(dict(counts.most_common(TASK_DISTINCT // 4)))
         top = [(k, n) for k, n in counts.most_common(TASK_TOP) if n > 1 and len(k) <= MAX_KEY]
@@ -112,7 +183,7 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id",
     """Rows ``id, n_bytes, n_tokens, over_limit`` for every row of ``docs``."""
     spark = docs.sparkSession
     vocabulary = read_vocabulary(vocabulary_path)
-    keys = frequent_pretokens(docs, text_col, table_size)
+    keys = frequent_pretokens(docs, text_col, table_size, word_ends(vocabulary)[1])
     lengths = dict(zip(keys, Lookup(vocabulary, {}, ids=False).encode(keys), strict=True))
     shared = spark.sparkContext.broadcast((vocabulary, lengths))  # a vocabulary file and a table of fixed size
 
@@ -122,7 +193,7 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id",
             texts = binary_column(batch, text_col)
             tokens: list[int] = []
             for a, b in slices(map(len, texts), SUB_BATCH_BYTES):
-                words = [t.split() for t in texts[a:b]]
+                words = [look.words(t) for t in texts[a:b]]
                 get = look.known(words).__getitem__
                 tokens += [sum(map(get, w)) for w in words]
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(map(len, texts), pa.int64()), pa.array(tokens, pa.int64()), pa.array([n > limit for n in tokens], pa.bool_())], names=[id_col, "n_bytes", "n_tokens", "over_limit"])
