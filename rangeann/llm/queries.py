@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from rangeann.llm import chat, decontamination, knn, packing, pii, quality, secrets, tokens, toxicity
+from rangeann.llm import chat, decontamination, jaccard, knn, packing, pii, quality, secrets, tokens, toxicity
 from rangeann.llm.common import table
 
 VOCABULARY = "word_bpe_49k.json"
@@ -20,6 +20,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.fit_on(docs, table(spark, sf_dir, "labels")), threshold=0.7)
 
 
+def op2_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return quality.score(docs, quality.fit_on(docs, table(spark, sf_dir, "labels")), threshold=0.3)
@@ -57,7 +61,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (op1_toxicity, op3_quality, op4_secrets, op5_chat, op6_token_counts, op7_decontamination, op8_top_k, op9_surrogates, op10_packing)
+    for f in (op1_toxicity, op2_jaccard_join, op3_quality, op4_secrets, op5_chat, op6_token_counts, op7_decontamination, op8_top_k, op9_surrogates, op10_packing)
 }
 
 _TURNS = r"""
@@ -93,4 +97,24 @@ SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DE
 FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) <= 20
 """
 
-ORACLE_SQL: dict[str, str] = {"op5_chat": _TURNS, "op8_top_k": _TOP_K}
+_JACCARD = """
+WITH w AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS w
+  FROM documents
+), s AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 OR w IS NULL THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+    ELSE list_distinct(list_transform(generate_series(1, len(w) - 4), lambda i: array_to_string(w[i:i + 4], ' '))) END AS s
+  FROM w
+), e AS (SELECT doc_id, len(s) AS n, unnest(s) AS g FROM s
+), o AS (SELECT a.doc_id AS a, b.doc_id AS b, any_value(a.n) AS na, any_value(b.n) AS nb, count(*) AS k FROM e a JOIN e b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2
+), l AS (SELECT a, b FROM o WHERE 100 * k >= 75 * (na + nb - k)
+), u AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l
+), r AS (
+  WITH RECURSIVE reach(x, y) AS (SELECT a, b FROM u UNION SELECT r.x, u.b FROM reach r JOIN u ON r.y = u.a)
+  SELECT x, min(y) AS y FROM reach GROUP BY x
+)
+SELECT s.doc_id, CAST(len(s) AS BIGINT) AS n_shingles, CAST(least(s.doc_id, coalesce(r.y, s.doc_id)) AS BIGINT) AS component_id
+FROM s LEFT JOIN r ON r.x = s.doc_id
+"""
+
+ORACLE_SQL: dict[str, str] = {"op2_jaccard_join": _JACCARD, "op5_chat": _TURNS, "op8_top_k": _TOP_K}
