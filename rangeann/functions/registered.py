@@ -1,7 +1,5 @@
 """SQL surface: functions, aggregates and table functions to register on a session."""
 
-from __future__ import annotations
-
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
@@ -11,23 +9,24 @@ from pyspark.sql import types as T
 from rangeann.functions.predicates import ATOMS
 from rangeann.functions.tree import cover
 
+NODE = T.StructType([T.StructField("node", T.IntegerType())])
 _ATOM_SQL = {1: "l <= lq AND lq <= r AND r <= rq", 2: "l <= lq AND rq <= r", 3: "lq <= l AND l <= rq AND rq <= r", 4: "lq <= l AND r <= rq"}
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def l2_np(a: pd.Series, b: pd.Series) -> pd.Series:
     """Euclidean distance by numpy, to compare with the column form."""
     return pd.Series([float(np.sqrt(((np.asarray(x, float) - np.asarray(y, float)) ** 2).sum())) for x, y in zip(a, b, strict=True)])
 
 
-@F.pandas_udf("array<long>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def topk_ids(ids: pd.Series, dist: pd.Series) -> list:
     """The ten nearest ids of a group."""
     order = np.lexsort((ids.to_numpy(), dist.to_numpy()))[:10]
     return ids.to_numpy()[order].tolist()
 
 
-@F.udtf(returnType="node int")
+@F.udtf(returnType=NODE)
 class TreePath:
     """The nodes above a rank, root first."""
 
@@ -36,7 +35,7 @@ class TreePath:
             yield ((1 << j) | ((rank - 1) >> (height - j)),)
 
 
-@F.udtf(returnType="node int")
+@F.udtf(returnType=NODE)
 class TreeCover:
     """The least set of nodes of a rank interval."""
 
@@ -55,5 +54,3 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("tree_path", TreePath)
     spark.udtf.register("tree_cover", TreeCover)
 
-
-NODE = T.StructType([T.StructField("node", T.IntegerType())])

@@ -54,21 +54,23 @@ def cover(low: int, high: int, height: int) -> list[int]:
 def cover_nodes(low: Column, high: Column, height: int) -> Column:
     """``cover`` as a column: at each level up to two nodes, those whose parent is not inside."""
     zero_low, zero_high = F.greatest(low.cast("int"), F.lit(1)) - 1, F.least(high.cast("int"), F.lit(1 << height)) - 1
-    parts = []
-    for level in range(height + 1):
+    none = F.array().cast("array<int>")
+
+    def whole(level: int) -> tuple[Column, Column]:
+        """First and last node of a level that lie inside, by their place in the level."""
         width = 1 << (height - level)
-        first = F.floor((zero_low + (width - 1)) / width).cast("int")  # whole nodes of this level inside
-        last = F.floor((zero_high + 1) / width).cast("int") - 1
-        up_first = F.floor((zero_low + (2 * width - 1)) / (2 * width)).cast("int") if level else None
-        up_last = F.floor((zero_high + 1) / (2 * width)).cast("int") - 1 if level else None
-        inside = first <= last
+        return F.floor((zero_low + (width - 1)) / width).cast("int"), F.floor((zero_high + 1) / width).cast("int") - 1
+
+    def chosen(level: int) -> Column:
+        first, last = whole(level)
         if not level:
-            parts.append(F.when(inside, F.array(F.lit(1))).otherwise(F.array().cast("array<int>")))
-            continue
-        parent_has = lambda i, a=up_first, b=up_last: (a <= b) & (F.floor(i / 2).cast("int") >= a) & (F.floor(i / 2).cast("int") <= b)
-        both = F.array_distinct(F.array(first, last))
-        parts.append(F.when(inside, F.transform(F.filter(both, lambda i, p=parent_has: ~p(i)), lambda i, n=1 << level: (i + F.lit(n)).cast("int"))).otherwise(F.array().cast("array<int>")))
-    return F.when(zero_low <= zero_high, F.concat(*parts)).otherwise(F.array().cast("array<int>"))
+            return F.when(first <= last, F.array(F.lit(1))).otherwise(none)
+        up_first, up_last = whole(level - 1)
+        ends = F.array_distinct(F.array(first, last))
+        alone = F.filter(ends, lambda i: (up_first > up_last) | (F.floor(i / 2) < up_first) | (F.floor(i / 2) > up_last))
+        return F.when(first <= last, F.transform(alone, lambda i: (i + F.lit(1 << level)).cast("int"))).otherwise(none)
+
+    return F.when(zero_low <= zero_high, F.concat(*[chosen(j) for j in range(height + 1)])).otherwise(none)
 
 
 def levels_of(keys: np.ndarray, nodes: list[int], height: int) -> np.ndarray:

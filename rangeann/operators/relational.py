@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from rangeann.functions.predicates import mask_expr
 from rangeann.functions.tree import cover_nodes, height_of, path_nodes
+from rangeann.sources.storage import staged
 
 
 def node_join(points: DataFrame, intervals: DataFrame, point: str, low: str, high: str, height: int) -> DataFrame:
@@ -51,8 +52,8 @@ def as_of(asked: DataFrame, recorded: DataFrame, key: str, value: str, groups: i
     range begins with the last value of those before it, of which there is one a range.
     """
     both = asked.withColumn(value, F.lit(None).cast(dict(recorded.dtypes)[value])).withColumn("side", F.lit(1)).unionByName(recorded.select(key, value).withColumn("side", F.lit(0)), allowMissingColumns=True)
-    dealt = both.repartitionByRange(groups, key).withColumn("range", F.spark_partition_id())
-    last = dealt.where("side = 0").groupBy("range").agg(F.max_by(value, key).alias("carry")).withColumn("range", F.col("range"))
+    dealt = staged(both.repartitionByRange(groups, key).withColumn("range", F.spark_partition_id()), "as-of")
+    last = dealt.where("side = 0").groupBy("range").agg(F.max_by(value, key).alias("carry"))
     carried = dealt.select("range").distinct().join(last, "range", "left").withColumn("carry", F.last("carry", ignorenulls=True).over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)))
     w = Window.partitionBy("range").orderBy(key, "side").rowsBetween(Window.unboundedPreceding, 0)
     filled = dealt.withColumn(value, F.last(value, ignorenulls=True).over(w)).where("side = 1").join(F.broadcast(carried), "range")

@@ -24,9 +24,12 @@ def stream_events(spark: SparkSession, path: str, schema: T.StructType = EVENTS,
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_at_once).parquet(path).withColumn("at", F.col("ts").cast("timestamp"))
 
 
-def session_objects(events: DataFrame, gap: str = "6 hours", late: str = "1 day") -> DataFrame:
-    """Sessions of a user as objects: l and r are the first and last event (the window's own end is a gap later)."""
-    if events.isStreaming:
+def session_objects(events: DataFrame, gap: str = "6 hours", late: str | None = "1 day") -> DataFrame:
+    """Sessions of a user as objects: l and r are the first and last event (the window's own end is a gap later).
+
+    ``late`` is None for a stream that has its watermark already.
+    """
+    if events.isStreaming and late:
         events = events.withWatermark("at", late)
     return events.groupBy("user_id", F.session_window("at", gap)).agg(F.min("at").alias("l"), F.max("at").alias("r"), F.count("*").alias("n")).drop("session_window")
 
