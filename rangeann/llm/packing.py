@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from rangeann.llm.common import binary_column, slices, staged
 from rangeann.llm.tokens import SUB_BATCH_BYTES, Lookup, read_vocabulary
 
-ROWS_PER_SALT = 250_000
+ROWS_PER_SALT = 4_096
 PIECES = "piece int, start long, length long, ids_crc32 long"
 
 

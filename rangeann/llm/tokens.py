@@ -28,7 +28,8 @@ from pyspark.sql import functions as F
 from rangeann.llm.common import binary_column, slices
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
-CACHE_ENTRIES = 500_000  # of a worker's cache, then it starts anew from the frequent table
+CACHE_ENTRIES = 600_000  # of a worker's cache, then it starts anew from the frequent table
+CORE_ENTRIES = 800_000  # of its cache of words without marks
 SUB_BATCH_BYTES = 1 << 20
 TASK_TOP = 4_096  # pre-tokens that one task reports
 TASK_DISTINCT = 200_000  # pre-tokens that one task counts at a time
@@ -38,7 +39,7 @@ MARKS = b".,;:!?"
 
 _TOKENIZERS: dict[int, object] = {}
 _ENDS: dict[int, tuple[np.ndarray | None, bool]] = {}
-_CACHES: dict[tuple, dict[bytes, object]] = {}
+_CACHES: dict[tuple, tuple[dict[bytes, object], dict[bytes, object]]] = {}
 
 
 def read_vocabulary(path: str) -> str:
@@ -70,7 +71,7 @@ class Lookup:
 
     def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool):
         self.tokenizer, self.frequent, self.ids = tokenizer_of(vocabulary), frequent, ids
-        self.cache = _CACHES.setdefault((hash(vocabulary), ids), {})
+        self.cache, self.cores = _CACHES.setdefault((hash(vocabulary), ids), ({}, {}))
         self.cache.update(frequent)
         self.ends, self.folds = word_ends(vocabulary)
         self.empty = b"" if ids else 0
@@ -114,10 +115,13 @@ class Lookup:
         for w in missing:
             core = w.rstrip(MARKS)
             parts.append((core, w[len(core) :]) if core[-1:].isalpha() else (w, b""))
-        fresh = list({p for both in parts for p in both if p and p not in cache})
-        cache.update(zip(fresh, self.encode(fresh), strict=True))
-        cache[b""] = self.empty
-        cache.update((w, cache[a] + cache[b]) for w, (a, b) in zip(missing, parts, strict=True))
+        cores = self.cores
+        if len(cores) > CORE_ENTRIES:
+            cores.clear()
+        cores[b""] = self.empty
+        fresh = list({p for both in parts for p in both if p not in cores})
+        cores.update(zip(fresh, self.encode(fresh), strict=True))
+        cache.update((w, cores[a] + cores[b]) for w, (a, b) in zip(missing, parts, strict=True))
 
     def known(self, words: list[list[bytes]]) -> dict[bytes, object]:
         """A dictionary that has every pre-token of ``words``."""
