@@ -103,27 +103,28 @@ def compressor(content: bytes):
     return zs.ZstdCompressor(compression_params=plan, dict_data=zs.ZstdCompressionDict(content, dict_type=zs.DICT_TYPE_RAWCONTENT))
 
 
-def parts(word: bytes) -> list[bytes]:
+def parts(word: bytes, lengths: Iterable[int] = range(SHORTEST, LONGEST + 1)) -> Iterable[bytes]:
     w = b" " + word.strip(EDGE) + b" "
-    return [w[i : i + n] for n in range(SHORTEST, LONGEST + 1) for i in range(len(w) - n + 1)] if len(w) <= WINDOW else []
+    return (w[i : i + n] for n in lengths for i in range(len(w) - n + 1)) if len(w) <= WINDOW else ()
 
 
 def toxic_segments(toxic: list[set[bytes]], ordinary: list[set[bytes]]) -> list[bytes]:
     """Word parts that mark toxic documents, chosen to cover each of them ``COVERS`` times."""
-    of_word: dict[bytes, list[bytes]] = {w: parts(w) for d in toxic for w in d}
-    held = [{p for w in d for p in of_word[w]} for d in toxic]
     n1, n0 = len(toxic), len(ordinary)
-    seen1 = Counter(p for d in held for p in d)
-    likely = {p for p, n in seen1.items() if n >= max(3, 0.01 * n1)}
-    in_word: dict[bytes, list[bytes]] = {}
-    seen0: Counter = Counter()
-    for d in ordinary:
-        found = set()
+    seen1: dict[bytes, int] = {}
+    for length in range(SHORTEST, LONGEST + 1):  # one length at a time, for the driver's memory
+        count = Counter(p for d in toxic for p in {p for w in d for p in parts(w, (length,))})
+        seen1.update((p, n) for p, n in count.items() if n >= max(3, 0.01 * n1))
+    in_word: dict[bytes, tuple[bytes, ...]] = {}
+
+    def likely(d: set[bytes]) -> set[bytes]:
         for w in d:
             if w not in in_word:
-                in_word[w] = [p for p in parts(w) if p in likely]
-            found.update(in_word[w])
-        seen0.update(found)
+                in_word[w] = tuple(p for p in parts(w) if p in seen1)
+        return {p for w in d for p in in_word[w]}
+
+    held = [likely(d) for d in toxic]
+    seen0 = Counter(p for d in ordinary for p in likely(d))
 
     def marks(p: bytes) -> bool:
         a, b = seen1[p], seen0[p]
@@ -132,7 +133,7 @@ def toxic_segments(toxic: list[set[bytes]], ordinary: list[set[bytes]]) -> list[
         e1, e0 = (a + b) * n1 / (n1 + n0), (a + b) * n0 / (n1 + n0)
         return 2 * (a * math.log(a / e1) + (b * math.log(b / e0) if b else 0)) >= SIGNIFICANT
 
-    good = {p for p in likely if marks(p)}
+    good = {p for p in seen1 if marks(p)}
     docs = [[d & good, COVERS] for d in held]
     left, chosen = Counter(p for d, _ in docs for p in d), []
     while left and sum(map(len, chosen)) < TOXIC_BYTES:
