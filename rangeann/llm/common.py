@@ -8,7 +8,6 @@ from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -57,5 +56,13 @@ def slices(sizes: Iterable[int], most: int) -> Iterator[tuple[int, int]]:
         yield start, i
 
 
-def hex_ids(df: DataFrame, column: str = "doc_id") -> DataFrame:
-    return df.withColumn("id_text", F.col(column).cast("string"))
+_HELD: dict[str, tuple[dict, ...]] = {}
+
+
+def claim(owner: str, *caches: dict) -> None:
+    """Names a worker's caches and empties those of other operators: a worker, which outlives its tasks, holds one operator's at a time."""
+    for other, held in _HELD.items():
+        if other != owner:
+            for c in held:
+                c.clear()
+    _HELD[owner] = caches

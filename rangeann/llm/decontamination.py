@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column, slices
+from rangeann.llm.common import binary_column, claim, slices
 
 #: Fixed masks: eight of twelve words count.
 MASKS = ("110110010111", "101101100111", "111011010011")
@@ -146,6 +146,7 @@ def blocks(benchmark: DataFrame, id_col: str, text_col: str) -> list:
 
 
 def seeds_of(items: list[tuple[int, bytes]]) -> Seeds:
+    claim("decontamination", _SEEDS)
     key = hash(tuple(items))
     if key not in _SEEDS:
         _SEEDS.clear()

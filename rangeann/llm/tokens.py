@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column, slices
+from rangeann.llm.common import binary_column, claim, slices
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
 CACHE_ENTRIES = 600_000  # of a worker's cache, then it starts anew from the frequent table
@@ -72,6 +72,7 @@ class Lookup:
     def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool):
         self.tokenizer, self.frequent, self.ids = tokenizer_of(vocabulary), frequent, ids
         self.cache, self.cores = _CACHES.setdefault((hash(vocabulary), ids), ({}, {}))
+        claim("tokens", *(c for both in _CACHES.values() for c in both))
         self.cache.update(frequent)
         self.ends, self.folds = word_ends(vocabulary)
         self.empty = b"" if ids else 0

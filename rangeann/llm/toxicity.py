@@ -33,7 +33,7 @@ import zstandard as zs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column
+from rangeann.llm.common import binary_column, claim
 from rangeann.llm.labelled import labelled_sample, remainder
 
 SAMPLE = {1: 1_000, 0: 2_000}  # documents of each class that the fit may read
@@ -198,6 +198,7 @@ def fit(sample: list[tuple[bytes, int]], counts: dict[int, int]) -> Model:
 
 
 def scorer_of(model: Model) -> Scorer:
+    claim("toxicity", _SCORERS)
     key = hash((model.toxic, model.ordinary, model.curve, model.constant))
     if key not in _SCORERS:
         _SCORERS.clear()
