@@ -38,12 +38,14 @@ from rangeann.llm.labelled import labelled_sample, remainder
 
 SAMPLE = {1: 1_000, 0: 2_000}  # documents of each class that the fit may read
 WINDOW = 48
-EDGE = b".,;:!?\"'()|[]{}<>*_"
+EDGE = b".,;:!?\"'()|[]{}<>*_#$%&@~^=+-/\\"
 BASE_BYTES, TOXIC_BYTES = 16_384, 4_096
 SHORTEST, LONGEST = 5, 12  # bytes of a segment, with the word's edges
 RATIO, SIGNIFICANT, COVERS = 8.0, 20.0, 5
 BEFORE, AFTER = b"\x01\x02\x03\x04carrier block before every window\x05", b"\x06block after every window\x07"
 TOP = 3
+REACH = 8.0
+FEW = 4.0
 CACHE_ENTRIES = 400_000
 
 _SCORERS: dict[int, Scorer] = {}
@@ -51,7 +53,7 @@ _SCORERS: dict[int, Scorer] = {}
 
 def windows(data: bytes) -> set[bytes]:
     """The distinct words in lower case; long ones in parts."""
-    found = set(data.lower().split())
+    found = set((data.lower() if data.isascii() else data.decode("utf-8", "replace").lower().encode()).split())
     if any(len(w) > WINDOW for w in found):
         found = {w[i : i + WINDOW] for w in found for i in range(0, len(w), WINDOW)}
     return found
@@ -61,8 +63,10 @@ def windows(data: bytes) -> set[bytes]:
 class Model:
     toxic: bytes = b""
     ordinary: bytes = b""
-    weights: dict[tuple[int, int], float] = field(default_factory=dict)
-    curve: tuple[float, ...] = (0.0,) * (TOP + 1)
+    weights: dict[tuple[int, int], float] = field(default_factory=dict)  # of a document that has such a window
+    rates: dict[tuple[int, int], float] = field(default_factory=dict)  # of each such window
+    plain: float = 0.0  # of each window without a rate
+    curve: tuple[float, ...] = (0.0,) * (TOP + 2)
     constant: float | None = None  # the score where nothing could be learnt
 
 
@@ -78,18 +82,23 @@ class Scorer:
         framed = BEFORE + b" " + core + b" " + AFTER
         return len(self.on_ordinary.compress(framed)) - len(self.on_toxic.compress(framed)), min(len(core), 16)
 
-    def weight(self, word: bytes) -> float:
-        w = self.cache.get(word)
-        if w is None:
+    def key(self, word: bytes) -> tuple[int, int] | None:
+        """The window's gain and length, None where they tell nothing."""
+        k = self.cache.get(word, 0)
+        if k == 0:
             if len(self.cache) > CACHE_ENTRIES:
                 self.cache.clear()
-            w = self.cache[word] = self.model.weights.get(self.gain(word), 0.0)
-        return w
+            k = self.gain(word)
+            k = self.cache[word] = k if k in self.model.rates else None
+        return k
 
     def features(self, data: bytes) -> list[float]:
-        """The largest weights of the text's windows, falling."""
-        got = sorted((w for w in map(self.weight, windows(data)) if w > 0), reverse=True)[:TOP]
-        return got + [0.0] * (TOP - len(got))
+        """The largest weights of the text's windows, falling, and the sum of all windows' rates within ``REACH``."""
+        m, found = self.model, windows(data)
+        keys = [k for k in map(self.key, found) if k is not None]
+        top = sorted((m.weights.get(k, 0.0) for k in keys), reverse=True)[:TOP]
+        total = sum(m.rates[k] for k in keys) + (len(found) - len(keys)) * m.plain
+        return top + [0.0] * (TOP - len(top)) + [max(-REACH, min(REACH, total))]
 
     def score(self, data: bytes) -> float:
         if self.model.constant is not None:
@@ -151,6 +160,20 @@ def toxic_segments(toxic: list[set[bytes]], ordinary: list[set[bytes]]) -> list[
     return chosen
 
 
+def apart(docs: list[set[bytes]]) -> list[set[bytes]]:
+    """Without documents that share half of their longer words with an earlier one: copies would pass for evidence."""
+    kept: list[set[bytes]] = []
+    holders: dict[bytes, list[int]] = {}
+    for d in docs:
+        long = [w for w in d if len(w) >= 8] or list(d)
+        shared = Counter(i for w in long for i in holders.get(w, ()))
+        if not shared or 2 * max(shared.values()) < len(long):
+            for w in long:
+                holders.setdefault(w, []).append(len(kept))
+            kept.append(d)
+    return kept
+
+
 def trained(texts: list[set[bytes]], most: int) -> bytes:
     """Content of a dictionary that zstandard trains on the texts' words; their plain join if there are too few."""
     samples = [b" ".join(sorted(d))[:4_000] for d in texts if d]
@@ -165,6 +188,7 @@ def fit(sample: list[tuple[bytes, int]], counts: dict[int, int]) -> Model:
     total = sum(counts.values())
     if not ones or not zeros:
         return Model(constant=counts.get(1, 0) / total if total else 0.0)
+    ones, zeros = apart(ones), apart(zeros)
     segments = b"\n".join(reversed(toxic_segments(ones, zeros)))
     base = trained(zeros, BASE_BYTES)
     fill = trained(zeros[::2], BASE_BYTES // 2)
@@ -172,27 +196,39 @@ def fit(sample: list[tuple[bytes, int]], counts: dict[int, int]) -> Model:
     model = Model(base + segments + BEFORE + AFTER, base + fill + BEFORE + AFTER)
     scorer = Scorer(model)
     keys: dict[bytes, tuple[int, int]] = {}
-    seen = {1: Counter(), 0: Counter()}
+    seen, every = {1: Counter(), 0: Counter()}, {1: Counter(), 0: Counter()}
     for k, docs in ((1, ones), (0, zeros)):
         for d in docs:
             for w in d:
                 if w not in keys:
                     keys[w] = scorer.gain(w)
             seen[k].update({keys[w] for w in d})
-    for key in seen[1]:
+            every[k].update(keys[w] for w in d)
+    n1, n0 = (sum(every[k].values()) for k in (1, 0))
+    share = n1 / (n1 + n0)
+    for key in every[1] | every[0]:
+        if key[0] < 1:
+            continue
+        # rates are drawn to one another by FEW windows' worth of evidence
+        both = every[1][key] + every[0][key]
+        rate = math.log((every[1][key] + FEW * share) / (both + FEW) / share) - math.log((every[0][key] + FEW * (1 - share)) / (both + FEW) / (1 - share))
+        model.rates[key] = max(-2.0, min(4.0, rate))
         weight = math.log((seen[1][key] + 0.5) / (len(ones) + 1)) - math.log((seen[0][key] + 0.5) / (len(zeros) + 1))
-        if key[0] >= 2 and weight > 1:
+        if key[0] >= 2 and weight > 1 and seen[1][key] >= 3:
             model.weights[key] = weight
+    rest = {k: sum(n for key, n in every[k].items() if key not in model.rates) for k in (1, 0)}
+    model.plain = math.log((rest[1] + 1) / (n1 + 1)) - math.log((rest[0] + 1) / (n0 + 1))
     scorer = Scorer(model)
     x = np.array([scorer.features(t) + [1.0] for t, _ in sample])
     y = np.array([c for _, c in sample], float)
-    b = np.zeros(TOP + 1)
+    slopes = TOP + 1
+    b = np.zeros(slopes + 1)
     for _ in range(40):  # Newton's steps, with a small ridge
         p = 1 / (1 + np.exp(-np.clip(x @ b, -50, 50)))
-        ridge = np.diag([1e-1] * TOP + [1e-3])
+        ridge = np.diag([1e-1] * slopes + [1e-3])
         b = b + np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + ridge, x.T @ (y - p) - ridge @ b)
-    b[:TOP] = np.maximum(b[:TOP], 0)
-    b[TOP] += math.log(max(counts[1], 1) / max(counts[0], 1)) - math.log(len(ones) / len(zeros))
+    b[:slopes] = np.maximum(b[:slopes], 0)
+    b[slopes] += math.log(max(counts[1], 1) / max(counts[0], 1)) - math.log(len(ones) / len(zeros))
     model.curve = tuple(map(float, b))
     return model
 
