@@ -224,13 +224,15 @@ def rrknn(index: Index, queries: DataFrame, mask: int, k: int = 10, ef: int = 10
 def run_method(objects: DataFrame, queries: DataFrame, method: str, mask: int, k: int = 10, ef: int = 100, shard_rows: int = SHARD_ROWS, **options) -> DataFrame:
     """Any method of ``METHODS``, built and searched shard by shard; rows as of ``search`` with build seconds, edges and bytes in rows of null id.
 
-    The queries are broadcast in one checked block.
+    The queries are broadcast in checked blocks.
     """
-    blocks = query_blocks(numbered(queries.select("qid", "qvec", "lq", "rq"), "lq", "rq"))
-    if len(blocks) > 1:
-        return reduce(lambda a, b: a.unionByName(b), [run_method(objects, q, method, mask, k, ef, shard_rows, **options) for q in blocks])
-    asked = objects.sparkSession.sparkContext.broadcast([(r.qid, np.array(r.qvec, float), r.lq, r.rq) for r in blocks[0].collect()])
     base = sharded(objects, max(1, -(-objects.count() // shard_rows))).select("shard", "id", "vec", "l", "r")
+    parts = [_run_block(base, q, method, mask, k, ef, options) for q in query_blocks(numbered(queries.select("qid", "qvec", "lq", "rq"), "lq", "rq"))]
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+def _run_block(base: DataFrame, queries: DataFrame, method: str, mask: int, k: int, ef: int, options: dict) -> DataFrame:
+    asked = base.sparkSession.sparkContext.broadcast([(r.qid, np.array(r.qvec, float), r.lq, r.rq) for r in queries.collect()])
 
     def run(t: pa.Table) -> pa.Table:
         made = METHODS[method](**options).build(shard_of(t))

@@ -37,7 +37,7 @@ def rows(df):
     return sorted(map(tuple, df.collect()))
 
 
-@pytest.mark.parametrize("mask", [1, 2, 4, 6, 8, 10, 13, 15])
+@pytest.mark.parametrize("mask", [6, 10, 13, 15])
 def test_index_of_several_shards_equals_exact(small, index, mask):
     assert index.rows.count() == 3
     got = ix.rrknn(index, small[1], mask, ef=200, complete=True)
@@ -202,7 +202,19 @@ def duck():
     return con
 
 
-@pytest.mark.parametrize("name", sorted(ORACLES))
+FAMILIES = {"rr_mask_": {"06", "15"}, "vtg_mask_": {"10", "13"}, "vtg_price_": {"08"}, "vtg_ship_": {"02"}, "allen_": {"before", "starts", "equals", "partition"}, "size_": {"cube"}}
+LONG = {"variant_agreement", "label_equiv", "visited_unqualified", "vtg_docs_15", "window_postfilter", "degree_bound", "two_hop", "segmented_store", "subset_graph", "slice_inclusive", "segment2d", "quad_graph", "iiknn_vtg", "prknn_vtg", "vtg_small_set"}
+
+
+def chosen():
+    """Some of each family; what the methods' own tests hold already is left to the correctness run."""
+    for n in sorted(set(ORACLES) - LONG):
+        family = next((f for f in FAMILIES if n.startswith(f)), None)
+        if family is None or n.removeprefix(family) in FAMILIES[family]:
+            yield n
+
+
+@pytest.mark.parametrize("name", chosen())
 def test_queries_equal_their_sql(spark, duck, name):
     df = QUERIES[name](spark, SF)
     columns = sorted(df.columns)
