@@ -214,7 +214,7 @@ def chosen():
             yield n
 
 
-@pytest.mark.parametrize("name", chosen())
+@pytest.mark.parametrize("name", list(chosen()))
 def test_queries_equal_their_sql(spark, duck, name):
     df = QUERIES[name](spark, SF)
     columns = sorted(df.columns)
