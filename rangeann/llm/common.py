@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -56,13 +59,29 @@ def slices(sizes: Iterable[int], most: int) -> Iterator[tuple[int, int]]:
         yield start, i
 
 
+def text_slices(batch: pa.RecordBatch, name: str, most: int) -> Iterator[tuple[int, int, list[bytes]]]:
+    """A string column as UTF-8 bytes, some ``most`` bytes at a time, so that only those are held as objects."""
+    column = batch.column(batch.schema.get_field_index(name)).cast(pa.binary())
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_pylist()
+    for a, b in slices(sizes, most):
+        yield a, b, [b"" if x is None else x for x in column.slice(a, b - a).to_pylist()]
+
+
 _HELD: dict[str, tuple[dict, ...]] = {}
 
 
 def claim(owner: str, *caches: dict) -> None:
-    """Names a worker's caches and empties those of other operators: a worker, which outlives its tasks, holds one operator's at a time."""
+    """Names a worker's caches and empties those of other operators: a worker, which outlives its tasks, holds one operator's at a time.
+
+    What is free goes back to the system, where the C library can do that.
+    """
     for other, held in _HELD.items():
         if other != owner:
             for c in held:
                 c.clear()
     _HELD[owner] = caches
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)

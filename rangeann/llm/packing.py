@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column, slices, staged
+from rangeann.llm.common import staged, text_slices
 from rangeann.llm.tokens import SUB_BATCH_BYTES, Lookup, read_vocabulary
 
 ROWS_PER_SALT = 4_096
@@ -41,9 +41,9 @@ def pieces(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id:
     def cut(batches):
         look = Lookup(vocabulary.value, {}, ids=True)
         for batch in batches:
-            ids, texts = batch.column(0).cast(pa.int64()).to_pylist(), binary_column(batch, text_col)
-            for a, b in slices(map(len, texts), SUB_BATCH_BYTES):
-                words = [look.words(t) for t in texts[a:b]]
+            ids = batch.column(0).cast(pa.int64()).to_pylist()
+            for a, b, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
+                words = [look.words(t) for t in texts]
                 get = look.known(words).__getitem__
                 rows = []
                 for doc, w in zip(ids[a:b], words, strict=True):

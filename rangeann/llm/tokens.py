@@ -25,11 +25,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column, claim, slices
+from rangeann.llm.common import claim, text_slices
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
-CACHE_ENTRIES = 600_000  # of a worker's cache, then it starts anew from the frequent table
-CORE_ENTRIES = 800_000  # of its cache of words without marks
+CACHE_ENTRIES = 300_000  # of a worker's cache, then it starts anew from the frequent table
+CORE_ENTRIES = 400_000  # of its cache of words without marks
 SUB_BATCH_BYTES = 1 << 20
 TASK_TOP = 4_096  # pre-tokens that one task reports
 TASK_DISTINCT = 200_000  # pre-tokens that one task counts at a time
@@ -173,7 +173,7 @@ def frequent_pretokens(docs: DataFrame, text_col: str, table_size: int, folds: b
     def tops(batches):
         counts: Counter = Counter()
         for batch in batches:
-            for data in binary_column(batch, text_col):
+            for data in (t for _, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES) for t in texts):
                 counts.update(data.lower().split() if folds and b"<|" not in data else data.split())
                 if len(counts) > TASK_DISTINCT:
                     counts = Counter(dict(counts.most_common(TASK_DISTINCT // 4)))
@@ -195,12 +195,13 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id",
     def count(batches):
         look = Lookup(*shared.value, ids=False)
         for batch in batches:
-            texts = binary_column(batch, text_col)
             tokens: list[int] = []
-            for a, b in slices(map(len, texts), SUB_BATCH_BYTES):
-                words = [look.words(t) for t in texts[a:b]]
+            sizes: list[int] = []
+            for _, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
+                words = [look.words(t) for t in texts]
                 get = look.known(words).__getitem__
                 tokens += [sum(map(get, w)) for w in words]
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(map(len, texts), pa.int64()), pa.array(tokens, pa.int64()), pa.array([n > limit for n in tokens], pa.bool_())], names=[id_col, "n_bytes", "n_tokens", "over_limit"])
+                sizes += map(len, texts)
+            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(tokens, pa.int64()), pa.array([n > limit for n in tokens], pa.bool_())], names=[id_col, "n_bytes", "n_tokens", "over_limit"])
 
     return docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(count, f"`{id_col}` long, n_bytes long, n_tokens long, over_limit boolean")
