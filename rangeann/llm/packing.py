@@ -43,11 +43,9 @@ def pieces(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id:
         for batch in batches:
             ids = batch.column(0).cast(pa.int64()).to_pylist()
             for a, b, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
-                words = [look.words(t) for t in texts]
-                get = look.known(words).__getitem__
                 rows = []
-                for doc, w in zip(ids[a:b], words, strict=True):
-                    data = b"".join([*map(get, w), end])
+                for doc, own in zip(ids[a:b], look.values([look.words(t) for t in texts]), strict=True):
+                    data = b"".join([*own, end])
                     for k, at in enumerate(range(0, len(data), width)):
                         part = data[at : at + width]
                         rows.append((doc, k, at // 4, len(part) // 4, zlib.crc32(part), part))

@@ -18,6 +18,7 @@ from __future__ import annotations
 import json
 import os
 from collections import Counter
+from collections.abc import Iterator
 from itertools import chain
 
 import numpy as np
@@ -28,8 +29,8 @@ from pyspark.sql import functions as F
 from rangeann.llm.common import claim, text_slices
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
-CACHE_ENTRIES = 300_000  # of a worker's cache, then it starts anew from the frequent table
-CORE_ENTRIES = 400_000  # of its cache of words without marks
+CACHE_ENTRIES = 700_000  # of a worker's cache
+KEPT_KEY = 9  # bytes of a pre-token that stays when the cache is full
 SUB_BATCH_BYTES = 1 << 20
 TASK_TOP = 4_096  # pre-tokens that one task reports
 TASK_DISTINCT = 200_000  # pre-tokens that one task counts at a time
@@ -39,7 +40,7 @@ MARKS = b".,;:!?"
 
 _TOKENIZERS: dict[int, object] = {}
 _ENDS: dict[int, tuple[np.ndarray | None, bool]] = {}
-_CACHES: dict[tuple, tuple[dict[bytes, object], dict[bytes, object]]] = {}
+_CACHES: dict[tuple, dict[bytes, object]] = {}
 
 
 def read_vocabulary(path: str) -> str:
@@ -71,11 +72,10 @@ class Lookup:
 
     def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool):
         self.tokenizer, self.frequent, self.ids = tokenizer_of(vocabulary), frequent, ids
-        self.cache, self.cores = _CACHES.setdefault((hash(vocabulary), ids), ({}, {}))
-        claim("tokens", *(c for both in _CACHES.values() for c in both))
+        self.cache = _CACHES.setdefault((hash(vocabulary), ids), {})
+        claim("tokens", *_CACHES.values())
         self.cache.update(frequent)
         self.ends, self.folds = word_ends(vocabulary)
-        self.empty = b"" if ids else 0
 
     def words(self, text: bytes) -> list[bytes]:
         """The pre-tokens, with A-Z folded where the vocabulary does so anyway."""
@@ -96,14 +96,17 @@ class Lookup:
             joined = self.tokenizer.encode_batch_fast([" ".join(texts[i] for i in g) for g in groups], add_special_tokens=False)
             for g, e in zip(groups, joined, strict=True):
                 ids = np.array(e.ids, np.uint32)
-                cuts = np.flatnonzero(self.ends[ids]) + 1
+                cuts = (np.flatnonzero(self.ends[ids]) + 1).tolist()
                 if len(cuts) != len(g):
                     rest += g
                     continue
-                at = 0
-                for i, cut in zip(g, cuts.tolist(), strict=True):
-                    found[i] = ids[at:cut].tobytes() if self.ids else cut - at
-                    at = cut
+                if self.ids:
+                    data = ids.tobytes()
+                    for i, a, b in zip(g, [0, *cuts], cuts, strict=False):
+                        found[i] = data[4 * a : 4 * b]
+                else:
+                    for i, a, b in zip(g, [0, *cuts], cuts, strict=False):
+                        found[i] = b - a
         for i, e in zip(rest, self.tokenizer.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
             found[i] = self.value(np.array(e.ids, np.uint32))
         return found
@@ -112,28 +115,43 @@ class Lookup:
         if self.ends is None:
             cache.update(zip(missing, self.encode(missing), strict=True))
             return
+        marked = [w for w in missing if w[-1] in MARKS]
+        plain = [w for w in missing if w[-1] not in MARKS] if marked else missing
         parts = []
-        for w in missing:
+        for w in marked:
             core = w.rstrip(MARKS)
             parts.append((core, w[len(core) :]) if core[-1:].isalpha() else (w, b""))
-        cores = self.cores
-        if len(cores) > CORE_ENTRIES:
-            cores.clear()
-        cores[b""] = self.empty
-        fresh = list({p for both in parts for p in both if p not in cores})
-        cores.update(zip(fresh, self.encode(fresh), strict=True))
-        cache.update((w, cores[a] + cores[b]) for w, (a, b) in zip(missing, parts, strict=True))
-
-    def known(self, words: list[list[bytes]]) -> dict[bytes, object]:
-        """A dictionary that has every pre-token of ``words``."""
+        fresh = {p for both in parts for p in both if p and p not in cache}
+        fresh.update(plain)
+        keys = list(fresh)
+        cache.update(zip(keys, self.encode(keys), strict=True))
+        cache.update((w, cache[a] + cache[b]) for w, (a, b) in zip(marked, parts, strict=True) if b)
+
+    def values(self, words: list[list[bytes]]) -> Iterator[list[object]]:
+        """For each list of pre-tokens their values, each looked up once."""
         cache = self.cache
         if len(cache) > CACHE_ENTRIES:
+            # what is long is rare: it goes first
+            kept = {k: v for k, v in cache.items() if len(k) <= KEPT_KEY}
             cache.clear()
+            if len(kept) <= CACHE_ENTRIES // 2:
+                cache.update(kept)
             cache.update(self.frequent)
-        missing = list({w for w in chain.from_iterable(words) if w not in cache})
-        self.learn([w for w in missing if len(w) <= MAX_KEY], cache)
-        long = [w for w in missing if len(w) > MAX_KEY]
-        return _Chained(cache, dict(zip(long, self.encode(long), strict=True))) if long else cache
+        flat = list(chain.from_iterable(words))
+        got = list(map(cache.get, flat))
+        gaps = [i for i, v in enumerate(got) if v is None]
+        if gaps:
+            missing = {flat[i] for i in gaps}
+            self.learn([w for w in missing if len(w) <= MAX_KEY], cache)
+            long = [w for w in missing if len(w) > MAX_KEY]
+            alone = dict(zip(long, self.encode(long), strict=True))
+            for i in gaps:
+                w = flat[i]
+                got[i] = alone[w] if w in alone else cache[w]
+        at = 0
+        for w in words:
+            yield got[at : at + len(w)]
+            at += len(w)
 
 
 def word_ends(vocabulary: str) -> tuple[np.ndarray | None, bool]:
@@ -198,9 +216,7 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id",
             tokens: list[int] = []
             sizes: list[int] = []
             for _, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
-                words = [look.words(t) for t in texts]
-                get = look.known(words).__getitem__
-                tokens += [sum(map(get, w)) for w in words]
+                tokens += map(sum, look.values([look.words(t) for t in texts]))
                 sizes += map(len, texts)
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(tokens, pa.int64()), pa.array([n > limit for n in tokens], pa.bool_())], names=[id_col, "n_bytes", "n_tokens", "over_limit"])
 
