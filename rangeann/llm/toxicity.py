@@ -46,7 +46,7 @@ BEFORE, AFTER = b"\x01\x02\x03\x04carrier block before every window\x05", b"\x06
 TOP = 3
 REACH = 8.0
 FEW = 4.0
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 200_000
 
 _SCORERS: dict[int, Scorer] = {}
 
@@ -132,8 +132,9 @@ def toxic_segments(toxic: list[set[bytes]], ordinary: list[set[bytes]]) -> list[
                 in_word[w] = tuple(p for p in parts(w) if p in seen1)
         return {p for w in d for p in in_word[w]}
 
-    held = [likely(d) for d in toxic]
     seen0 = Counter(p for d in ordinary for p in likely(d))
+    for d in toxic:
+        likely(d)
 
     def marks(p: bytes) -> bool:
         a, b = seen1[p], seen0[p]
@@ -143,7 +144,8 @@ def toxic_segments(toxic: list[set[bytes]], ordinary: list[set[bytes]]) -> list[
         return 2 * (a * math.log(a / e1) + (b * math.log(b / e0) if b else 0)) >= SIGNIFICANT
 
     good = {p for p in seen1 if marks(p)}
-    docs = [[d & good, COVERS] for d in held]
+    of_word = {w: [p for p in found if p in good] for w, found in in_word.items() if found}
+    docs = [[{p for w in d for p in of_word.get(w, ())}, COVERS] for d in toxic]
     left, chosen = Counter(p for d, _ in docs for p in d), []
     while left and sum(map(len, chosen)) < TOXIC_BYTES:
         best = max(left, key=lambda p: (left[p] * len(p), p))
@@ -184,7 +186,8 @@ def trained(texts: list[set[bytes]], most: int) -> bytes:
 
 
 def fit(sample: list[tuple[bytes, int]], counts: dict[int, int]) -> Model:
-    ones, zeros = ([windows(t) for t, c in sample if c == k] for k in (1, 0))
+    same: dict[bytes, bytes] = {}  # equal words of all documents are one object
+    ones, zeros = ([{same.setdefault(w, w) for w in windows(t)} for t, c in sample if c == k] for k in (1, 0))
     total = sum(counts.values())
     if not ones or not zeros:
         return Model(constant=counts.get(1, 0) / total if total else 0.0)
