@@ -79,6 +79,15 @@ def test_every_way_of_splitting_gives_the_same(spark, docs, monkeypatch, small):
     assert result(jaccard.near_duplicates(df)) == naive(docs)
 
 
+@pytest.mark.parametrize("seed", [1])
+def test_hot_shingles_keep_their_names_in_many_parts(spark, monkeypatch, seed):
+    for name, value in {"HOT": 2, "FLUSH_KEYS": 300, "PART_KEYS": 200}.items():
+        monkeypatch.setattr(jaccard, name, value)
+    rows = corpus(seed, bases=6, copies=10)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert result(jaccard.near_duplicates(df)) == naive(rows)
+
+
 @pytest.mark.parametrize("seed", range(6))
 def test_regions_link_what_all_pairs_link(seed):
     rng = np.random.default_rng(seed)
