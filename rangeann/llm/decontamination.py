@@ -1,12 +1,14 @@
 """Benchmark decontamination by spaced seeds.
 
-A seed is a fixed mask over ``SPAN`` successive words: the words at its ones are hashed, those
+A seed is a fixed mask over four or five successive words: the words at its ones are hashed, those
 at its zeros may differ.  The hashes of every benchmark position form a table; a text's
 positions that meet it (a bit table first, then a search in the sorted hashes) are hits.  Around
 each hit the benchmark item and the text are compared word by word on that diagonal; the
 stretch with the best score, a match counting 1 and a substitution -2, is an overlap if it has
-``MATCHED`` equal words or, for a shorter item, four fifths of them.  Items shorter than a seed
-are sought whole, by a mask of their own length.
+``MATCHED`` equal words or, for a shorter item, four fifths of them.  No stretch that this rule accepts
+misses all three masks: up to its ``MATCHED``-th equal word its score is never negative, so it starts with one of
+a few thousand patterns of equal and other words, and a test tries them all.  Items of fewer than
+four words allow no substitution and are sought whole, by a mask of their own length.
 
 The benchmark is broadcast in blocks of at most ``BLOCK_WORDS`` words, however large it is;
 documents are read whole, in place: nothing is shuffled but the few overlaps found.
@@ -29,15 +31,15 @@ from pyspark.sql import functions as F
 
 from rangeann.llm.common import binary_column, claim, slices
 
-#: Fixed masks: eight of twelve words count.
-MASKS = ("110110010111", "101101100111", "111011010011")
-SPAN = 12
+#: Fixed masks: four words count.
+MASKS = ("1111", "11011", "11101")
+SHORTEST = 4
 MATCHED = 13
-SHORT_SHARE = 0.8
 BLOCK_WORDS = 2_000_000
 BITS = 22
 EDGE = b".,;:!?\"'()[]{}|*_"
 CACHE_ENTRIES = 400_000
+HITS = 500_000
 SUB_BATCH_BYTES = 2 << 20
 
 _FACTORS = np.random.default_rng(7).integers(1, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -60,12 +62,12 @@ class Seeds:
             if numbers:
                 self.ids.append(item)
                 self.texts.append(np.array(numbers, np.uint64))
-        short = {len(t) for t in self.texts if len(t) < SPAN}
-        self.masks = [np.flatnonzero([c == "1" for c in m]) for m in MASKS] + [np.arange(n) for n in sorted(short)]
-        spans = [SPAN] * len(MASKS) + sorted(short)
+        short = sorted({len(t) for t in self.texts if len(t) < SHORTEST})
+        self.masks = [np.flatnonzero([c == "1" for c in m]) for m in MASKS] + [np.arange(n) for n in short]
+        spans = [*map(len, MASKS), *short]
         self.tables = []
         for mask, span in zip(self.masks, spans, strict=True):
-            found = [(h, i, p) for i, t in enumerate(self.texts) if (len(t) == span if span < SPAN else len(t) >= span) for p, h in enumerate(hashes(t, mask, span))]
+            found = [(h, i, p) for i, t in enumerate(self.texts) if (len(t) == span if span < SHORTEST else len(t) >= max(span, SHORTEST)) for p, h in enumerate(hashes(t, mask, span))]
             rows = np.array(found, np.uint64).reshape(-1, 3)
             rows = rows[np.argsort(rows[:, 0], kind="stable")]
             bits = np.zeros(1 << BITS, bool)
@@ -88,21 +90,25 @@ class Seeds:
         for data in texts:
             a = np.fromiter(map(self.number, data.lower().split()), np.int64)
             streams.append(a[a >= 0].astype(np.uint64))
-        gap = np.zeros(SPAN, np.uint64)
-        lengths = [len(a) + SPAN for a in streams]
+        gap = np.zeros(max(map(len, MASKS)), np.uint64)
+        lengths = [len(a) + len(gap) for a in streams]
         starts = np.cumsum([0, *lengths])
         stream = np.concatenate([x for a in streams for x in (a, gap)]) if streams else gap
-        seen: dict[tuple[int, int, int], None] = {}
+        seen: set[tuple[int, int, int]] = set()
         for mask, span, rows, bits in self.tables:
             if not len(rows) or len(stream) < span:
                 continue
             h = hashes(stream, mask, span)
             at = np.flatnonzero(bits[h >> np.uint64(64 - BITS)])
             low, high = (np.searchsorted(rows[:, 0], h[at], side=s) for s in ("left", "right"))
-            for q, a, b in zip(at[high > low].tolist(), low[high > low].tolist(), high[high > low].tolist(), strict=True):
-                doc = int(np.searchsorted(starts, q, side="right")) - 1
-                for r in range(a, b):
-                    seen[doc, int(rows[r, 1]), q - int(rows[r, 2])] = None
+            found = high > low
+            at, low, count = at[found], low[found], (high - low)[found]
+            for a, b in slices(count.tolist(), HITS):
+                n = count[a:b]
+                row = rows[np.arange(n.sum()) + np.repeat(low[a:b] - np.cumsum(n) + n, n)].astype(np.int64)
+                q = np.repeat(at[a:b], n)
+                doc = np.searchsorted(starts, q, side="right") - 1
+                seen.update(zip(doc.tolist(), row[:, 1].tolist(), (q - row[:, 2]).tolist(), strict=True))
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
         for doc, item, diagonal in seen:
             t = self.texts[item]

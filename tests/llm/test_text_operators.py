@@ -237,6 +237,39 @@ def test_decontamination_tolerates_substitutions(spark, odd, nothing):
     assert decontamination.keep_clean(odd, bench).columns == odd.columns
 
 
+def accepted(pattern):
+    """Whether a diagonal of equal (1) and other (0) words is an overlap: all its stretches of the best score, tried one by one."""
+    n, best = len(pattern), (0, 0, 0, 0)
+    for i in range(n):
+        for j in range(i + 1, n + 1):
+            m = sum(pattern[i:j])
+            best = max(best, (3 * m - 2 * (j - i), -j, -i, m))
+    return best[0] > 0 and best[-1] >= min(13, -(-n * 4 // 5))
+
+
+def prefixes(p, equal, score):
+    """All ways for a stretch to reach its 13th equal word with no negative score."""
+    if equal == 13:
+        yield p
+        return
+    yield from prefixes([*p, 1], equal + 1, score + 1)
+    if score >= 2:
+        yield from prefixes([*p, 0], equal, score - 2)
+
+
+def test_no_accepted_stretch_misses_all_seeds():
+    long = list(prefixes([], 0, 0))
+    held = ["".join(map(str, p)) for p in long]
+    met = [any(all(p[i + k] == "1" for k, c in enumerate(m) if c == "1") for m in decontamination.MASKS for i in range(len(p) - len(m) + 1)) for p in held]
+    assert len(held) > 3000 and all(met)
+    for n in (*range(1, 16), 19):
+        item = [f"w{i}" for i in range(n)]
+        tried = [list(map(int, f"{k:0{n}b}")) for k in range(1, 1 << n) if 5 * k.bit_count() >= 4 * n] if n < 16 else [p for p in long[::5] if len(p) == n]
+        texts = [" ".join(w if c else "other" for w, c in zip(item, p, strict=True)).encode() for p in tried]
+        seeds = decontamination.Seeds([(0, " ".join(item).encode())])
+        assert [d for d, *_ in seeds.overlaps(texts)] == [d for d, p in enumerate(tried) if accepted(p)], n
+
+
 def test_blocks_of_the_benchmark_give_the_same(spark, small, monkeypatch):
     docs, _, bench = small
     want = sorted(map(tuple, decontamination.overlaps(docs, bench).collect()))
