@@ -176,6 +176,35 @@ def test_guess_cost_is_the_least_sum(text):
     assert brute_cost(text) <= secrets.guess_cost(text) + 1e-9 <= brute_cost(text) + math.log10(math.factorial(len(text))) + 1e-6
 
 
+@pytest.mark.parametrize(
+    ("text", "want"),
+    [
+        ('{"pwd":"k#J9x!Qw2z","api_key":"0123456789abcdef"}', ["k#J9x!Qw2z"]),
+        ("user=a&pwd=k#J9x!Qw2z&api_key=0123456789abcdef", ["k#J9x!Qw2z"]),
+        ("Server=db;Pwd=k#J9x!Qw2z;Token=x9$Kq!27vLm#;Port=1", ["k#J9x!Qw2z", "x9$Kq!27vLm#"]),
+        ("pwd=k#J9,x!Qw2z;7&b", ["k#J9,x!Qw2z;7&b"]),
+        ('password="abcDEF123456$%xY!z"', ["$%xY!z"]),
+        ("pwd=" + "z" * 200 + "k#J9x!Qw2zP0", ["z" * 200 + "k#J9x!Qw2zP0"]),
+        ("pwd=" + "z" * 3000, []),
+        ('{"url":"https://user:k#J9x!Qw2z@host/","pwd":"x9$Kq!27vLm#"}', ["k#J9x!Qw2z", "x9$Kq!27vLm#"]),
+        ('{"pwd":"short","id":"k#J9x!Qw2z"}', []),
+    ],
+)
+def test_each_value_ends_with_its_field(text, want):
+    spans = secrets.find(text.encode())
+    assert [text[a:b] for a, k, b in spans if k == 3] == want
+    assert not any(w in secrets.without(text.encode(), b"").decode() for w in want)
+
+
+def test_long_values_cost_what_short_ones_do():
+    rng = np.random.default_rng(2)
+    parts = ["password", "the", "you", "qwerty", "2024", "aaaa", "x", "7", "20240115", "zxcv", "Token"]
+    for _ in range(500):
+        text = "".join(rng.choice(parts, rng.integers(1, 7)))
+        cost = secrets.short_cost(text)
+        assert secrets.long_cost(text) == pytest.approx(cost) if cost < secrets.THRESHOLD else secrets.long_cost(text) >= secrets.THRESHOLD
+
+
 def test_secret_scan_and_redaction(spark, odd, nothing):
     df = spark.createDataFrame([(i, t, 0) for i, t in enumerate(SECRETS)] + [(99, None, 0), (0, SECRETS[0], 0)], "doc_id long, text string, n_chars long")
     rows = {r.doc_id: r for r in secrets.scan(df).collect()}
