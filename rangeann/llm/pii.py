@@ -2,23 +2,31 @@
 
 One pattern finds e-mail addresses, telephone numbers, IPv4 addresses, payment card and social
 security numbers, account numbers (IBAN) and names behind a title.  Each is replaced by a
-value of its own type and shape: its variable characters go through a keyed permutation
-(four rounds in which the even and odd places shift one another by a keyed digest), digits
+value of its own type and shape: its variable characters go through a keyed permutation without fixed points
+(two rounds in which the even and odd places shift one another by a keyed digest, a step of every place, and the
+same rounds back), digits
 to digits, vowels to vowels and other letters to such letters, in the letter case and the
 script (Latin, Cyrillic, Greek) of the original; an address's four numbers are shifted as numbers.
-Given names that the lists know stay within the list of their gender; titles stay.
+Given names that the lists know stay within the list of their gender, and no other name becomes one of them:
+its permutation is applied again until it leaves the lists; titles stay.
 
 A permutation maps two values to two surrogates and one value always to the same one, in every document, so
 distinctness and coreference need no table, no join and no shuffle of texts.
+A step is coprime to its alphabet's size, so a value comes back to itself only after as many steps as the least common multiple of
+its alphabets' sizes (105 for a word of Latin vowels and other letters), more than there are listed names.
 ``collisions`` checks that over all entities of a table: values of a type that share a surrogate.
 
-Cases: null text stays null, empty text empty; a value that the permutation would leave as it is
-is moved on by one step of its first variable character's alphabet; repeated rows are replaced alike;
+Cases: null text stays null, empty text empty; repeated rows are replaced alike;
 an empty table gives no rows; a null id stays null; other columns stay outside the result.
 """
 
 from __future__ import annotations
 
+import hashlib
+import math
+from collections import Counter
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -68,31 +76,50 @@ def letter(like: Column, n: Column) -> Column:
     return out
 
 
+def bound(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use(value)`` with the value computed once, not in every place that uses it."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
 def permuted(values: Column, bases: Column, salt: Column, key: str) -> Column:
-    """A keyed permutation of number lists: places of one parity are shifted by a digest of those of the other, in turn."""
+    """A keyed permutation of number lists without fixed points.
 
-    def shift(state: Column, r: Column) -> Column:
+    Places of one parity are shifted by a digest of those of the other, in turn; all move on by a step; the shifts are undone.
+    """
+
+    def shift(state: Column, r: Column, sign: int) -> Column:
         other = F.array_join(F.filter(state, lambda x, i: (i % 2) != (r % 2)).cast("array<string>"), ",")
         digest = F.sha2(F.concat_ws("|", F.lit(key), r.cast("string"), salt, other).cast("binary"), 256)
-        by = lambda i: F.conv(digest.substr((i * 3) % 60 + 1, F.lit(4)), 16, 10).cast("int")
-        return F.transform(state, lambda x, i: F.when((i % 2 == r % 2) & (F.get(bases, i) > 0), (x + by(i)) % F.get(bases, i)).otherwise(x))
+        by = lambda d, i: F.conv(d.substr((i * 3) % 60 + 1, F.lit(4)), 16, 10).cast("int")
+        return bound(digest, lambda d: F.transform(state, lambda x, i: F.when((i % 2 == r % 2) & (F.get(bases, i) > 0), F.pmod(x + sign * by(d, i), F.get(bases, i))).otherwise(x)))
+
+    half, step = ROUNDS // 2, steps(key)
+    moved = F.aggregate(F.sequence(F.lit(0), F.lit(half - 1)), values, lambda state, r: shift(state, r, 1))
+    moved = F.transform(moved, lambda x, i: F.when(F.get(bases, i) > 0, (x + F.get(step, F.get(bases, i))) % F.get(bases, i)).otherwise(x))
+    return F.aggregate(F.sequence(F.lit(half - 1), F.lit(0)), moved, lambda state, r: shift(state, r, -1))
+
 
-    moved = F.aggregate(F.sequence(F.lit(0), F.lit(ROUNDS - 1)), values, shift)
-    first = F.array_position(F.transform(bases, lambda b: b > 0), True)
-    step = F.transform(values, lambda x, i: F.when(i + 1 == first, (x + 1) % F.get(bases, i)).otherwise(x))
-    return F.when(moved == values, step).otherwise(moved)
+def steps(key: str) -> Column:
+    """How far a place moves on, by its alphabet's size: a keyed number coprime to that."""
+    out = []
+    for n in range(257):
+        options = [k for k in range(1, n) if math.gcd(k, n) == 1] or [0]
+        out.append(options[int(hashlib.sha256(f"{key}|step|{n}".encode()).hexdigest(), 16) % len(options)])
+    return F.expr(f"array({','.join(map(str, out))})")
 
 
 def reshaped(text: Column, kind: str, key: str) -> Column:
     """``text`` with its letters and digits permuted, its case, marks and other characters kept."""
-    chars = F.split(F.lower(text), "")
-    original = F.split(text, "")
-    bases = F.transform(chars, radix)
-    shape = F.array_join(bases.cast("array<string>"), ",")
-    moved = permuted(F.transform(chars, number), bases, F.concat(F.lit(kind + "|"), shape), key)
-    out = F.transform(chars, lambda c, i: letter(c, F.get(moved, i)))
-    cased = F.transform(out, lambda c, i: F.when(F.get(bases, i) == 0, F.get(original, i)).when(F.get(original, i) != F.get(chars, i), F.upper(c)).otherwise(c))
-    return F.array_join(cased, "")
+
+    def made(chars: Column, original: Column, bases: Column) -> Column:
+        shape = F.array_join(bases.cast("array<string>"), ",")
+        moved = permuted(F.transform(chars, number), bases, F.concat(F.lit(kind + "|"), shape), key)
+        out = F.zip_with(chars, moved, letter)
+        cased = F.transform(out, lambda c, i: F.when(F.get(bases, i) == 0, F.get(original, i)).when(F.get(original, i) != F.get(chars, i), F.upper(c)).otherwise(c))
+        return F.array_join(cased, "")
+
+    split = lambda t: F.split(t, "")
+    return bound(split(F.lower(text)), lambda chars: bound(split(text), lambda original: bound(F.transform(chars, radix), lambda bases: made(chars, original, bases))))
 
 
 def address(text: Column, key: str) -> Column:
@@ -100,14 +127,24 @@ def address(text: Column, key: str) -> Column:
     return F.array_join(permuted(parts, F.array(*[F.lit(256)] * 4), F.lit("ip"), key).cast("array<string>"), ".")
 
 
+def listed(name: Column, names: list[str]) -> Column:
+    """The place in a list of a name written in capitals or with one; 0 for others."""
+    return F.when((name == F.upper(name)) | (name == F.initcap(name)), F.array_position(F.array(*[F.lit(n) for n in names]), F.lower(name))).otherwise(F.lit(0))
+
+
+def alike() -> int:
+    """The most listed names of one shape."""
+    return max(Counter("".join("v" if c in VOWELS else "c" for c in n) for n in FEMALE + MALE).values())
+
+
 def one_name(name: Column, key: str) -> Column:
-    """A given name of the lists goes to another of its list; any other name to a word of its shape."""
-    low, out = F.lower(name), reshaped(name, "name", key)
+    """A given name of the lists goes to another of its list; any other name to a word of its shape that is in no list."""
+    again = lambda w, _: F.when(listed(w, FEMALE + MALE) > 0, reshaped(w, "name", key)).otherwise(w)
+    out = F.aggregate(F.sequence(F.lit(1), F.lit(alike())), reshaped(name, "name", key), again)
     for label, names in (("f", FEMALE), ("m", MALE)):
-        listed = F.array(*[F.lit(n) for n in names])
-        at = F.array_position(listed, low)
+        at = listed(name, names)
         turn = F.conv(F.substring(F.sha2(F.lit(f"{key}|{label}").cast("binary"), 256), 1, 6), 16, 10).cast("int") % (len(names) - 1) + 1
-        chosen = F.get(listed, ((at - 1 + turn) % len(names)).cast("int"))
+        chosen = F.get(F.array(*[F.lit(n) for n in names]), ((at - 1 + turn) % len(names)).cast("int"))
         out = F.when(at > 0, F.when(name == F.upper(name), F.upper(chosen)).otherwise(F.initcap(chosen))).otherwise(out)
     return out
 

@@ -8,6 +8,7 @@ from array import array
 import numpy as np
 import public_tokenizers
 import pytest
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from rangeann.llm import decontamination, labelled, packing, pii, quality, secrets, tokens, toxicity
@@ -381,3 +382,16 @@ def test_permutations_keep_values_apart(spark):
     assert len(set(got)) >= 990 and all(len(s) == 3 and s.isdigit() for s in got)
     plan = pii.replace(spark.createDataFrame([(1, "a")], "doc_id long, text string"))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Exchange" not in plan
+
+
+@pytest.mark.parametrize("key", [pii.KEY, "other"])
+def test_surrogates_are_one_to_one_without_fixed_points(spark, key):
+    digits = spark.range(1000).selectExpr("lpad(cast(id AS string), 3, '0') AS v")
+    ips = spark.range(2000).selectExpr("concat('10.', id % 7, '.', id % 256, '.', id div 8) AS v")
+    words = spark.createDataFrame([(a + b + c + d,) for a in "AE" for b in "kmn" for c in "kmn" for d in pii.VOWELS], "v string")
+    names = spark.createDataFrame([(n.title(),) for n in pii.FEMALE + pii.MALE] + [("AnnA",), ("ANNA",)], "v string")
+    for values, made in ((digits, pii.reshaped(F.col("v"), "number", key)), (ips, pii.address(F.col("v"), key)), (words, pii.one_name(F.col("v"), key)), (names, pii.one_name(F.col("v"), key))):
+        got = {r.v: r.s for r in values.select("v", made.alias("s")).collect()}
+        assert len(set(got.values())) == len(got) == values.distinct().count() and all(a != b for a, b in got.items())
+    made = words.select(pii.one_name(F.col("v"), key).alias("s"), pii.listed(F.col("v"), pii.FEMALE + pii.MALE).alias("was")).select("was", pii.listed(F.col("s"), pii.FEMALE + pii.MALE).alias("now")).collect()
+    assert all((r.was > 0) == (r.now > 0) for r in made) and sum(r.was > 0 for r in made) == 2
