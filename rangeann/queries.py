@@ -329,7 +329,10 @@ def on_shard(spark: SparkSession, sf_dir: str, check: Callable[[Shard], int]) ->
 
 
 def label_equiv(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Edges visible at a version against the graph of that version's prefix alone, for versions across the domain."""
+    """Edges visible at a version against the graph of that version's prefix alone.
+
+    A sample: some five versions across the domain, the first, middle and last tree level, orientation LU, m 8, ef_con 40.
+    """
 
     def check(s: Shard) -> int:
         wrong = 0
