@@ -59,12 +59,17 @@ def slices(sizes: Iterable[int], most: int) -> Iterator[tuple[int, int]]:
         yield start, i
 
 
+def column_slices(batch: pa.RecordBatch, name: str, most: int) -> Iterator[tuple[int, int, pa.Array]]:
+    """A string column, some ``most`` bytes at a time."""
+    column = batch.column(batch.schema.get_field_index(name))
+    for a, b in slices(pc.fill_null(pc.binary_length(column), 0).to_pylist(), most):
+        yield a, b, column.slice(a, b - a)
+
+
 def text_slices(batch: pa.RecordBatch, name: str, most: int) -> Iterator[tuple[int, int, list[bytes]]]:
     """A string column as UTF-8 bytes, some ``most`` bytes at a time, so that only those are held as objects."""
-    column = batch.column(batch.schema.get_field_index(name)).cast(pa.binary())
-    sizes = pc.fill_null(pc.binary_length(column), 0).to_pylist()
-    for a, b in slices(sizes, most):
-        yield a, b, [b"" if x is None else x for x in column.slice(a, b - a).to_pylist()]
+    for a, b, column in column_slices(batch, name, most):
+        yield a, b, [b"" if x is None else x for x in column.cast(pa.binary()).to_pylist()]
 
 
 _HELD: dict[str, tuple[dict, ...]] = {}

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import staged, text_slices
+from rangeann.llm.common import column_slices, staged
 from rangeann.llm.tokens import SUB_BATCH_BYTES, Lookup, read_vocabulary
 
 ROWS_PER_SALT = 4_096
@@ -42,10 +42,11 @@ def pieces(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id:
         look = Lookup(vocabulary.value, {}, ids=True)
         for batch in batches:
             ids = batch.column(0).cast(pa.int64()).to_pylist()
-            for a, b, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
+            for a, b, texts in column_slices(batch, text_col, SUB_BATCH_BYTES):
                 rows = []
-                for doc, own in zip(ids[a:b], look.values([look.words(t) for t in texts]), strict=True):
-                    data = b"".join([*own, end])
+                stream, starts = look.streams(texts)
+                for doc, i, j in zip(ids[a:b], starts.tolist(), starts[1:].tolist(), strict=False):
+                    data = stream[i:j].tobytes() + end
                     for k, at in enumerate(range(0, len(data), width)):
                         part = data[at : at + width]
                         rows.append((doc, k, at // 4, len(part) // 4, zlib.crc32(part), part))

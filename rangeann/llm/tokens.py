@@ -5,6 +5,7 @@ pre-tokenizer never joins across white space, so a text's ids are those of its p
 in order.  Tier one is a compact broadcast table of the most frequent pre-tokens (bounded by
 ``table_size`` entries of at most ``MAX_KEY`` bytes); tier two is a bounded dictionary in
 each Python worker, which encodes what it has not seen in batches with the tokenizer library.
+Both are asked once for each different pre-token of some megabytes of text.
 No pre-token is ever shuffled: the only exchange is the sum of bounded per-task top lists
 from which the frequent table is made, and that table never decides a count, only its speed.
 
@@ -18,25 +19,25 @@ from __future__ import annotations
 import json
 import os
 from collections import Counter
-from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import claim, text_slices
+from rangeann.llm.common import claim, column_slices
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
 CACHE_ENTRIES = 700_000  # of a worker's cache
 KEPT_KEY = 9  # bytes of a pre-token that stays when the cache is full
-SUB_BATCH_BYTES = 1 << 20
+SUB_BATCH_BYTES = 4 << 20
 TASK_TOP = 4_096  # pre-tokens that one task reports
 TASK_DISTINCT = 200_000  # pre-tokens that one task counts at a time
 
 GROUP = 256  # words encoded as one text
-MARKS = b".,;:!?"
+#: Marks that the vocabulary with word ends parts from a letter before them.
+MARKS = b".,;:!?#%&*$@~^=+_/()[]{}\"-"
 
 _TOKENIZERS: dict[int, object] = {}
 _ENDS: dict[int, tuple[np.ndarray | None, bool]] = {}
@@ -62,25 +63,31 @@ def tokenizer_of(vocabulary: str):
     return _TOKENIZERS[key]
 
 
+def split(texts: pa.Array, folds: bool) -> pa.ListArray:
+    """The pre-tokens of each text, with A-Z folded where the vocabulary does so anyway; a run of white space at an end gives an empty one."""
+    texts = pc.fill_null(texts, "")
+    if folds:
+        special = pc.match_substring(texts, "<|")
+        low = pc.ascii_lower(texts)
+        texts = pc.if_else(special, texts, low) if pc.any(special).as_py() else low
+    return pc.ascii_split_whitespace(texts)
+
+
 class Lookup:
     """Pre-token to value, by the frequent table, then the worker's cache, then the library.
 
-    A pre-token that no cache has is parted into a core and the marks behind it, which the
-    vocabulary never joins to a letter before them.  Cores of letters alone are one word each to
-    it, so many of them are encoded as one text, whose ids fall apart where a word ends.
+    The pre-tokens of some texts are numbered first, so each different one is looked up once.  One
+    that no table has is parted into a core and the marks behind it, which the vocabulary never
+    joins to a letter before them.  Cores of letters alone are one word each to it, so many
+    of them are encoded as one text, whose ids fall apart where a word ends.
     """
 
     def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool):
         self.tokenizer, self.frequent, self.ids = tokenizer_of(vocabulary), frequent, ids
         self.cache = _CACHES.setdefault((hash(vocabulary), ids), {})
         claim("tokens", *_CACHES.values())
-        self.cache.update(frequent)
         self.ends, self.folds = word_ends(vocabulary)
 
-    def words(self, text: bytes) -> list[bytes]:
-        """The pre-tokens, with A-Z folded where the vocabulary does so anyway."""
-        return (text.lower() if self.folds and b"<|" not in text else text).split()
-
     def value(self, ids: np.ndarray) -> object:
         return ids.tobytes() if self.ids else len(ids)
 
@@ -93,7 +100,7 @@ class Lookup:
             for i, t in enumerate(texts):
                 (alone if t.isalpha() else rest).append(i)
             groups = [alone[i : i + GROUP] for i in range(0, len(alone), GROUP)]
-            joined = self.tokenizer.encode_batch_fast([" ".join(texts[i] for i in g) for g in groups], add_special_tokens=False)
+            joined = self.tokenizer.encode_batch_fast([" ".join([texts[i] for i in g]) for g in groups], add_special_tokens=False)
             for g, e in zip(groups, joined, strict=True):
                 ids = np.array(e.ids, np.uint32)
                 cuts = (np.flatnonzero(self.ends[ids]) + 1).tolist()
@@ -115,43 +122,61 @@ class Lookup:
         if self.ends is None:
             cache.update(zip(missing, self.encode(missing), strict=True))
             return
-        marked = [w for w in missing if w[-1] in MARKS]
-        plain = [w for w in missing if w[-1] not in MARKS] if marked else missing
-        parts = []
-        for w in marked:
+        parts, fresh = [], {}
+        for w in missing:
             core = w.rstrip(MARKS)
-            parts.append((core, w[len(core) :]) if core[-1:].isalpha() else (w, b""))
-        fresh = {p for both in parts for p in both if p and p not in cache}
-        fresh.update(plain)
-        keys = list(fresh)
+            if len(core) == len(w) or not core[-1:].isalpha() and not core.decode("utf-8", "replace")[-1:].isalpha():
+                fresh[w] = None
+            else:
+                marks = w[len(core) :]
+                parts.append((w, core, marks))
+                fresh[core] = fresh[marks] = None
+        keys = [k for k in fresh if k not in cache]
         cache.update(zip(keys, self.encode(keys), strict=True))
-        cache.update((w, cache[a] + cache[b]) for w, (a, b) in zip(marked, parts, strict=True) if b)
+        cache.update((w, cache[a] + cache[b]) for w, a, b in parts)
 
-    def values(self, words: list[list[bytes]]) -> Iterator[list[object]]:
-        """For each list of pre-tokens their values, each looked up once."""
-        cache = self.cache
+    def known(self, keys: list[bytes]) -> list[object]:
+        """The value of each of different pre-tokens."""
+        cache, frequent = self.cache, self.frequent
         if len(cache) > CACHE_ENTRIES:
             # what is long is rare: it goes first
             kept = {k: v for k, v in cache.items() if len(k) <= KEPT_KEY}
             cache.clear()
             if len(kept) <= CACHE_ENTRIES // 2:
                 cache.update(kept)
-            cache.update(self.frequent)
-        flat = list(chain.from_iterable(words))
-        got = list(map(cache.get, flat))
+        got = list(map(cache.get, keys))
         gaps = [i for i, v in enumerate(got) if v is None]
+        if frequent:
+            for i in gaps:
+                got[i] = frequent.get(keys[i])
+            gaps = [i for i in gaps if got[i] is None]
         if gaps:
-            missing = {flat[i] for i in gaps}
-            self.learn([w for w in missing if len(w) <= MAX_KEY], cache)
-            long = [w for w in missing if len(w) > MAX_KEY]
-            alone = dict(zip(long, self.encode(long), strict=True))
+            self.learn([keys[i] for i in gaps if 0 < len(keys[i]) <= MAX_KEY], cache)
+            others = [i for i in gaps if not 0 < len(keys[i]) <= MAX_KEY]
+            alone = dict(zip(others, self.encode([keys[i] for i in others]), strict=True))
             for i in gaps:
-                w = flat[i]
-                got[i] = alone[w] if w in alone else cache[w]
-        at = 0
-        for w in words:
-            yield got[at : at + len(w)]
-            at += len(w)
+                got[i] = alone[i] if i in alone else cache[keys[i]]
+        return got
+
+    def numbered(self, texts: pa.Array) -> tuple[list[object], np.ndarray, np.ndarray]:
+        """Values of the different pre-tokens, the number of each pre-token in order, and where each text begins among them."""
+        lists = split(texts, self.folds)
+        coded = lists.flatten().dictionary_encode()
+        return self.known(coded.dictionary.cast(pa.binary()).to_pylist()), np.asarray(coded.indices), np.asarray(lists.offsets) - lists.offsets[0].as_py()
+
+    def counts(self, texts: pa.Array) -> np.ndarray:
+        """How many tokens each text has."""
+        values, at, starts = self.numbered(texts)
+        return np.diff(np.concatenate([[0], np.cumsum(np.array(values, np.int64)[at])])[starts])
+
+    def streams(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all texts in order, and where each text begins among them."""
+        values, at, starts = self.numbered(texts)
+        pool = np.frombuffer(b"".join(values), "<u4")
+        lengths = np.fromiter(map(len, values), np.int64, len(values)) // 4
+        first, length = (np.cumsum(lengths) - lengths)[at], lengths[at]
+        ends = np.concatenate([[0], np.cumsum(length)])
+        return pool[np.arange(ends[-1]) + np.repeat(first - ends[:-1], length)], ends[starts]
 
 
 def word_ends(vocabulary: str) -> tuple[np.ndarray | None, bool]:
@@ -176,23 +201,17 @@ def word_ends(vocabulary: str) -> tuple[np.ndarray | None, bool]:
     return _ENDS[key]
 
 
-class _Chained(dict):
-    def __init__(self, first: dict, second: dict):
-        super().__init__(second)
-        self.first = first
-
-    def __missing__(self, key):
-        return self.first[key]
-
-
 def frequent_pretokens(docs: DataFrame, text_col: str, table_size: int, folds: bool = False) -> list[bytes]:
     """The most frequent pre-tokens of all texts, by bounded counters in each task and one small sum."""
 
     def tops(batches):
         counts: Counter = Counter()
         for batch in batches:
-            for data in (t for _, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES) for t in texts):
-                counts.update(data.lower().split() if folds and b"<|" not in data else data.split())
+            for _, _, texts in column_slices(batch, text_col, SUB_BATCH_BYTES):
+                found = split(texts, folds).flatten().value_counts()
+                for k, n in zip(found.field(0).cast(pa.binary()).to_pylist(), found.field(1).to_pylist(), strict=True):
+                    counts[k] += n
+                counts.pop(b"", None)
                 if len(counts) > TASK_DISTINCT:
                     counts = Counter(dict(counts.most_common(TASK_DISTINCT // 4)))
         top = [(k, n) for k, n in counts.most_common(TASK_TOP) if n > 1 and len(k) <= MAX_KEY]
@@ -213,11 +232,9 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id",
     def count(batches):
         look = Lookup(*shared.value, ids=False)
         for batch in batches:
-            tokens: list[int] = []
-            sizes: list[int] = []
-            for _, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
-                tokens += map(sum, look.values([look.words(t) for t in texts]))
-                sizes += map(len, texts)
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(tokens, pa.int64()), pa.array([n > limit for n in tokens], pa.bool_())], names=[id_col, "n_bytes", "n_tokens", "over_limit"])
+            parts = [look.counts(texts) for _, _, texts in column_slices(batch, text_col, SUB_BATCH_BYTES)]
+            n = np.concatenate(parts) if parts else np.zeros(0, np.int64)
+            sizes = pc.fill_null(pc.binary_length(batch.column(1)), 0).cast(pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), sizes, pa.array(n), pa.array(n > limit)], names=[id_col, "n_bytes", "n_tokens", "over_limit"])
 
     return docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(count, f"`{id_col}` long, n_bytes long, n_tokens long, over_limit boolean")
