@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import math
 import os
 
 import numpy as np
@@ -162,19 +163,25 @@ def test_the_parser_refuses_what_the_grammar_does_not_have(spark, text):
 
 
 def naive_top(rows, k, scale=64):
-    ok = {i: np.floor(np.array(v, float) * scale) for i, v in rows if i is not None and v is not None and len(v) and all(x is not None and np.isfinite(x) for x in v)}
+    """By whole numbers, every row against every query."""
+    ok = [(i, [math.floor(float(x) * scale) for x in v]) for i, v in rows if i is not None and v is not None and len(v) and all(x is not None and np.isfinite(x) for x in v)]
     out = []
-    for q in ok:
-        if q % 20 == 0:
-            best = sorted((-int(ok[q] @ v), i) for i, v in ok.items() if i != q)[:k]
-            out += [(q, r, i, -s) for r, (s, i) in enumerate(best, 1)]
+    for q, w in {i: v for i, v in ok if i % 20 == 0}.items():
+        best = sorted((-min(max(sum(a * b for a, b in zip(w, v, strict=True)), -(2**63)), 2**63 - 1), i) for i, v in ok if i != q)[:k]
+        out += [(q, r, i, -s) for r, (s, i) in enumerate(best, 1)]
     return sorted(out)
 
 
-@pytest.mark.parametrize("shape", ["sphere", "clusters", "ties", "norms"])
+@pytest.mark.parametrize("shape", ["sphere", "clusters", "ties", "norms", "large", "vast", "uneven", "repeats"])
 def test_top_k_equals_brute_force(spark, shape, monkeypatch):
     rng = np.random.default_rng(5)
     x = rng.standard_normal((300, 8))
+    if shape == "large":
+        x = 4e6 + rng.integers(0, 3, (300, 8))
+    if shape == "vast":
+        x *= 1e9
+    if shape == "uneven":
+        x *= 10.0 ** rng.integers(-2, 14, (300, 1))
     if shape == "clusters":
         x = x * 0.02 + np.eye(8)[rng.integers(0, 8, 300)]
     if shape == "ties":
@@ -182,6 +189,8 @@ def test_top_k_equals_brute_force(spark, shape, monkeypatch):
     if shape == "norms":
         x *= rng.exponential(1, (300, 1)) * 3
     rows = [(int(i), [float(y) for y in v]) for i, v in enumerate(x.astype(np.float32))]
+    if shape == "repeats":
+        rows += [rows[20]] * 30 + [rows[7]] * 3
     rows += [(1000, None), (1020, [float("nan")] * 8), (1040, [None] * 8), (1060, []), (None, [0.0] * 8), (1080, [float("inf")] + [0.0] * 7)]
     monkeypatch.setattr(knn, "GROUP_QUERIES", 4)
     monkeypatch.setattr(knn, "BLOCK_ROWS", 90)
