@@ -40,12 +40,14 @@ def to_objects(df: DataFrame, id: Column | str, vec: Column | str, l: Column | s
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share, from ``spark.checkpoint.dir``; a local one only where none is set."""
+    """The folder that driver and executors share, from ``spark.checkpoint.dir``; a local one only where none is set and the master is local."""
     path = spark.conf.get("spark.checkpoint.dir", None)
     if path:
         return path.rstrip("/")
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="rangeann-"))
     return sc._jsc.sc().getCheckpointDir().get().rstrip("/")
 
