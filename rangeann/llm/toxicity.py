@@ -1,10 +1,11 @@
 """Toxicity by compression distance to two zstandard dictionaries.
 
-Both dictionaries hold the same base, which zstandard's trainer makes from ordinary text; the
-toxic one goes on with segments trained on toxic text, the ordinary one with as many bytes of
-ordinary text.  Toxic segments are those parts of words (edges included) that cover toxic
-documents best, several times over, among the parts whose document frequency is significantly
-higher in toxic text.  A window is one word of the text, set between two carriers that both
+zstandard's trainer makes both.  They hold the same base, trained on ordinary text; the
+toxic one goes on with a part trained on toxic text, the ordinary one with as many bytes
+trained on ordinary text.  The toxic part's samples are the marked words of toxic documents, since their other
+words are ordinary ones: a word is marked if it has a part (edges included) whose document frequency is significantly
+higher in toxic text, among the parts that cover toxic documents best, several times over.
+A window is one word of the text, set between two carriers that both
 dictionaries know (short frames would else be stored raw).  What a window gains is its
 length under the ordinary dictionary less that under the toxic one.  Each gain at each window
 length has a calibrated weight, the log ratio of how many toxic and ordinary training
@@ -39,7 +40,9 @@ from rangeann.llm.labelled import labelled_sample, remainder
 SAMPLE = {1: 1_000, 0: 2_000}  # documents of each class that the fit may read
 WINDOW = 48
 EDGE = b".,;:!?\"'()|[]{}<>*_#$%&@~^=+-/\\"
-BASE_BYTES, TOXIC_BYTES = 16_384, 4_096
+BASE_BYTES, TOXIC_BYTES = 16_384, 5_120  # of trained dictionaries, of which 1,024 are tables that windows do not use
+PART_BYTES = 4_096  # a trained document's text beyond that is another sample
+COVER_BYTES = 4_096
 SHORTEST, LONGEST = 5, 12  # bytes of a segment, with the word's edges
 RATIO, SIGNIFICANT, COVERS = 8.0, 20.0, 5
 BEFORE, AFTER = b"\x01\x02\x03\x04carrier block before every window\x05", b"\x06block after every window\x07"
@@ -147,7 +150,7 @@ def toxic_segments(toxic: list[set[bytes]], ordinary: list[set[bytes]]) -> list[
     of_word = {w: [p for p in found if p in good] for w, found in in_word.items() if found}
     docs = [[{p for w in d for p in of_word.get(w, ())}, COVERS] for d in toxic]
     left, chosen = Counter(p for d, _ in docs for p in d), []
-    while left and sum(map(len, chosen)) < TOXIC_BYTES:
+    while left and sum(map(len, chosen)) < COVER_BYTES:
         best = max(left, key=lambda p: (left[p] * len(p), p))
         if left[best] < max(3, 0.01 * n1):
             break
@@ -176,13 +179,23 @@ def apart(docs: list[set[bytes]]) -> list[set[bytes]]:
     return kept
 
 
-def trained(texts: list[set[bytes]], most: int) -> bytes:
-    """Content of a dictionary that zstandard trains on the texts' words; their plain join if there are too few."""
-    samples = [b" ".join(sorted(d))[:4_000] for d in texts if d]
+def trained(docs: list[set[bytes]], most: int) -> bytes:
+    """Content of a dictionary that zstandard trains on the documents' words, all of them; their plain join if there are too few."""
+    texts = [b" " + b" ".join(sorted(w.strip(EDGE) for w in d)) + b" " for d in docs if d]
+    samples = [t[i : i + PART_BYTES] for t in texts for i in range(0, len(t), PART_BYTES)]
     try:
         return zs.train_dictionary(most, samples).as_bytes()[-(most - 1_024) :]
     except (zs.ZstdError, ValueError):
-        return b" ".join(samples)[-most:]
+        return b"".join(samples)[-(most - 1_024) :]
+
+
+def marked(docs: list[set[bytes]], segments: list[bytes]) -> list[set[bytes]]:
+    """Each document's words that hold one of the segments."""
+    known: dict[bytes, bool] = {}
+    for w in {w for d in docs for w in d if len(w) <= WINDOW}:
+        framed = b" " + w.strip(EDGE) + b" "
+        known[w] = any(s in framed for s in segments)
+    return [{w for w in d if known.get(w)} for d in docs]
 
 
 def fit(sample: list[tuple[bytes, int]], counts: dict[int, int]) -> Model:
@@ -192,11 +205,9 @@ def fit(sample: list[tuple[bytes, int]], counts: dict[int, int]) -> Model:
     if not ones or not zeros:
         return Model(constant=counts.get(1, 0) / total if total else 0.0)
     ones, zeros = apart(ones), apart(zeros)
-    segments = b"\n".join(reversed(toxic_segments(ones, zeros)))
-    base = trained(zeros, BASE_BYTES)
-    fill = trained(zeros[::2], BASE_BYTES // 2)
-    fill = (fill * (1 + len(segments) // max(1, len(fill))))[: len(segments)] if fill else b" " * len(segments)
-    model = Model(base + segments + BEFORE + AFTER, base + fill + BEFORE + AFTER)
+    base, toxic = trained(zeros, BASE_BYTES), trained(marked(ones, toxic_segments(ones, zeros)), TOXIC_BYTES)
+    plain = trained(zeros[::2], len(toxic) + 1_024) if toxic else b""
+    model = Model(base + toxic + BEFORE + AFTER, base + plain.rjust(len(toxic))[-len(toxic) :] + BEFORE + AFTER)
     scorer = Scorer(model)
     keys: dict[bytes, tuple[int, int]] = {}
     seen, every = {1: Counter(), 0: Counter()}, {1: Counter(), 0: Counter()}
