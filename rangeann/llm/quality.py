@@ -5,7 +5,7 @@ term weighs the root of its share times its inverse document frequency.  The lab
 term matrix gives the latent axes (a truncated singular value decomposition); its vectors, of
 unit length, are broadcast: at most ``SAMPLE`` rows of ``AXES`` numbers.  Every document's
 vector meets all of them in exact blocked products, and its ``NEIGHBOURS`` nearest vote with
-their cosine, raised to ``SHARPNESS``.  The prior holds where no neighbour is similar.
+their cosine (to ``DIGITS`` digits), raised to ``SHARPNESS``.  The prior holds where no neighbour is similar.
 
 Nothing is shuffled; all texts are read whole.
 
@@ -32,7 +32,8 @@ SAMPLE = {0: 1_000, 1: 3_000}  # documents of each class that the fit may read
 PAIRS, BANDS = 4_096, 16
 TERMS = PAIRS + 2 * BANDS
 AXES, NEIGHBOURS, SHARPNESS = 48, 15, 4
-BLOCK_BYTES, BLOCK_ROWS = 4 << 20, 512
+BLOCK_BYTES, BLOCK_ROWS, TILE = 4 << 20, 512, 64
+DIGITS = 6  # of a cosine
 
 
 @dataclass
@@ -93,14 +94,22 @@ def fit(sample: list[tuple[bytes, int]], counts: dict[int, int]) -> Model:
 def votes(model: Model, texts: list[bytes]) -> np.ndarray:
     if model.vectors is None:
         return np.full(len(texts), model.prior)
-    vectors = unit((matrix(texts) * model.idf) @ model.axes)
-    close = vectors @ model.vectors.T
-    k = min(NEIGHBOURS, close.shape[1])
-    near = np.argpartition(-close, k - 1, axis=1)[:, :k]
+    x = matrix(texts + [b""] * (-len(texts) % TILE))  # whole tiles, so that a row's products do not depend on its block
+    close = np.round(unit((x * model.idf) @ model.axes) @ model.vectors.T, DIGITS)[: len(texts)]
+    near = nearest(close, min(NEIGHBOURS, close.shape[1]))
     weight = np.clip(np.take_along_axis(close, near, axis=1), 0, 1).astype(np.float64) ** SHARPNESS
     return (0.05 * model.prior + (weight * model.labels[near]).sum(axis=1)) / (0.05 + weight.sum(axis=1))
 
 
+def nearest(close: np.ndarray, k: int) -> np.ndarray:
+    """The columns of each row's k largest numbers, in order of the columns; of equal ones the first."""
+    edge = -np.partition(-close, k - 1, axis=1)[:, k - 1 : k]
+    level = close == edge
+    above = close > edge
+    chosen = above | (level & (np.cumsum(level, axis=1) <= k - above.sum(axis=1, keepdims=True)))
+    return np.nonzero(chosen)[1].reshape(len(close), k)
+
+
 def fit_on(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 5, held_out: int = 0, sample: dict[int, int] | None = None) -> Model:
     return fit(*labelled_sample(docs, labels, "quality", folds, held_out, sample or SAMPLE, id_col, text_col))
 
