@@ -76,24 +76,46 @@ def parse(formatted: Column) -> Column:
     return F.when((F.element_at(pieces, -1) == "") & ~F.exists(turns, lambda t: t.isNull()), turns)
 
 
+def pieces_of(formatted: Column) -> Column:
+    """The turns as they stand in the string, each without its end."""
+    pieces = F.split(formatted, F.lit(END), -1)
+    return F.slice(pieces, F.lit(1), F.greatest(F.size(pieces) - 1, F.lit(0)))
+
+
+def turn_mask(formatted: Column, role: str = LOSS_ROLE) -> Column:
+    """The loss mask by turns: code points to skip, code points of text behind them, and whether a model learns from that text."""
+    escaped = F.startswith(formatted, F.lit(FLAG))
+    head = F.when(escaped, F.concat(F.lit(FLAG + BEGIN + OPEN), escape(F.lit(role)), F.lit(CLOSE))).otherwise(F.lit(BEGIN + OPEN + role + CLOSE))
+
+    def turn(piece: Column, i: Column) -> Column:
+        skip = F.length(F.substring_index(piece, CLOSE, 1)) + len(CLOSE)
+        own = F.when(i > 0, F.ltrim(head, F.lit(FLAG))).otherwise(head)
+        return F.struct(skip.cast("long").alias("skip"), (F.length(piece) - skip).cast("long").alias("length"), F.startswith(piece, own).alias("learn"))
+
+    return F.transform(pieces_of(formatted), turn)
+
+
 def loss_mask(formatted: Column, role: str = LOSS_ROLE) -> Column:
     """The stretches ``start, end`` (code points, end excluded) of the formatted string that a model learns from."""
-    pieces = F.split(formatted, F.lit(END), -1)
-    bodies = F.slice(pieces, F.lit(1), F.greatest(F.size(pieces) - 1, F.lit(0)))
     kind = "array<struct<start:long,end:long,learn:boolean>>"
-    head = F.lit(BEGIN + OPEN + role + CLOSE)
 
-    def step(state: Column, piece: Column) -> Column:
-        plain = F.when(F.startswith(piece, F.lit(FLAG)), F.substring(piece, 2, 2**31 - 1)).otherwise(piece)
-        end = state["at"] + F.length(piece)
-        body = end - F.length(plain) + F.length(F.substring_index(plain, CLOSE, 1)) + len(CLOSE)
-        return F.struct((end + len(END)).cast("long").alias("at"), F.concat(state["found"], F.array(F.struct(body.cast("long").alias("start"), end.cast("long").alias("end"), F.startswith(plain, head).alias("learn")))).alias("found"))
+    def step(state: Column, turn: Column) -> Column:
+        start = state["at"] + turn["skip"]
+        end = start + turn["length"]
+        return F.struct((end + len(END)).alias("at"), F.concat(state["found"], F.array(F.struct(start.alias("start"), end.alias("end"), turn["learn"].alias("learn")))).alias("found"))
 
-    start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(kind).alias("found"))
-    every = F.aggregate(bodies, start, step, lambda s: s["found"])
+    zero = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(kind).alias("found"))
+    every = F.aggregate(turn_mask(formatted, role), zero, step, lambda s: s["found"])
     return F.transform(F.filter(every, lambda s: s["learn"]), lambda s: F.struct(s["start"], s["end"]))
 
 
+def masked_text(formatted: Column, mask: Column) -> Column:
+    """All text under a mask of ``turn_mask``, read from the formatted string and unescaped, nothing between."""
+    escaped = F.startswith(formatted, F.lit(FLAG))
+    under = F.zip_with(pieces_of(formatted), mask, lambda piece, m: F.when(m["learn"], piece.substr((m["skip"] + 1).cast("int"), m["length"].cast("int"))).otherwise(F.lit("")))
+    return F.array_join(F.transform(under, lambda t: F.when(escaped, unescape(t)).otherwise(t)), "")
+
+
 def conversations(rows: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
     """A row a conversation: its id and its turns in order."""
     turn = F.struct(F.col(turn_col).alias("turn"), F.coalesce(F.col(role_col), F.lit("")).alias("role"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
@@ -110,8 +132,9 @@ def format_chats(rows: DataFrame, conv_col: str = "conv_id", turn_col: str = "tu
 
 
 def digests(chats: DataFrame, conv_col: str = "conv_id") -> DataFrame:
-    """What is read back from the formatted strings, as counts and digests."""
-    learnt = F.array_join(F.transform(F.filter("turns", lambda t: t["role"] == LOSS_ROLE), lambda t: t["text"]), "")
+    """What is read back from the formatted strings, as counts and digests: turns by the parser, learnt text by the loss mask."""
+    chats = chats.withColumn("mask", turn_mask(F.col("formatted"))).withColumn("learnt", masked_text(F.col("formatted"), F.col("mask")))
+    learnt = F.col("learnt")
     return chats.select(
         conv_col,
         F.size("turns").cast("long").alias("n_turns"),
