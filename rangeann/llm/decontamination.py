@@ -10,26 +10,27 @@ misses all three masks: up to its ``MATCHED``-th equal word its score is never n
 a few thousand patterns of equal and other words, and a test tries them all.  Items of fewer than
 four words allow no substitution and are sought whole, by a mask of their own length.
 
-The benchmark is broadcast in blocks of at most ``BLOCK_WORDS`` words, however large it is;
-documents are read whole, in place: nothing is shuffled but the few overlaps found.
+The benchmark is broadcast in blocks of about ``BLOCK_WORDS`` words, however large it is, one at a time: with more than one, each
+block's pass over the documents is written before the next block is made, so driver and workers hold one.
+Documents are read whole, in place: nothing is shuffled.
 
 Words are lower-cased runs of text between white space, less the marks at their edges.
 
 Cases: null or empty texts and items overlap with nothing; items are told apart by id, repeated
 items repeat no row; repeated documents repeat their rows; empty tables give no overlap; a null
-id stays null; other columns are ignored (``keep_clean`` returns them all).
+id, of a document or an item, stays null; other columns are ignored (``keep_clean`` returns them all).
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column, claim, slices
+from rangeann.llm.common import binary_column, claim, slices, staged
 
 #: Fixed masks: four words count.
 MASKS = ("1111", "11011", "11101")
@@ -53,7 +54,7 @@ def words(data: bytes) -> list[bytes]:
 class Seeds:
     """A block of the benchmark: its words by number, its items, and its hashes by mask."""
 
-    def __init__(self, items: list[tuple[int, bytes]]):
+    def __init__(self, items: list[tuple[int | None, bytes]]):
         self.vocabulary: dict[bytes, int] = {}
         self.cache: dict[bytes, int] = {}
         self.ids, self.texts = [], []
@@ -137,18 +138,17 @@ def hashes(numbers: np.ndarray, mask: np.ndarray, span: int) -> np.ndarray:
     return h
 
 
-def blocks(benchmark: DataFrame, id_col: str, text_col: str) -> list:
-    """Broadcast lists of items, each of a bounded number of words."""
+def blocks(benchmark: DataFrame, id_col: str, text_col: str) -> Iterator[tuple[object, bool]]:
+    """Broadcast lists of items, each of a bounded number of words, and whether it is the only one; made one at a time."""
     items = benchmark.select(F.col(id_col).cast("long").alias("item"), F.coalesce(F.col(text_col), F.lit("")).alias("body"))
     total = items.agg(F.sum(F.size(F.split("body", "\\s+")).cast("long"))).first()[0] or 0
     n = max(1, -(-total // BLOCK_WORDS))
     part = F.pmod(F.xxhash64("item", "body"), F.lit(n))
-    found = []
     for k in range(n):
-        rows = sorted({(r.item if r.item is not None else -1, r.body.encode()) for r in items.where(part == k).toLocalIterator()})
+        found = {(r.item, r.body.encode()) for r in items.where(part == k).toLocalIterator()}
+        rows = sorted(found, key=lambda x: (x[0] is None, x[0] or 0, x[1]))
         if rows:
-            found.append(benchmark.sparkSession.sparkContext.broadcast(rows))
-    return found
+            yield benchmark.sparkSession.sparkContext.broadcast(rows), n == 1
 
 
 def seeds_of(items: list[tuple[int, bytes]]) -> Seeds:
@@ -164,7 +164,7 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text
     """Rows ``id, item_id, matched_words, start_word, compared_words`` of every document and item that overlap."""
     schema = f"`{id_col}` long, item_id long, matched_words int, start_word long, compared_words int"
     chosen, found = docs.select(F.col(id_col).cast("long"), text_col), None
-    for block in blocks(benchmark, item_col, item_text):
+    for block, alone in blocks(benchmark, item_col, item_text):
 
         def search(batches: Iterable[pa.RecordBatch], block=block):
             seeds = seeds_of(block.value)
@@ -176,13 +176,16 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32()), strict=True)], names=[id_col, "item_id", "matched_words", "start_word", "compared_words"])
 
         part = chosen.mapInArrow(search, schema)
+        if not alone:
+            part = staged(part, "overlaps")
+            block.destroy()
         found = part if found is None else found.unionByName(part)
     return found if found is not None else docs.sparkSession.createDataFrame([], schema)
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """The rows of ``docs``, all columns, that overlap with no item."""
-    for block in blocks(benchmark, item_col, item_text):
+    for block, alone in blocks(benchmark, item_col, item_text):
 
         def clean(batches: Iterable[pa.RecordBatch], block=block):
             seeds = seeds_of(block.value)
@@ -194,4 +197,7 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", it
                 yield batch.filter(pa.array(keep))
 
         docs = docs.mapInArrow(clean, docs.schema)
+        if not alone:
+            docs = staged(docs, "clean")
+            block.destroy()
     return docs
