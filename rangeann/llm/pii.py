@@ -1,12 +1,15 @@
 """Surrogates for personal data, in DataFrame functions alone.
 
 One pattern finds e-mail addresses, telephone numbers, IPv4 addresses, payment card and social
-security numbers, account numbers (IBAN) and names behind a title.  Each is replaced by a
+security numbers, account numbers (IBAN) and names behind a title; a name's words found so are then found in the whole
+document, with a title or without.  Each value is replaced by a
 value of its own type and shape: its variable characters go through a keyed permutation without fixed points
 (two rounds in which the even and odd places shift one another by a keyed digest, a step of every place, and the
 same rounds back), digits
 to digits, vowels to vowels and other letters to such letters, in the letter case and the
 script (Latin, Cyrillic, Greek) of the original; an address's four numbers are shifted as numbers.
+A card keeps its first digit and an account its country; their check digits are computed anew, and are right where they were
+right (else off by as much).
 Given names that the lists know stay within the list of their gender, and no other name becomes one of them:
 its permutation is applied again until it leaves the lists; titles stay.
 
@@ -14,7 +17,10 @@ A permutation maps two values to two surrogates and one value always to the same
 distinctness and coreference need no table, no join and no shuffle of texts.
 A step is coprime to its alphabet's size, so a value comes back to itself only after as many steps as the least common multiple of
 its alphabets' sizes (105 for a word of Latin vowels and other letters), more than there are listed names.
-``collisions`` checks that over all entities of a table: values of a type that share a surrogate.
+The column ``distinct_kept`` states for each document that it has as many different surrogates as values, letter case apart;
+``collisions`` checks that over all entities of a table.  The key is the caller's: nothing here holds one.
+
+A text is searched only for what its characters allow (an ``@``, a digit, a title), in one pass.
 
 Cases: null text stays null, empty text empty; repeated rows are replaced alike;
 an empty table gives no rows; a null id stays null; other columns stay outside the result.
@@ -30,7 +36,6 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-KEY = "surrogates-1"
 ROUNDS = 4
 
 #: The types' patterns.
@@ -40,11 +45,11 @@ IBAN = r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3
 CARD = r"(?<![0-9A-Za-z-])[3-6][0-9]{3}(?:[ -]?[0-9]{4}){2}[ -]?[0-9]{3,4}(?![0-9A-Za-z])"
 SSN = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
 PHONE = r"(?<![0-9A-Za-z])(?:\+[0-9]{1,3}[ .-]?)?(?:\([0-9]{2,4}\)[ .-]?[0-9]{3,4}[ .-][0-9]{3,4}|[0-9]{3}[.-][0-9]{3}[.-][0-9]{4})(?![0-9])|(?<![0-9A-Za-z])\+[0-9]{1,3}(?:[ .-]?[0-9]{2,4}){3,4}(?![0-9])"
-LETTERS = r"\p{L}[\p{L}'-]+"
 TITLE_F, TITLE_M = r"Mrs|Ms|Miss|Frau|Mme|Madame|Sra|Señora|Doña", r"Mr|Herr|Monsieur|Sr|Señor|Don"
-NAME = r"(?<!\p{L})(?:" + TITLE_F + "|" + TITLE_M + r"|Dr|Prof)\.? \p{Lu}" + LETTERS[5:] + r"(?: \p{Lu}" + LETTERS[5:] + r")?"
-ANY = "|".join((EMAIL, IPV4, IBAN, CARD, SSN, PHONE, NAME))
-HINT = r"[@0-9]|(?:" + TITLE_F + "|" + TITLE_M + r"|Dr|Prof)\.? \p{Lu}"
+WORD = r"(?:\p{Lu}\p{L}+(?:['-]\p{Lu}\p{L}+)*|\p{Lu}'\p{Lu}\p{L}+)"
+NAME = r"(?<!\p{L})(?:" + TITLE_F + "|" + TITLE_M + r"|Dr|Prof)\.? " + WORD + "(?: " + WORD + ")?"
+TITLES = ("Mr", "Ms", "Miss", "Frau", "Mme", "Madame", "Sr", "Señor", "Don", "Doña", "Herr", "Monsieur", "Dr", "Prof")  # what every title begins with
+MARK = "\x01"
 
 #: Given names by gender, and the alphabets.
 FEMALE = "anna maria mary sarah laura julia emma sophie claire elena lucia carmen ingrid helga petra susan karen linda lisa nancy".split()
@@ -161,45 +166,101 @@ def kind_of(entity: Column) -> Column:
     )
 
 
-def surrogate(entity: Column, key: str = KEY) -> Column:
+def compactly(text: Column, use: Callable[[Column], Column]) -> Column:
+    """``use`` on the letters and digits alone, its result set between the other characters of ``text``: so one number has one surrogate however it is written."""
+    other = lambda t: F.regexp_replace(t, "[^0-9A-Za-z]", "")
+    return bound(use(other(text)), lambda made: F.array_join(F.transform(F.split(text, ""), lambda c, i: F.when(other(c) == "", c).otherwise(made.substr(F.length(other(text.substr(F.lit(1), i + 1))), F.lit(1)))), ""))
+
+
+def luhn(digits: Column) -> Column:
+    """The check digit behind a card's other digits (an array of numbers)."""
+    counted = F.transform(F.reverse(digits), lambda d, i: F.when(i % 2 == 0, 2 * d - F.when(d > 4, 9).otherwise(0)).otherwise(d))
+    return (10 - F.aggregate(counted, F.lit(0), lambda a, d: a + d) % 10) % 10
+
+
+def card(number: Column, key: str) -> Column:
+    digits = lambda t: F.filter(F.split(t, ""), lambda c: c != "").cast("array<int>")
+    n = F.length(number)
+    moved = F.concat(F.substring(number, 1, 1), reshaped(number.substr(F.lit(2), n - 2), "card", key))
+    off = F.substring(number, -1, 1).cast("int") - luhn(digits(number.substr(F.lit(1), n - 1)))
+    return bound(moved, lambda m: F.concat(m, F.pmod(luhn(digits(m)) + off, F.lit(10)).cast("string")))
+
+
+def account(text: Column, key: str) -> Column:
+    """An IBAN with its country, whose two check digits fit the other characters as the original's did."""
+
+    def right(country: Column, rest: Column) -> Column:
+        chars = F.filter(F.split(F.concat(rest, country, F.lit("00")), ""), lambda c: c != "")
+        value = lambda c: F.when(F.ascii(c) >= 65, F.ascii(c) - 55).otherwise(F.ascii(c) - 48)
+        return 98 - F.aggregate(chars, F.lit(0), lambda a, c: (a * F.when(F.ascii(c) >= 65, 100).otherwise(10) + value(c)) % 97)
+
+    country, rest = F.substring(text, 1, 2), text.substr(F.lit(5), F.length(text))
+    off = F.substring(text, 3, 2).cast("int") - right(country, rest)
+    return bound(reshaped(rest, "iban", key), lambda m: F.concat(country, F.lpad(F.pmod(right(country, m) + off, F.lit(100)).cast("string"), 2, "0"), m))
+
+
+def surrogate(entity: Column, key: str) -> Column:
     """The replacement of a found value."""
-    kind = kind_of(entity)
     tld = F.regexp_extract(entity, r"\.[A-Za-z]+$", 0)
     mail = F.concat(reshaped(entity.substr(F.lit(1), F.length(entity) - F.length(tld)), "email", key), tld)
     country = F.regexp_extract(entity, r"^\+[0-9]{1,3}(?=[ .(-])", 0)
-    phone = F.concat(country, reshaped(entity.substr(F.length(country) + 1, F.length(entity)), "phone", key))
-    bank = F.concat(F.substring(entity, 1, 2), reshaped(entity.substr(F.lit(3), F.length(entity)), "iban", key))
+    phone = F.concat(country, compactly(entity.substr(F.length(country) + 1, F.length(entity)), lambda t: reshaped(t, "phone", key)))
     words = F.split(entity, " ")
-    name = F.concat_ws(" ", F.element_at(words, 1), F.array_join(F.transform(F.slice(words, F.lit(2), F.size(words)), lambda w: one_name(w, key)), " "))
-    return (
-        F.when(kind == "email", mail)
-        .when(kind == "ip", address(entity, key))
-        .when(kind == "iban", bank)
-        .when(kind == "phone", phone)
-        .when(kind == "name", name)
-        .otherwise(reshaped(entity, "number", key))
+    titled = F.size(words) > 1
+    named = F.transform(F.when(titled, F.slice(words, F.lit(2), F.size(words))).otherwise(words), lambda w: one_name(w, key))
+    name = F.concat(F.when(titled, F.concat(F.element_at(words, 1), F.lit(" "))).otherwise(F.lit("")), F.array_join(named, " "))
+    return bound(
+        kind_of(entity),
+        lambda kind: (
+            F.when(kind == "email", mail)
+            .when(kind == "ip", address(entity, key))
+            .when(kind == "iban", compactly(entity, lambda t: account(t, key)))
+            .when(kind == "card", compactly(entity, lambda t: card(t, key)))
+            .when(kind == "phone", phone)
+            .when(kind == "name", name)
+            .otherwise(compactly(entity, lambda t: reshaped(t, "number", key)))
+        ),
     )
 
 
-def replace(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", key: str = KEY) -> DataFrame:
-    """Rows ``id, text`` (values replaced) ``, n_entities, kinds`` (of the values, in order) for every row of ``docs``."""
-    text = F.col(text_col)
-    found = docs.select(F.col(id_col), text.alias("text"), F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(ANY), F.lit(0))).otherwise(F.array().cast("array<string>")).alias("entities"))
-    found = found.withColumn("entities", F.coalesce("entities", F.array().cast("array<string>")))
-    between = F.split("text", ANY, -1)
-    woven = F.array_join(F.zip_with(between, F.transform("entities", lambda e: surrogate(e, key)), lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
-    return found.select(id_col, F.when(F.size("entities") > 0, woven).otherwise(F.col("text")).alias("text"), F.size("entities").alias("n_entities"), F.transform("entities", kind_of).alias("kinds"))
+def parted(text: Column) -> Column:
+    """The text's pieces: at odd places (from 0) the values found, between them the rest."""
+    mail, digit, title = F.contains(text, F.lit("@")), text.rlike("[0-9]"), F.contains(text, F.lit(TITLES[0]))
+    for t in TITLES[1:]:
+        title |= F.contains(text, F.lit(t))
+
+    def searched(pattern: Column) -> Column:
+        marked = F.split(F.regexp_replace(text, F.concat(F.lit("("), pattern, F.lit(")")), F.lit(f"{MARK}$1{MARK}")), MARK, -1)
+        between, found = F.split(text, pattern, -1), F.regexp_extract_all(text, pattern, F.lit(0))  # for texts that hold the mark
+        woven = F.flatten(F.transform(between, lambda t, i: F.when(i < F.size(found), F.array(t, F.get(found, i))).otherwise(F.array(t))))
+        return F.when(F.contains(text, F.lit(MARK)), woven).otherwise(marked)
+
+    numbers = "|".join([IPV4, IBAN, CARD, SSN, PHONE])
+    plain = F.when(mail & digit, searched(F.lit(EMAIL + "|" + numbers))).when(digit, searched(F.lit(numbers))).when(mail, searched(F.lit(EMAIL)))
+    persons = F.regexp_extract_all(text, F.lit(NAME), F.lit(0))
+    words = F.array_distinct(F.flatten(F.transform(persons, lambda n: F.filter(F.split(n, " "), lambda w, i: i > 0))))
+    every = F.lit(f"{EMAIL}|{numbers}|{NAME}" + r"|(?<!\p{L})(?:")
+    named = bound(words, lambda w: F.when(F.size(w) > 0, searched(F.concat(every, F.array_join(w, "|"), F.lit(r")(?!\p{L})")))))
+    return F.coalesce(F.when(title, named), plain, F.array(text))
+
+
+def replace(docs: DataFrame, key: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows ``id, text`` (values replaced) ``, n_entities, kinds`` (of the values, in order) ``, distinct_kept`` for every row of ``docs``."""
+    found = docs.select(F.col(id_col), F.col(text_col).alias("text"), parted(F.col(text_col)).alias("pieces"))
+    made = found.select(id_col, "text", "pieces", F.transform("pieces", lambda p, i: F.when(i % 2 == 1, surrogate(p, key)).otherwise(p)).alias("made"))
+    odd = lambda pieces: F.filter(pieces, lambda p, i: i % 2 == 1)
+    many = lambda pieces: F.size(F.array_distinct(F.transform(odd(pieces), F.lower)))
+    return made.select(id_col, F.when(F.col("text").isNotNull(), F.array_join("made", "")).alias("text"), F.size(odd("pieces")).alias("n_entities"), F.transform(odd("pieces"), kind_of).alias("kinds"), (many("pieces") == many("made")).alias("distinct_kept"))
 
 
-def entities(docs: DataFrame, text_col: str = "text", key: str = KEY) -> DataFrame:
+def entities(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame:
     """Rows ``kind, value, surrogate`` of all different values found, letter case apart."""
-    text = F.col(text_col)
-    values = docs.where(text.rlike(HINT)).select(F.explode(F.regexp_extract_all(text, F.lit(ANY), F.lit(0))).alias("value"))
+    values = docs.select(F.explode(F.filter(parted(F.col(text_col)), lambda p, i: i % 2 == 1)).alias("value"))
     kind = kind_of(F.col("value"))
     same = values.select(kind.alias("kind"), F.when(kind == "email", F.lower("value")).otherwise(F.col("value")).alias("value")).distinct()
     return same.withColumn("surrogate", surrogate(F.col("value"), key))
 
 
-def collisions(docs: DataFrame, text_col: str = "text", key: str = KEY) -> DataFrame:
+def collisions(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame:
     """Rows ``kind, surrogate, n`` of surrogates that several values share: none, if distinctness holds."""
-    return entities(docs, text_col, key).groupBy("kind", "surrogate").agg(F.count("*").alias("n")).where(F.col("n") > 1)
+    return entities(docs, key, text_col).groupBy("kind", "surrogate").agg(F.count("*").alias("n")).where(F.col("n") > 1)

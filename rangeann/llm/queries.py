@@ -2,17 +2,18 @@
 
 from __future__ import annotations
 
+import secrets as entropy
 from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-
 from pyspark.sql import functions as F
 
 from rangeann.llm import chat, decontamination, jaccard, knn, packing, pii, quality, secrets, tokens, toxicity
 from rangeann.llm.common import table
 
 VOCABULARY = "word_bpe_49k.json"
+_SESSION_KEY = entropy.token_hex(16)
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -52,7 +53,8 @@ def op8_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii.replace(table(spark, sf_dir, "documents"))
+    """By the key of ``spark.rangeann.surrogates.key``; where that is unset, by one that this driver made for itself."""
+    return pii.replace(table(spark, sf_dir, "documents"), spark.conf.get("spark.rangeann.surrogates.key", None) or _SESSION_KEY)
 
 
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
