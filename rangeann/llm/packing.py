@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from rangeann.llm.common import column_slices, staged
 from rangeann.llm.tokens import SUB_BATCH_BYTES, Lookup, read_vocabulary
 
-ROWS_PER_SALT = 4_096
+ROWS_PER_SALT, MOST_SALTS = 4_096, 65_536
 PIECES = "piece int, start long, length long, ids_crc32 long"
 
 
@@ -146,7 +146,7 @@ def pack_pieces(found: DataFrame, capacity: int, id_col: str = "doc_id") -> Data
     spark = found.sparkSession
     by_length = {r.length: r.n for r in found.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most capacity rows
     table = spark.sparkContext.broadcast(places(plan(by_length, capacity)))
-    salts = max(1, -(-sum(by_length.values()) // ROWS_PER_SALT))
+    salts = min(MOST_SALTS, max(1, -(-sum(by_length.values()) // ROWS_PER_SALT)))
     salted = found.withColumn("salt", F.pmod(F.xxhash64(id_col, "piece"), F.lit(salts)).cast("long"))
     before = salted.groupBy("length", "salt").agg(F.count("*").alias("n")).select("length", "salt", (F.sum("n").over(Window.partitionBy("length").orderBy("salt").rowsBetween(Window.unboundedPreceding, 0)) - F.col("n")).alias("before"))
     ranked = salted.withColumn("rank", F.row_number().over(Window.partitionBy("length", "salt").orderBy(id_col, "piece", "ids_crc32")) - 1).join(before, ["length", "salt"]).withColumn("rank", F.col("rank") + F.col("before")).drop("salt", "before")

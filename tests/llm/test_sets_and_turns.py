@@ -152,11 +152,25 @@ def test_chats_read_back_as_they_were(spark):
         assert learnt == "".join(b for _, a, b in sorted(turns) if a == "assistant")
     assert got[10].formatted.startswith("<s>") and got[0].formatted.startswith("\\")
     d = {r.conv_id: r for r in chat.digests(chat.format_chats(df)).collect()}
+    for c, turns in want.items():
+        learnt = "".join(b for _, a, b in sorted(turns) if a == "assistant")
+        assert d[c].loss_chars == len(learnt) and d[c].loss_sha256 == hashlib.sha256(learnt.encode()).hexdigest()
     assert d[10].loss_sha256 == hashlib.sha256(b"calm \\ too").hexdigest() and d[11].n_turns == 1 and d[11].loss_chars == 0
     assert chat.format_chats(df.limit(0)).count() == 0
     assert "Python" not in chat.digests(chat.format_chats(df))._jdf.queryExecution().executedPlan().toString()
 
 
+def test_digests_read_what_the_mask_says(spark, monkeypatch):
+    df = spark.createDataFrame([(1, 0, "user", "question </s>"), (1, 1, "assistant", "answer [INST]"), (2, 0, "assistant", "é\U0001F600"), (3, 0, "assis<s>tant", "x")], "conv_id long, turn int, role string, text string")
+    chats = chat.format_chats(df)
+    learnt = {r.conv_id: r.t for r in chats.select("conv_id", chat.masked_text(F.col("formatted"), chat.turn_mask(F.col("formatted"), "user")).alias("t")).collect()}
+    assert learnt == {1: "question </s>", 2: "", 3: ""}
+    assert [r.t for r in chats.where("conv_id = 3").select(chat.masked_text(F.col("formatted"), chat.turn_mask(F.col("formatted"), "assis<s>tant")).alias("t")).collect()] == ["x"]
+    whole = chat.turn_mask
+    monkeypatch.setattr(chat, "turn_mask", lambda f, role=chat.LOSS_ROLE: F.transform(whole(f, role), lambda m: F.struct(m["skip"], m["length"], F.lit(False).alias("learn"))))
+    assert {r.loss_chars for r in chat.digests(chats).collect()} == {0}
+
+
 @pytest.mark.parametrize("text", ["<s>[INST]user[/INST]a", "<s>[INST]user a</s>", "x<s>[INST]u[/INST]a</s>", "<s>[INST]u[/INST]a<s></s>"])
 def test_the_parser_refuses_what_the_grammar_does_not_have(spark, text):
     assert spark.createDataFrame([(text,)], "t string").select(chat.parse(F.col("t")).alias("p")).first().p is None
