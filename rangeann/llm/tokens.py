@@ -19,6 +19,7 @@ from __future__ import annotations
 import json
 import os
 from collections import Counter
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,6 +33,7 @@ MAX_KEY = 64  # bytes of a pre-token that may enter a cache
 CACHE_ENTRIES = 700_000  # of a worker's cache
 KEPT_KEY = 9  # bytes of a pre-token that stays when the cache is full
 SUB_BATCH_BYTES = 4 << 20
+COUNT_BYTES = 16 << 20  # of texts counted at once; what they have once is not frequent
 TASK_TOP = 4_096  # pre-tokens that one task reports
 TASK_DISTINCT = 200_000  # pre-tokens that one task counts at a time
 
@@ -73,6 +75,13 @@ def split(texts: pa.Array, folds: bool) -> pa.ListArray:
     return pc.ascii_split_whitespace(texts)
 
 
+def repeated(texts: pa.Array, folds: bool) -> Iterator[tuple[str, int]]:
+    """The pre-tokens that these texts have more than once, with how often."""
+    found = split(texts, folds).flatten().value_counts()
+    found = found.filter(pc.and_(pc.greater(found.field(1), 1), pc.not_equal(found.field(0), "")))
+    return zip(found.field(0).to_pylist(), found.field(1).to_pylist(), strict=True)
+
+
 class Lookup:
     """Pre-token to value, by the frequent table, then the worker's cache, then the library.
 
@@ -207,14 +216,12 @@ def frequent_pretokens(docs: DataFrame, text_col: str, table_size: int, folds: b
     def tops(batches):
         counts: Counter = Counter()
         for batch in batches:
-            for _, _, texts in column_slices(batch, text_col, SUB_BATCH_BYTES):
-                found = split(texts, folds).flatten().value_counts()
-                for k, n in zip(found.field(0).cast(pa.binary()).to_pylist(), found.field(1).to_pylist(), strict=True):
+            for _, _, texts in column_slices(batch, text_col, COUNT_BYTES):
+                for k, n in repeated(texts, folds):
                     counts[k] += n
-                counts.pop(b"", None)
                 if len(counts) > TASK_DISTINCT:
                     counts = Counter(dict(counts.most_common(TASK_DISTINCT // 4)))
-        top = [(k, n) for k, n in counts.most_common(TASK_TOP) if n > 1 and len(k) <= MAX_KEY]
+        top = [(k.encode(), n) for k, n in counts.most_common(TASK_TOP) if len(k.encode()) <= MAX_KEY]
         yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in top], pa.binary()), pa.array([n for _, n in top], pa.int64())], names=["pretoken", "n"])
 
     best = docs.select(text_col).mapInArrow(tops, "pretoken binary, n long").groupBy("pretoken").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "pretoken").limit(table_size)
