@@ -26,6 +26,11 @@ def pairs(objects: DataFrame, queries: DataFrame, condition: Column) -> DataFram
     return reduce(lambda a, b: a.unionByName(b), [objects.join(F.broadcast(q), condition) for q in query_blocks(queries)])
 
 
+def asked_of(queries: DataFrame) -> DataFrame:
+    """A query side that is broadcast if it is small enough for one block, else left to a join by its key."""
+    return F.broadcast(queries) if len(query_blocks(queries)) == 1 else queries
+
+
 def top_k(found: DataFrame, k: int, digits: int | None = 6) -> DataFrame:
     """Rows ``qid, rank, id, dist`` of each query's k nearest; ties go to the smaller id."""
     w = Window.partitionBy("qid").orderBy("dist", "id")

@@ -1,7 +1,8 @@
 """Building, storing and searching the versioned tree of graphs, a shard a row.
 
-Objects are dealt to shards by a hash of their id; a shard's graphs are made by several tasks
-(levels of the tree are independent), then packed into one row: its members once, and the edges of each orientation in a
+Objects are dealt to shards by ranges of (l, r), so that a query concerns few shards where intervals are short; equal intervals are
+dealt on by a hash of the id.  A shard's objects cross the exchange once where shards are many; where there are fewer than cores, the
+levels of its trees are made by several tasks.  They are packed into one row: its members once, and the edges of each orientation in a
 column of their own, so that a search reads only those it needs.  A search is a map over the
 shards that the queries can concern, with the queries broadcast in checked blocks, and one top-k
 merge; no step brings a graph to the driver or shuffles it.
@@ -22,14 +23,17 @@ from pyspark.sql import functions as F
 
 from rangeann.functions.predicates import ORIENTATIONS, Box, atomic_plan, plan
 from rangeann.operators.exact import query_blocks, top_k
-from rangeann.plans.kernel import Shard
-from rangeann.plans.methods import METHODS, Oriented, level_edges
+from rangeann.plans.kernel import Edges, Shard
+from rangeann.plans.methods import BUCKETS, METHODS, SMALL, Domain, Oriented, level_edges
 from rangeann.sources.storage import staged
 
-SHARD_ROWS = 20_000
+SHARD_ROWS = 65_536
+WARM_UP = 2  # queries that a timed run answers before its clock starts
 EDGE_COLUMNS = ("level", "src", "dst", "begin", "end")
-_FOUND = "qid long, id long, dist double, distances long, hops long, edges long, unqualified long, swept long"
+WORK = ("distances", "hops", "edges", "unqualified", "missed")
+_FOUND = "qid long, id long, dist double, " + ", ".join(f"{c} long" for c in WORK) + ", search_s double"
 _FOUND_NAMES = [c.split(" ")[0] for c in _FOUND.split(", ")]
+_FLOATS = ("dist", "search_s", "build_s")
 
 
 def number_kind(kind: str) -> str:
@@ -59,20 +63,73 @@ def shard_of(table: pa.Table) -> Shard:
     width = len(flat[0]) if len(flat) else 0
     vectors = np.asarray(flat.flatten(), dtype=np.float64).reshape(-1, width)[order]
     left, right = (np.asarray(table.column(c).combine_chunks())[order] for c in ("l", "r"))
-    return Shard(ids[order], vectors, left, right, np.unique(np.concatenate([left, right])))
+    return Shard(ids[order], vectors, left, right)
 
 
 def sharded(objects: DataFrame, shards: int) -> DataFrame:
-    return numbered(objects, "l", "r").withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int"))
+    """Objects with their shard, by ranges of (l, r, hash of the id)."""
+    objects = numbered(objects, "l", "r")
+    if shards == 1:
+        return objects.withColumn("shard", F.lit(0))
+    return staged(objects.withColumn("spread", F.xxhash64("id")).repartitionByRange(shards, "l", "r", "spread").drop("spread").withColumn("shard", F.spark_partition_id()), "shards")
+
+
+def shard_count(objects: DataFrame, shard_rows: int) -> int:
+    return max(1, -(-objects.count() // shard_rows))
+
+
+def each_alone(rows: DataFrame, unit: str, count: int) -> DataFrame:
+    """Rows dealt so that each of ``count`` units (from 0) has a partition of its own, which adaptive execution leaves alone."""
+    if count > 4_096:
+        return rows
+    spark = rows.sparkSession
+    names = spark.range(64 * count + 64).select(F.col("id").cast("int").alias("id"), F.pmod(F.hash(F.col("id").cast("int")), F.lit(count)).alias("p")).groupBy("p").agg(F.min("id").alias("id")).collect()
+    by = [r.id for r in sorted(names, key=lambda r: r.p)]
+    if len(by) < count:
+        return rows
+    return rows.withColumn(unit, F.get(F.array(*map(F.lit, by)), F.col(unit))).repartition(count, unit)
 
 
 def pack_array(x: np.ndarray) -> bytes:
     return np.ascontiguousarray(x).tobytes()
 
 
+def row_shard(row: dict, number: type) -> Shard:
+    """A shard from an index row."""
+    vectors = np.frombuffer(row["vecs"], np.float32).astype(np.float64).reshape(row["n"], row["d"])
+    return Shard(np.frombuffer(row["ids"], np.int64), vectors, np.frombuffer(row["left"], number), np.frombuffer(row["right"], number), np.frombuffer(row["tie"], np.int64))
+
+
+def row_tree(row: dict, shard: Shard, orient: str, m: int, small: int) -> Oriented:
+    number = shard.left.dtype.type
+    return Oriented(shard, Domain(shard, orient, cuts=np.frombuffer(row[f"{orient}_cuts"], number)), Edges.unpacked(row[orient]), m, small)
+
+
+def member_row(shard: Shard, s: Shard, name: int, residual: np.ndarray | None = None) -> dict:
+    return {
+        "shard": name, "n": len(s), "d": s.vectors.shape[1], "l_min": s.left.min(), "l_max": s.left.max(), "r_min": s.right.min(), "r_max": s.right.max(), "ids": pack_array(s.ids),
+        "vecs": pack_array(s.vectors.astype(np.float32)), "left": pack_array(s.left), "right": pack_array(s.right), "tie": pack_array(s.tie.astype(np.int64)), "residual": None if residual is None else pack_array(residual),
+    }
+
+
+def edge_columns(orient: str, edges: Edges, cuts: bytes) -> dict:
+    return {orient: edges.packed(), f"{orient}_cuts": cuts, f"{orient}_edges": edges.count}
+
+
+def row_schema(kind: str, orientations: Iterable[str]) -> list[tuple[str, pa.DataType, str]]:
+    """Names and types of an index row, for Arrow and for Spark."""
+    end = (pa.float64(), "double") if kind == "double" else (pa.int64(), "long")
+    out = [("shard", pa.int32(), "int"), ("n", pa.int64(), "long"), ("d", pa.int32(), "int"), *((c, *end) for c in ("l_min", "l_max", "r_min", "r_max")), *((c, pa.binary(), "binary") for c in ("ids", "vecs", "left", "right", "tie", "residual"))]
+    return out + [("build_s", pa.float64(), "double")] + [c for o in orientations for c in ((o, pa.binary(), "binary"), (f"{o}_cuts", pa.binary(), "binary"), (f"{o}_edges", pa.int64(), "long"))]
+
+
+def ddl(schema: list[tuple[str, pa.DataType, str]]) -> str:
+    return ", ".join(f"{n} {t}" for n, _, t in schema)
+
+
 @dataclass
 class Index:
-    """Rows ``shard, n, d, l_min, l_max, r_min, r_max, ids, vecs, left, right`` and a column of edges an orientation."""
+    """Rows of ``row_schema``: bounds, members, and three columns an orientation (edges, least keys of the leaves, how many edges)."""
 
     rows: DataFrame
     m: int
@@ -82,8 +139,8 @@ class Index:
     kind: str  # of the interval ends
 
     def save(self, path: str) -> None:
-        self.rows.write.mode("overwrite").parquet(f"{path}/shards")
-        meta = {"m": self.m, "ef_con": self.ef_con, "small": self.small, "orientations": list(self.orientations), "kind": self.kind, "format": 1}
+        self.rows.sortWithinPartitions("l_min").write.mode("overwrite").parquet(f"{path}/shards")
+        meta = {"m": self.m, "ef_con": self.ef_con, "small": self.small, "orientations": list(self.orientations), "kind": self.kind, "format": 2}
         self.rows.sparkSession.createDataFrame([(json.dumps(meta),)], "meta string").coalesce(1).write.mode("overwrite").text(f"{path}/meta")
 
     @staticmethod
@@ -92,15 +149,15 @@ class Index:
         return Index(spark.read.parquet(f"{path}/shards"), meta["m"], meta["ef_con"], meta["small"], tuple(meta["orientations"]), meta["kind"])
 
     def edges(self, *orientations: str) -> DataFrame:
-        """Rows ``shard, orient, level, src, dst, begin, end``; src and dst are object ids."""
+        """Rows ``shard, orient, level, src, dst, begin, end``; src and dst are object ids, begin and end version ranks of the shard."""
 
         def unpack(batches: Iterable[pa.RecordBatch]):
             for batch in batches:
                 for row in batch.to_pylist():
                     ids = np.frombuffer(row["ids"], np.int64)
                     for o in orientations:
-                        e = np.frombuffer(row[o], np.int32).reshape(-1, 5)
-                        columns = [pa.array(np.full(len(e), row["shard"], np.int32)), pa.array([o] * len(e)), pa.array(e[:, 0]), pa.array(ids[e[:, 1]]), pa.array(ids[e[:, 2]]), pa.array(e[:, 3]), pa.array(e[:, 4])]
+                        e = Edges.unpacked(row[o]).rows()
+                        columns = [pa.array(np.full(len(e), row["shard"], np.int32)), pa.array([o] * len(e)), pa.array(e[:, 0], pa.int32()), pa.array(ids[e[:, 1]]), pa.array(ids[e[:, 2]]), pa.array(e[:, 3], pa.int32()), pa.array(e[:, 4], pa.int32())]
                         yield pa.RecordBatch.from_arrays(columns, names=["shard", "orient", *EDGE_COLUMNS])
 
         orientations = orientations or self.orientations
@@ -108,44 +165,74 @@ class Index:
 
     def size(self) -> DataFrame:
         """Rows ``orient, edges, bytes`` over all shards."""
-        parts = [self.rows.agg((F.sum(F.octet_length(o)) / 20).cast("long").alias("edges"), F.sum(F.octet_length(o)).alias("bytes")).select(F.lit(o).alias("orient"), "edges", "bytes") for o in self.orientations]
+        parts = [self.rows.agg(F.sum(f"{o}_edges").alias("edges"), F.sum(F.octet_length(o)).cast("long").alias("bytes")).select(F.lit(o).alias("orient"), "edges", "bytes") for o in self.orientations]
         return reduce(lambda a, b: a.unionByName(b), parts)
 
 
-def build(objects: DataFrame, m: int = 16, ef_con: int = 100, orientations: Iterable[str] = tuple(ORIENTATIONS), shard_rows: int = SHARD_ROWS, small: int = 2, tasks: int = 4, graph: str = "grown") -> Index:
-    """The labelled index over sound objects (``model.validate``)."""
+def build(objects: DataFrame, m: int = 16, ef_con: int = 100, orientations: Iterable[str] = tuple(ORIENTATIONS), shard_rows: int = SHARD_ROWS, small: int = SMALL, graph: str = "grown", buckets: int = BUCKETS, residual: str | None = None) -> Index:
+    """The labelled index over sound objects (``model.validate``); ``residual`` names a whole-number column for further filters."""
     orientations = tuple(orientations)
-    shards = max(1, -(-objects.count() // shard_rows))
-    base = sharded(objects, shards).select("shard", "id", "vec", "l", "r")
-    kind = dict(base.dtypes)["l"]
-    split = base.withColumn("orient", F.explode(F.array(*map(F.lit, orientations)))).withColumn("task", F.explode(F.array(*map(F.lit, range(tasks)))))
-
-    def grow(t: pa.Table) -> pa.Table:
-        s, orient, task = shard_of(t), t.column("orient")[0].as_py(), t.column("task")[0].as_py()
-        height = max(0, (len(s.values) - 1).bit_length())
-        # the root level costs most and goes alone; the others are dealt out
-        own = [j for j in range(height + 1) if (0 if j == 0 or tasks == 1 else 1 + (j - 1) % (tasks - 1)) == task]
-        found = [level_edges(s, orient, j, m, ef_con, small, graph) for j in own]
-        e = np.concatenate(found).astype(np.int32) if found else np.zeros((0, 5), np.int32)
-        return pa.table([pa.array([t.column("shard")[0].as_py()], pa.int32()), pa.array([orient]), pa.array([pack_array(e)], pa.binary())], names=["shard", "orient", "edges"])
-
-    def members(t: pa.Table) -> pa.Table:
+    spark, shards = objects.sparkSession, shard_count(objects, shard_rows)
+    base = sharded(objects, shards).select("shard", "id", "vec", "l", "r", (F.col(residual) if residual else F.lit(None)).cast("long").alias("residual"))
+    kind = dict(base.dtypes)["l"].replace("bigint", "long")
+    schema = row_schema(kind, orientations)
+    tasks = max(1, min(8 * len(orientations), spark.sparkContext.defaultParallelism // shards))
+    groups = max(1, tasks // len(orientations))  # of levels
+    part = pa.schema([("shard", pa.int32()), ("orient", pa.string()), ("level", pa.int32()), ("edges", pa.binary()), ("cuts", pa.binary()), ("build_s", pa.float64())])
+
+    def levels(s: Shard, orient: str, group: int) -> list[dict]:
+        """A tree's levels of one group; the first levels, which cost most, are groups of their own."""
+        start = time.perf_counter()
+        domain, out = Domain(s, orient, buckets), []
+        for j in range(domain.height + 1):
+            if (j if j < groups else groups - 1 - (j - groups) % max(1, groups - 1)) == group:
+                e = level_edges(s, domain, j, m, ef_con, small, graph)
+                e = e[np.lexsort((e[:, 2], e[:, 1]))].astype(np.int32)
+                now = time.perf_counter()
+                out.append({"orient": orient, "level": j, "edges": pack_array(e[:, 1:].T), "cuts": pack_array(domain.cuts) if j == 0 else None, "build_s": now - start})
+                start = now
+        return out
+
+    def packed(s: Shard, found: list[dict]) -> dict:
+        row = {"build_s": sum(f["build_s"] for f in found)}
+        for o in orientations:
+            own = sorted((f for f in found if f["orient"] == o), key=lambda f: f["level"])
+            row |= edge_columns(o, Edges.merged(len(s), [tuple(np.frombuffer(f["edges"], np.int32).reshape(4, -1)) for f in own]), own[0]["cuts"])
+        return row
+
+    def arrow(row: dict) -> pa.Table:
+        return pa.Table.from_pylist([row], schema=pa.schema([(n, t) for n, t, _ in schema]))
+
+    def residuals(t: pa.Table) -> np.ndarray | None:
+        if residual is None:
+            return None
+        ids = np.asarray(t.column("id").combine_chunks())
+        return np.asarray(t.column("residual").combine_chunks().fill_null(np.iinfo(np.int64).min))[np.argsort(ids, kind="stable")]
+
+    def whole(t: pa.Table) -> pa.Table:
+        """A shard's row by one task."""
         s = shard_of(t)
-        row = {"shard": t.column("shard")[0].as_py(), "n": len(s), "d": s.vectors.shape[1], "l_min": s.left.min(), "l_max": s.left.max(), "r_min": s.right.min(), "r_max": s.right.max(), "ids": pack_array(s.ids), "vecs": pack_array(s.vectors.astype(np.float32)), "left": pack_array(s.left), "right": pack_array(s.right)}
-        return pa.Table.from_pylist([row], schema=pa.schema([("shard", pa.int32()), ("n", pa.int64()), ("d", pa.int32()), *((c, pa.float64() if kind == "double" else pa.int64()) for c in ("l_min", "l_max", "r_min", "r_max")), *((c, pa.binary()) for c in ("ids", "vecs", "left", "right"))]))
+        found = [f for o in orientations for g in range(groups) for f in levels(s, o, g)]
+        return arrow(member_row(s, s, t.column("shard")[0].as_py(), residuals(t)) | packed(s, found))
 
-    grown = split.groupBy("shard", "orient", "task").applyInArrow(grow, "shard int, orient string, edges binary")
+    if tasks == 1:
+        return Index(staged(each_alone(base, "shard", shards).groupBy("shard").applyInArrow(whole, ddl(schema)), "index"), m, ef_con, small, orientations, kind)
 
-    def pack(t: pa.Table) -> pa.Table:
-        by = {o: [] for o in orientations}
-        for o, e in zip(t.column("orient").to_pylist(), t.column("edges").to_pylist(), strict=True):
-            by[o].append(e)
-        row = {"shard": t.column("shard")[0].as_py(), **{o: b"".join(e) for o, e in by.items()}}
-        return pa.Table.from_pylist([row], schema=pa.schema([("shard", pa.int32()), *((o, pa.binary()) for o in orientations)]))
+    def some(t: pa.Table) -> pa.Table:
+        unit = t.column("work")[0].as_py()
+        found = levels(shard_of(t), orientations[unit // groups % len(orientations)], unit % groups)
+        return pa.Table.from_pylist([{"shard": t.column("shard")[0].as_py(), **f} for f in found], schema=part)
 
-    packed = grown.groupBy("shard").applyInArrow(pack, "shard int, " + ", ".join(f"{o} binary" for o in orientations))
-    own = base.groupBy("shard").applyInArrow(members, f"shard int, n long, d int, l_min {kind}, l_max {kind}, r_min {kind}, r_max {kind}, ids binary, vecs binary, left binary, right binary")
-    return Index(staged(own.join(packed, "shard"), "index"), m, ef_con, small, orientations, kind)
+    each = len(orientations) * groups
+    split = base.withColumn("work", F.explode(F.sequence(F.lit(0), F.lit(each - 1)))).withColumn("unit", F.col("shard") * each + F.col("work"))
+    grown = each_alone(split, "unit", shards * each).groupBy("unit").applyInArrow(some, "shard int, orient string, level int, edges binary, cuts binary, build_s double")
+
+    def join(members: pa.Table, found: pa.Table) -> pa.Table:
+        s = shard_of(members)
+        return arrow(member_row(s, s, members.column("shard")[0].as_py(), residuals(members)) | packed(s, found.to_pylist()))
+
+    made = base.groupBy("shard").cogroup(staged(grown, "levels").groupBy("shard")).applyInArrow(join, ddl(schema))
+    return Index(staged(made, "index"), m, ef_con, small, orientations, kind)
 
 
 def concerned(queries: DataFrame, boxes: list[Box]) -> Column:
@@ -167,10 +254,50 @@ def concerned(queries: DataFrame, boxes: list[Box]) -> Column:
     return reduce(lambda a, b: a | b, terms)
 
 
-def search(index: Index, queries: DataFrame, mask: int | None = None, k: int = 10, ef: int = 100, boxes: list[Box] | None = None, mode: str = "layered", exact_below: int = 0, complete: bool = False, atomic: bool = False) -> DataFrame:
+def concerns(box: Box, lq, rq, row: dict) -> bool:
+    """Whether a query's box can hold an object of a shard."""
+    ends = {"lq": lq, "rq": rq}
+    attribute, order, key = ORIENTATIONS[box.orient]
+    if box.version and (row[f"{attribute}_min"] > ends[box.version] if order > 0 else row[f"{attribute}_max"] < ends[box.version]):
+        return False
+    return not (box.low and row[f"{key}_max"] < ends[box.low]) and not (box.high and row[f"{key}_min"] > ends[box.high])
+
+
+def answers(row: dict, index_m: int, small: int, number: type, boxes: list[Box], asked: list[tuple], k: int, ef: int, mode: str, exact_below: int, residual: int | None) -> list[tuple]:
+    """A shard's best k of each query, and the work of each box, as rows of ``_FOUND``."""
+    s = row_shard(row, number)
+    trees = {o: row_tree(row, s, o, index_m, small) for o in sorted({b.orient for b in boxes})}
+    extra = None if residual is None else np.frombuffer(row["residual"], np.int64) == residual
+    rows = []
+    for qid, q, lq, rq in [*asked[:WARM_UP], *asked]:
+        start = time.perf_counter()
+        best: dict[int, float] = {}
+        total = [0] * len(WORK)
+        for b in boxes:
+            if concerns(b, lq, rq, row):
+                marks = extra
+                if b.residual:
+                    marks = s.left == lq if extra is None else extra & (s.left == lq)
+                got, w = trees[b.orient].find(q, *trees[b.orient].bounds(b, lq, rq), k, ef, mode, exact_below, marks)
+                best |= {r: d for d, r in got}
+                total = [a + getattr(w, c) for a, c in zip(total, WORK, strict=True)]
+        top = sorted((d, s.ids[r]) for r, d in best.items())[:k]
+        rows.append((qid, None, None, *total, time.perf_counter() - start))
+        rows += [(qid, int(i), float(np.sqrt(d)), *[0] * len(WORK), 0.0) for d, i in top]
+    warm = sum(r[1] is None for r in rows) - len(asked)
+    at = [i for i, r in enumerate(rows) if r[1] is None]
+    return rows[at[warm] :] if warm < len(at) else []
+
+
+def found_batch(rows: list[tuple], names: list[str] = _FOUND_NAMES) -> pa.RecordBatch:
+    columns = list(zip(*rows, strict=True)) or [()] * len(names)
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.float64() if n in _FLOATS else pa.int64()) for n, c in zip(names, columns, strict=True)], names=names)
+
+
+def search(index: Index, queries: DataFrame, mask: int | None = None, k: int = 10, ef: int = 100, boxes: list[Box] | None = None, mode: str = "layered", exact_below: int = 0, atomic: bool = False, residual: int | None = None) -> DataFrame:
     """Rows ``qid, id, dist`` and the work of every shard's walk, before the merge.
 
-    ``boxes`` overrides the mask's plan (Allen's relations); ``complete`` also visits qualifying members that no edge led to.
+    ``boxes`` overrides the mask's plan (Allen's relations); with ``residual`` only objects of that value of the index' further column count.
     """
     boxes = boxes or (atomic_plan(mask) if atomic else plan(mask))
     needed = sorted({b.orient for b in boxes})
@@ -186,22 +313,9 @@ def search(index: Index, queries: DataFrame, mask: int | None = None, k: int = 1
         def run(batches: Iterable[pa.RecordBatch], shared=shared):
             for batch in batches:
                 for row in batch.to_pylist():
-                    left, right = np.frombuffer(row["left"], number), np.frombuffer(row["right"], number)
-                    s = Shard(np.frombuffer(row["ids"], np.int64), np.frombuffer(row["vecs"], np.float32).astype(np.float64).reshape(row["n"], row["d"]), left, right, np.unique(np.concatenate([left, right])))
-                    trees = {o: Oriented(s, o, np.frombuffer(row[o], np.int32).astype(np.int64).reshape(-1, 5), m, small) for o in needed}
-                    rows = []
-                    for qid, q, lq, rq in shared.value:
-                        best: dict[int, float] = {}
-                        for b in boxes:
-                            same = s.left == lq if b.residual else None
-                            got, w = trees[b.orient].find(q, *trees[b.orient].bounds(b, lq, rq), k, ef, mode, exact_below, complete, same)
-                            best |= {r: d for d, r in got}
-                            rows.append((qid, None, None, w.distances, w.hops, w.edges, w.unqualified, w.swept))
-                        for d, _, r in sorted((d, s.ids[r], r) for r, d in best.items())[:k]:
-                            rows.append((qid, int(s.ids[r]), float(np.sqrt(d)), 0, 0, 0, 0, 0))
-                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64() if n == "dist" else pa.int64()) for n, c in zip(_FOUND_NAMES, list(zip(*rows, strict=True)) or [()] * len(_FOUND_NAMES), strict=True)], names=_FOUND_NAMES)
-
-        part = index.rows.where(concerned(block, boxes)).select("n", "d", "ids", "vecs", "left", "right", *needed).mapInArrow(run, _FOUND)
+                    yield found_batch(answers(row, m, small, number, boxes, shared.value, k, ef, mode, exact_below, residual))
+
+        part = index.rows.where(concerned(block, boxes)).drop("build_s").mapInArrow(run, _FOUND)
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -213,7 +327,7 @@ def merge(found: DataFrame, k: int, digits: int | None = 6) -> DataFrame:
 
 def work(found: DataFrame) -> DataFrame:
     """Rows ``qid`` with the work of all walks."""
-    return found.groupBy("qid").agg(*[F.sum(c).alias(c) for c in _FOUND_NAMES[3:]])
+    return found.groupBy("qid").agg(*[F.sum(c).alias(c) for c in WORK])
 
 
 def rrknn(index: Index, queries: DataFrame, mask: int, k: int = 10, ef: int = 100, digits: int | None = 6, **options) -> DataFrame:
@@ -221,32 +335,62 @@ def rrknn(index: Index, queries: DataFrame, mask: int, k: int = 10, ef: int = 10
     return merge(search(index, queries, mask, k, ef, **options), k, digits)
 
 
-def run_method(objects: DataFrame, queries: DataFrame, method: str, mask: int, k: int = 10, ef: int = 100, shard_rows: int = SHARD_ROWS, **options) -> DataFrame:
-    """Any method of ``METHODS``, built and searched shard by shard; rows as of ``search`` with build seconds, edges and bytes in rows of null id.
+_RUN_NAMES = ["ef", *_FOUND_NAMES, "build_s", "edge_count", "bytes"]
+_RUN = "ef long, " + _FOUND + ", build_s double, edge_count long, bytes long"
+#: What an index of its own can do of the versioned tree; other variants are built by one task a shard.
+_INDEXED = {"orientations", "m", "ef_con", "small", "graph", "buckets", "mode", "exact_below"}
+
+
+def run_method(objects: DataFrame, queries: DataFrame, method: str, mask: int, k: int = 10, efs: Iterable[int] = (100,), shard_rows: int = SHARD_ROWS, repeats: int = 1, **options) -> DataFrame:
+    """Any method of ``METHODS``, built once and searched at each width; rows as of ``search`` with ``ef``, and a row a shard and width with null qid that has build seconds, edges and bytes.
 
-    The queries are broadcast in checked blocks.
+    ``search_s`` is the mean of ``repeats`` runs after a warm-up.  The queries are broadcast in checked blocks.
     """
-    base = sharded(objects, max(1, -(-objects.count() // shard_rows))).select("shard", "id", "vec", "l", "r")
-    parts = [_run_block(base, q, method, mask, k, ef, options) for q in query_blocks(numbered(queries.select("qid", "qvec", "lq", "rq"), "lq", "rq"))]
+    efs = tuple(efs)
+    if method in ("vtg", "atomic_union") and set(options) <= _INDEXED:
+        index = build(objects, shard_rows=shard_rows, **{a: b for a, b in options.items() if a not in ("mode", "exact_below")})
+        looks = {a: b for a, b in options.items() if a in ("mode", "exact_below")}
+        none = lambda names, kind: [F.lit(None).cast(kind).alias(c) for c in names]
+        edges = sum(F.col(f"{o}_edges") for o in index.orientations)
+        size = sum(F.octet_length(o).cast("long") for o in index.orientations)
+        costs = ["build_s", "edge_count", "bytes"]
+        zero = [F.lit(0.0).alias("build_s"), F.lit(0).cast("long").alias("edge_count"), F.lit(0).cast("long").alias("bytes")]
+        runs = []
+        for ef in efs:
+            width = F.lit(ef).cast("long").alias("ef")
+            runs.append(index.rows.select(width, *none(["qid", "id"], "long"), *none(["dist"], "double"), *[F.lit(0).cast("long").alias(c) for c in WORK], F.lit(0.0).alias("search_s"), "build_s", edges.alias("edge_count"), size.alias("bytes")).select("ef", *_FOUND_NAMES, *costs))
+            for turn in range(repeats):
+                found = search(index, queries, mask, k, ef, atomic=method == "atomic_union", **looks)
+                found = found if turn == 0 else found.where("id IS NULL").withColumns({c: F.lit(0).cast("long") for c in WORK})
+                runs.append(found.withColumn("search_s", F.col("search_s") / repeats).select(width, *_FOUND_NAMES, *zero))
+        return reduce(lambda a, b: a.unionByName(b), runs)
+    shards = shard_count(objects, shard_rows)
+    base = each_alone(sharded(objects, shards).select("shard", "id", "vec", "l", "r"), "shard", shards)
+    parts = [_run_block(base, q, method, mask, k, efs, repeats, options) for q in query_blocks(numbered(queries.select("qid", "qvec", "lq", "rq"), "lq", "rq"))]
     return reduce(lambda a, b: a.unionByName(b), parts)
 
 
-def _run_block(base: DataFrame, queries: DataFrame, method: str, mask: int, k: int, ef: int, options: dict) -> DataFrame:
+def _run_block(base: DataFrame, queries: DataFrame, method: str, mask: int, k: int, efs: tuple[int, ...], repeats: int, options: dict) -> DataFrame:
     asked = base.sparkSession.sparkContext.broadcast([(r.qid, np.array(r.qvec, float), r.lq, r.rq) for r in queries.collect()])
 
     def run(t: pa.Table) -> pa.Table:
         made = METHODS[method](**options).build(shard_of(t))
         rows = []
-        for qid, q, lq, rq in asked.value:
-            start = time.perf_counter()
-            found, d, w = made.search(q, lq, rq, mask, k, ef)
-            rows.append((qid, None, None, w.distances, w.hops, w.edges, w.unqualified, w.swept, time.perf_counter() - start, made.build_s, made.edge_count, made.size))
-            rows += [(qid, int(made.shard.ids[r]), float(np.sqrt(x)), 0, 0, 0, 0, 0, 0.0, 0.0, 0, 0) for r, x in zip(found, d, strict=True)]
-        names = [*_FOUND_NAMES, "search_s", "build_s", "edge_count", "bytes"]
-        kinds = [pa.float64() if n in ("dist", "search_s", "build_s") else pa.int64() for n in names]
-        return pa.table([pa.array(c, k) for c, k in zip(list(zip(*rows, strict=True)) or [()] * len(names), kinds, strict=True)], names=names)
-
-    return base.groupBy("shard").applyInArrow(run, _FOUND + ", search_s double, build_s double, edge_count long, bytes long")
+        for ef in efs:
+            at = len(rows)
+            for _, q, lq, rq in asked.value[:WARM_UP]:
+                made.search(q, lq, rq, mask, k, ef)
+            for qid, q, lq, rq in asked.value:
+                start = time.perf_counter()
+                for _ in range(repeats):
+                    found, d, w = made.search(q, lq, rq, mask, k, ef)
+                took = (time.perf_counter() - start) / repeats
+                rows.append((ef, qid, None, None, *(getattr(w, c) for c in WORK), took, 0.0, 0, 0))
+                rows += [(ef, qid, int(made.shard.ids[r]), float(np.sqrt(x)), *[0] * len(WORK), 0.0, 0.0, 0, 0) for r, x in zip(found, d, strict=True)]
+            rows.insert(at, (ef, None, None, None, *[0] * len(WORK), 0.0, made.build_s, made.edge_count, made.size))
+        return pa.Table.from_batches([found_batch(rows, _RUN_NAMES)])
+
+    return base.groupBy("shard").applyInArrow(run, _RUN)
 
 
 def nearest_first(found: DataFrame) -> DataFrame:

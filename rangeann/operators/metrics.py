@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 
 def recall(result: DataFrame, truth: DataFrame) -> DataFrame:
-    """Rows ``qid, recall``: the share of the true ids that were returned (1 where there are none)."""
+    """Rows ``qid, recall``: the share of the true ids that were returned; queries without any true id have no row."""
     hit = truth.select("qid", "id").join(result.select("qid", "id").withColumn("hit", F.lit(1.0)), ["qid", "id"], "left")
     return hit.groupBy("qid").agg(F.avg(F.coalesce("hit", F.lit(0.0))).alias("recall"))
 
@@ -17,10 +17,12 @@ def recall(result: DataFrame, truth: DataFrame) -> DataFrame:
 def rde(result: DataFrame, truth: DataFrame) -> DataFrame:
     """Rows ``qid, rde``: mean ratio of the i-th returned to the i-th true distance, less 1; two zeros have the ratio 1.
 
-    Ranks that were not returned do not count; recall tells of them.
+    A rank that was not returned counts as if the farthest true one had been returned twice as far (ratio 2 at least), so that short answers are not flattered.
     """
-    both = truth.select("qid", "rank", F.col("dist").alias("true")).join(result.select("qid", "rank", "dist"), ["qid", "rank"])
-    ratio = F.when(F.col("true") > 0, F.col("dist") / F.col("true")).when(F.col("dist") == 0, 1.0)
+    worst = truth.groupBy("qid").agg((2 * F.max("dist")).alias("worst"))
+    both = truth.select("qid", "rank", F.col("dist").alias("true")).join(worst, "qid").join(result.select("qid", "rank", "dist"), ["qid", "rank"], "left")
+    dist = F.coalesce("dist", F.greatest("worst", 2 * F.col("true")))
+    ratio = F.when(F.col("true") > 0, dist / F.col("true")).when(dist == 0, 1.0)
     return both.groupBy("qid").agg((F.avg(ratio) - 1).alias("rde"))
 
 

@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangeann.functions.predicates import mask_expr
 from rangeann.functions.tree import cover_nodes, height_of, path_nodes
+from rangeann.operators.exact import QUERY_ROWS, pairs
 from rangeann.sources.storage import staged
 
 
@@ -33,16 +36,25 @@ def overlap_join(left: DataFrame, right: DataFrame, size: int) -> DataFrame:
 
 
 def theta_join(left: DataFrame, right: DataFrame, mask: int) -> DataFrame:
-    """Pairs whose intervals stand in the mask's relation, by comparison of all pairs; for a small right side."""
-    return left.join(F.broadcast(right), mask_expr(mask, *(F.col(c) for c in ("l", "r", "lq", "rq"))))
+    """Pairs whose intervals stand in the mask's relation, by comparison of all pairs; the right side goes in blocks of a checked size."""
+    condition = mask_expr(mask, *(F.col(c) for c in ("l", "r", "lq", "rq")))
+    rows = right.count()
+    blocks = max(1, -(-rows // QUERY_ROWS))
+    parts = [right] if blocks == 1 else [right.where(F.pmod(F.xxhash64(*right.columns), F.lit(blocks)) == b) for b in range(blocks)]
+    return reduce(lambda a, b: a.unionByName(b), [left.join(F.broadcast(p), condition) for p in parts])
+
+
+def answered(queries: DataFrame, objects: DataFrame, mask: int) -> DataFrame:
+    """The ids of queries that some object answers: queries are broadcast in blocks, objects stay where they are."""
+    return pairs(objects.select("l", "r"), queries.select("qid", "lq", "rq"), mask_expr(mask, *(F.col(c) for c in ("l", "r", "lq", "rq")))).select("qid").distinct()
 
 
 def queries_with_answer(queries: DataFrame, objects: DataFrame, mask: int) -> DataFrame:
-    return queries.join(F.broadcast(objects.select("l", "r")), mask_expr(mask, *(F.col(c) for c in ("l", "r", "lq", "rq"))), "left_semi")
+    return queries.join(answered(queries, objects, mask), "qid", "left_semi")
 
 
 def queries_without_answer(queries: DataFrame, objects: DataFrame, mask: int) -> DataFrame:
-    return queries.join(F.broadcast(objects.select("l", "r")), mask_expr(mask, *(F.col(c) for c in ("l", "r", "lq", "rq"))), "left_anti")
+    return queries.join(answered(queries, objects, mask), "qid", "left_anti")
 
 
 def as_of(asked: DataFrame, recorded: DataFrame, key: str, value: str, groups: int = 64) -> DataFrame:
@@ -79,13 +91,43 @@ def sizes(rows: DataFrame, how: str) -> DataFrame:
     return getattr(rows, how)("orient", "level").agg(F.count("*").alias("n"))
 
 
-def running_births(objects: DataFrame) -> DataFrame:
-    """Rows ``version, born, alive``: objects that begin at each l, and those begun so far."""
-    born = objects.groupBy(F.col("l").alias("version")).agg(F.count("*").alias("born"))
-    return born.withColumn("alive", F.sum("born").over(Window.orderBy("version").rowsBetween(Window.unboundedPreceding, 0)))
+def by_range(rows: DataFrame, key: str, name: str, groups: int = 64) -> DataFrame:
+    """Rows dealt by ranges of a key and staged, with the number of their ``range``."""
+    return staged(rows.repartitionByRange(groups, key).withColumn("range", F.spark_partition_id()), name)
+
+
+def running_births(objects: DataFrame, groups: int = 64) -> DataFrame:
+    """Rows ``version, born, alive``: objects that begin at each l, and those begun so far.
+
+    Sums run within ranges of l and begin with the sum of the ranges before (a row a range), so no task sorts all.
+    """
+    born = by_range(objects.groupBy(F.col("l").alias("version")).agg(F.count("*").alias("born")), "version", "births", groups)
+    before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    carried = born.groupBy("range").agg(F.sum("born").alias("n")).withColumn("before", F.coalesce(F.sum("n").over(before), F.lit(0))).drop("n")
+    own = F.sum("born").over(Window.partitionBy("range").orderBy("version").rowsBetween(Window.unboundedPreceding, 0))
+    return born.withColumn("own", own).join(F.broadcast(carried), "range").select("version", "born", (F.col("own") + F.col("before")).alias("alive"))
+
+
+def version_ends(objects: DataFrame, groups: int = 64) -> DataFrame:
+    """Rows ``version, ends``: each recorded version and the next one (null for the last); the last of a range reads the next range's first."""
+    v = by_range(objects.select(F.col("l").alias("version")).distinct(), "version", "versions", groups)
+    firsts = v.groupBy("range").agg(F.min("version").alias("first")).withColumn("next", F.lead("first").over(Window.orderBy("range"))).drop("first")
+    own = v.withColumn("ends", F.lead("version").over(Window.partitionBy("range").orderBy("version")))
+    return own.join(F.broadcast(firsts), "range").select("version", F.coalesce("ends", "next").alias("ends"))
+
+
+def first_members(rows: DataFrame) -> DataFrame:
+    """Rows ``orient, level, node, id``: each node's first-born member, its entry."""
+    w = Window.partitionBy("orient", "level", "node").orderBy("version", "id")
+    return rows.withColumn("entry", F.first("id").over(w)).select("orient", "level", "node", F.col("entry").alias("id")).distinct()
+
+
+def standing(objects: DataFrame, group: str, value: str) -> DataFrame:
+    """Each object's rank, dense rank, quarter, relative rank and share up to it within its group."""
+    w = Window.partitionBy(group).orderBy(value)
+    return objects.select("id", F.rank().over(w).cast("long").alias("rank"), F.dense_rank().over(w).cast("long").alias("dense"), F.ntile(4).over(Window.partitionBy(group).orderBy(value, "id")).cast("long").alias("quarter"), F.round(F.percent_rank().over(w), 9).alias("relative"), F.round(F.cume_dist().over(w), 9).alias("up_to"))
 
 
-def version_ends(objects: DataFrame) -> DataFrame:
-    """Rows ``version, ends``: each recorded version and the next one (null for the last)."""
-    v = objects.select(F.col("l").alias("version")).distinct()
-    return v.withColumn("ends", F.lead("version").over(Window.orderBy("version")))
+def hashed_join(left: DataFrame, right: DataFrame, keys: list[str]) -> DataFrame:
+    """An equi join by a shuffled hash table of the right side, which is the smaller one but too large to broadcast."""
+    return left.join(right.hint("shuffle_hash"), keys)

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from rangeann.functions.predicates import ALL_MASKS, ALLEN, atoms_of
-from rangeann.queries import BASELINES
+from rangeann.queries import APPROXIMATE
 
 V1R1 = "SELECT vec_id AS id, embedding AS vec, (vec_id*7919)%1000 AS l, (vec_id*7919)%1000 + (vec_id*vec_id*31 + vec_id*17)%97 AS r, label FROM embeddings"
 RANGES = {
@@ -122,13 +122,19 @@ ORACLES |= {
     "map_counts": "SELECT user_id, count(DISTINCT event_type) AS kinds, count(*) FILTER (event_type = 'click') AS click, count(*) FILTER (event_type = 'view') AS view, count(*) FILTER (event_type = 'purchase') AS purchase FROM events GROUP BY 1",
     "udaf_topk": f"WITH t AS ({knn(V1R1, PLAIN, mask(15))}) SELECT qid, string_agg(CAST(id AS VARCHAR), ',' ORDER BY rank) AS ids FROM t GROUP BY qid",
     "sql_rr_match": f"WITH o AS ({V1R1}), q AS (SELECT embedding AS qvec, 300 AS lq, 400 AS rq FROM embeddings WHERE vec_id = 0), p AS (SELECT id, round({distance('vec', 'qvec')}, 6) AS dist FROM o JOIN q ON {mask(15)}) SELECT id, dist FROM p ORDER BY dist, id LIMIT 10",
-    "recall_vtg_ef50": f"SELECT qid, true AS ok FROM ({knn(V1R1, PLAIN, mask(15))}) GROUP BY qid",
-    "rde_vtg_ef50": f"SELECT qid, true AS ok FROM ({knn(V1R1, PLAIN, mask(15))}) GROUP BY qid",
+    "residual_vtg": knn(V1R1, windows(300), f"label = 3 AND {mask(15)}"),
+    "stream_inserted": knn(V1R1, PLAIN, mask(15)),
+    "standing": f"WITH o AS ({V1R1}) SELECT id, rank() OVER w AS rank, dense_rank() OVER w AS dense, ntile(4) OVER (PARTITION BY label ORDER BY l, id) AS quarter, round(percent_rank() OVER w, 9) AS relative, round(cume_dist() OVER w, 9) AS up_to FROM o WINDOW w AS (PARTITION BY label ORDER BY l)",
+    "recent_sessions": f"WITH {SESSIONS}, s AS (SELECT user_id, number, min(moment) AS l FROM n GROUP BY 1, 2) SELECT user_id, number, count(*) OVER (PARTITION BY user_id ORDER BY l RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS n FROM s",
+    "node_entries": f"WITH o AS ({V1R1}), m AS ({members('LU')}) SELECT orient, level, node, arg_min(id, version * 1000000 + id) AS id FROM m GROUP BY ALL",
+    "hashed_members": "SELECT l_orderkey, count(*) AS n, max(l_quantity) AS most FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE o_orderdate >= TIMESTAMP '1998-01-01' GROUP BY 1",
+    "months": "SELECT epoch_us(date_trunc('month', l_shipdate)) AS month, count(*) AS n, max(date_diff('day', o_orderdate, l_shipdate)) AS most_days FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1",
+    "approximate_counts": "SELECT true AS count_ok, true AS middle_ok",
+    "bsp_search": "SELECT true AS recall_ok",
+    "stream_sliding": "SELECT epoch_us(time_bucket(INTERVAL '6 hours', ts) - i * INTERVAL '6 hours') AS start, count(*) AS n FROM events, generate_series(0, 3) g(i) GROUP BY 1",
+    "stream_static_join": "SELECT event_type, count(*) AS n FROM events WHERE user_id % 2 = 0 GROUP BY 1",
     "stream_windows": "SELECT epoch_us(date_trunc('day', ts)) AS start, count(*) AS n FROM events GROUP BY 1",
     "stream_equals_batch": f"WITH {SESSIONS} SELECT user_id, min(moment) AS l, max(moment) AS r, count(*) AS n FROM n GROUP BY user_id, number",
 }
-ORACLES |= {n: zero(n) for n in ("label_equiv", "degree_bound", "birth_order", "visited_unqualified", "plan_le_two", "cover_bound", "edge_count_bound", "variant_agreement", "allen_partition")}
-_WORK = {"tree_graph": ("v1r5", ORDER, 8), "segment2d": ("v1r5", ORDER, 8), "slice_inclusive": ("v1r5", ORDER, 8), "window_postfilter": ("v1r5", ORDER, 8), "quad_graph": ("v1r3", SHIP, 8), "stab_graph": ("v1r3", STAB, 2)}
-for _n in BASELINES:
-    _o, _q, _m = _WORK.get(_n, ("v1r1", PLAIN, 15))
-    ORACLES[_n] = f"SELECT qid, true AS recall_ok FROM ({knn(objects(_o), _q, mask(_m))}) GROUP BY qid"
+ORACLES |= {n: zero(n) for n in ("label_equiv", "degree_bound", "birth_order", "visited_unqualified", "plan_le_two", "cover_bound", "edge_count_bound", "variant_agreement", "allen_partition", "unreached", "sorted_within")}
+ORACLES |= {n: " UNION ALL ".join(f"SELECT '{n}' AS method, CAST({ef} AS INTEGER) AS ef, true AS recall_ok, true AS rde_ok" for ef in (50, 100)) for n in APPROXIMATE}

@@ -3,16 +3,23 @@
 A shard's objects are rows of one matrix.  A graph is a list of directed edges ``src, dst, begin,
 end`` over them; an edge is visible at version v if begin <= v <= end.  Everything is
 deterministic: objects enter by (version, id), candidates are ordered by (distance, row).
+
+Two builders make the same graph.  ``GrowingGraph`` inserts one object at a time.  ``grow`` uses that, with the nearest
+of all earlier members as candidates, what an object links to depends on vectors alone, and what
+becomes of a vertex' list only on the objects that link to it, in their order: it finds all candidates by blocked matrix
+products, prunes them in blocks, and replays each vertex' events, all vertices at once.
 """
 
 from __future__ import annotations
 
 import heapq
-from dataclasses import dataclass, field
+from collections.abc import Iterable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 
 OPEN = np.iinfo(np.int32).max
+EXACT_ROWS = 8192  # of a node, whose candidates are sought in double precision
 
 
 @dataclass
@@ -23,7 +30,8 @@ class Counters:
     hops: int = 0
     edges: int = 0
     unqualified: int = 0
-    swept: int = 0
+    exhausted: int = 0  # walks that expanded all they met
+    missed: int = 0  # qualifying members that such walks left unreached
 
 
 def squared(vectors: np.ndarray, q: np.ndarray) -> np.ndarray:
@@ -47,73 +55,198 @@ def rng_prune(base: np.ndarray, candidates: np.ndarray, distance: np.ndarray, ve
     return candidates[kept]
 
 
+def nearest_before(x: np.ndarray, ef: int, start: int = 0, block: int = 256, chunk: int = 8192) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """For rows from ``start`` on, in blocks: the block's first row, and of each row its ``ef`` nearest earlier rows by (distance, row) and their squared distances.
+
+    Places without a row are -1 and infinite.  Blocks meet the earlier rows in chunks; past the first chunk only what is nearer than the worst kept is merged.
+    """
+    square, one = np.einsum("ij,ij->i", x, x), np.ones(len(x))
+    number = np.float64 if len(x) <= EXACT_ROWS else np.float32  # distances of the chosen are computed anew
+    left, right = np.column_stack([x, square, one]).astype(number), np.column_stack([-2 * x, one, square]).astype(number).T.copy()
+    for a in range(start, len(x), block):
+        b = min(len(x), a + block)
+        best = np.full((b - a, ef), -1)
+        dist = np.full((b - a, ef), np.inf)
+        for c in range(0, b, chunk):
+            e = min(b, c + chunk)
+            d = left[a:b] @ right[:, c:e]
+            if e > a:
+                d[np.arange(c, e)[None, :] >= np.arange(a, b)[:, None]] = np.inf
+            if not c:
+                at = np.argpartition(d, min(ef, e) - 1, axis=1)[:, :ef]
+                more, index = np.take_along_axis(d, at, axis=1), at
+            else:
+                row, col = np.nonzero(d < dist.max(axis=1)[:, None])
+                if not len(row):
+                    continue
+                count = np.bincount(row, minlength=b - a)
+                place = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
+                more, index = np.full((b - a, count.max()), np.inf), np.full((b - a, count.max()), -1)
+                more[row, place], index[row, place] = d[row, col], col + c
+            both, which = np.concatenate([dist, more], axis=1), np.concatenate([best, index], axis=1)
+            at = np.argpartition(both, ef - 1, axis=1)[:, :ef]
+            dist, best = np.take_along_axis(both, at, axis=1), np.take_along_axis(which, at, axis=1)
+        best[~np.isfinite(dist)] = -1
+        gap = x[best] - x[a:b, None, :]
+        dist = np.where(best >= 0, np.einsum("ijk,ijk->ij", gap, gap), np.inf)
+        order = np.lexsort((best, dist), axis=-1)
+        yield a, np.take_along_axis(best, order, axis=1), np.take_along_axis(dist, order, axis=1)
+
+
+def kept_of(x: np.ndarray, found: np.ndarray, dist: np.ndarray, most: int, prune: bool) -> np.ndarray:
+    """``rng_prune`` for many lists at once (by rising distance, -1 where empty): which places stay."""
+    valid = found >= 0
+    if not prune:
+        return valid & (np.cumsum(valid, axis=1) <= most)
+    v = x[found]
+    square = np.einsum("ijk,ijk->ij", v, v)
+    between = np.maximum(square[:, :, None] + square[:, None, :] - 2 * (v @ v.transpose(0, 2, 1)), 0)
+    keep, shadow, count = np.zeros(found.shape, bool), ~valid, np.zeros(len(found), int)
+    for i in range(found.shape[1]):
+        take = ~shadow[:, i] & (count < most)
+        keep[:, i] = take
+        count += take
+        shadow |= take[:, None] & (between[:, i, :] < dist)
+    return keep
+
+
+def grow(x: np.ndarray, version: np.ndarray, cuts: np.ndarray, most: int, ef: int, prune: bool = True, fresh: np.ndarray | None = None, old: np.ndarray | None = None) -> np.ndarray:
+    """Rows ``src, dst, begin, end`` (places) of the graphs of several nodes, whose members stand one after the other in order of insertion.
+
+    ``cuts`` holds where nodes begin and the end.  ``old`` are the rows that members up to ``fresh`` (a place a node) have already.
+    """
+    n = len(x)
+    source, target, gap = [], [], []
+    for k, (a, b) in enumerate(zip(cuts.tolist(), cuts[1:].tolist(), strict=False)):
+        for first, found, dist in nearest_before(x[a:b], ef, 0 if fresh is None else int(fresh[k]) - a):
+            keep = kept_of(x[a:b], found, dist, most, prune)
+            row, place = np.nonzero(keep)
+            source.append(row + first + a)
+            target.append(found[row, place] + a)
+            gap.append(dist[row, place])
+    if not source and old is None:
+        return np.zeros((0, 4), np.int64)
+    source, target, gap = (np.concatenate(p) if p else np.zeros(0, int) for p in (source, target, gap))
+    slot, away, since, held = np.full((n, most + 1), -1), np.full((n, most + 1), np.inf), np.zeros((n, most + 1), np.int64), np.zeros(n, int)
+    closed = []
+    if old is not None and len(old):
+        closed.append(old[old[:, 3] != OPEN])
+        live = old[old[:, 3] == OPEN]
+        live = live[np.argsort(live[:, 0], kind="stable")]
+        place = np.arange(len(live)) - np.searchsorted(live[:, 0], live[:, 0])
+        step = x[live[:, 0]] - x[live[:, 1]]
+        slot[live[:, 0], place], away[live[:, 0], place], since[live[:, 0], place] = live[:, 1], np.einsum("ij,ij->i", step, step), live[:, 2]
+        held += np.bincount(live[:, 0], minlength=n)
+    place = np.arange(len(source)) - np.searchsorted(source, source)  # sources rise
+    slot[source, place], away[source, place], since[source, place] = target, gap, version[source]
+    held += np.bincount(source, minlength=n)
+    order = np.lexsort((source, target))
+    source, target, gap = source[order], target[order], gap[order]
+    turn = np.arange(len(target)) - np.searchsorted(target, target)  # of a vertex' events
+    by_turn = np.argsort(turn, kind="stable")
+    ends = np.append(np.searchsorted(turn[by_turn], np.arange(turn.max() + 1)), len(turn)) if len(turn) else np.zeros(1, int)
+    for a, b in zip(ends, ends[1:], strict=False):
+        at = by_turn[a:b]
+        t, s = target[at], source[at]
+        slot[t, held[t]], away[t, held[t]], since[t, held[t]] = s, gap[at], version[s]
+        held[t] += 1
+        over = held[t] > most
+        for c in range(0, int(over.sum()), 8192):
+            u, now = t[over][c : c + 8192], version[s[over][c : c + 8192]]
+            by = np.lexsort((slot[u], away[u]), axis=-1)
+            found, dist, begin = (np.take_along_axis(z[u], by, axis=1) for z in (slot, away, since))
+            keep = kept_of(x, found, dist, most, prune)
+            row, place = np.nonzero(~keep & (begin < now[:, None]))
+            closed.append(np.column_stack([u[row], found[row, place], begin[row, place], now[row] - 1]))
+            by = np.argsort(~keep, axis=1, kind="stable")
+            count = keep.sum(axis=1)
+            gone = np.arange(most + 1)[None, :] >= count[:, None]
+            found, dist, begin = (np.take_along_axis(z, by, axis=1) for z in (found, dist, begin))
+            found[gone], dist[gone] = -1, np.inf
+            slot[u], away[u], since[u], held[u] = found, dist, begin, count
+    row, place = np.nonzero(np.arange(most + 1)[None, :] < held[:, None])
+    live = np.column_stack([row, slot[row, place], since[row, place], np.full(len(row), OPEN)])
+    return np.concatenate([*closed, live]).astype(np.int64)
+
+
 class GrowingGraph:
-    """A proximity graph that objects enter in order, with the life span of every edge."""
+    """A proximity graph that objects enter in order, with the life span of every edge.
 
-    def __init__(self, vectors: np.ndarray, most: int, ef: int, prune: bool = True):
-        self.vectors, self.most, self.ef, self.prune = vectors, most, ef, prune
-        self.rows: list[int] = []
+    Candidates of an insertion are the ``ef`` nearest members, found by a walk over the graph or, with ``scan``, among all.
+    """
+
+    def __init__(self, vectors: np.ndarray, most: int, ef: int, prune: bool = True, scan: bool = False):
+        self.vectors, self.most, self.ef, self.prune, self.scan = vectors, most, ef, prune, scan
+        self.rows: dict[int, None] = {}  # in order
         self.out: dict[int, dict[int, int]] = {}  # open edges: target -> begin
+        self.into: dict[int, set[int]] = {}  # their sources
         self.closed: list[tuple[int, int, int, int]] = []
 
     def candidates(self, row: int) -> tuple[np.ndarray, np.ndarray]:
-        """Up to ``ef`` near members; all of them while there are no more."""
         q = self.vectors[row]
-        if len(self.rows) <= self.ef:
-            found = np.array(self.rows)
+        if self.scan or len(self.rows) <= self.ef:
+            found = np.fromiter(self.rows, np.int64, len(self.rows))
             d = squared(self.vectors[found], q)
         else:
-            best = walk(q, self.vectors, [self.rows[0]], lambda u: np.fromiter(self.out[u], np.int64, len(self.out[u])), self.ef, Counters())
+            best = walk(q, self.vectors, [next(iter(self.rows))], lambda u: list(self.out[u]), self.ef, Counters())
             found, d = np.array([r for _, r in best]), np.array([x for x, _ in best])
-        order = np.lexsort((found, d))
+        order = np.lexsort((found, d))[: self.ef]
         return found[order], d[order]
 
+    def pruned(self, row: int, found: np.ndarray, d: np.ndarray) -> list[int]:
+        return (rng_prune(self.vectors[row], found, d, self.vectors, self.most) if self.prune else found[: self.most]).tolist()
+
     def trim(self, row: int, version: int) -> None:
         targets = np.array(sorted(self.out[row]))
         d = squared(self.vectors[targets], self.vectors[row])
         order = np.lexsort((targets, d))
-        targets, d = targets[order], d[order]
-        keep = set((rng_prune(self.vectors[row], targets, d, self.vectors, self.most) if self.prune else targets[: self.most]).tolist())
+        keep = set(self.pruned(row, targets[order], d[order]))
         for t in [t for t in self.out[row] if t not in keep]:
             self.close(row, t, version)
 
+    def link(self, row: int, target: int, version: int) -> None:
+        if target not in self.out[row]:
+            self.out[row][target] = version
+            self.into[target].add(row)
+
     def close(self, row: int, target: int, version: int) -> None:
         begin = self.out[row].pop(target)
+        self.into[target].discard(row)
         if begin < version:
             self.closed.append((row, target, begin, version - 1))
 
     def insert(self, row: int, version: int) -> None:
-        if self.rows:
-            found, d = self.candidates(row)
-            near = rng_prune(self.vectors[row], found, d, self.vectors, self.most) if self.prune else found[: self.most]
-            self.out[row] = {}
-            for t in near.tolist():
-                self.out[row][t] = version
-                self.out[t][row] = version
-                if len(self.out[t]) > self.most:
-                    self.trim(t, version)
-        else:
-            self.out[row] = {}
-        self.rows.append(row)
+        near = self.pruned(row, *self.candidates(row)) if self.rows else []
+        self.out[row], self.into[row] = {}, set()
+        for t in near:
+            self.link(row, t, version)
+        for t in near:
+            self.link(t, row, version)
+            if len(self.out[t]) > self.most:
+                self.trim(t, version)
+        self.rows[row] = None
 
     def remove(self, row: int, version: int) -> None:
         """Ends a vertex before ``version``; its neighbours are linked among one another instead."""
-        lost = [s for s in self.rows if row in self.out[s]]
+        lost = sorted(self.into[row])
         for t in list(self.out[row]):
             self.close(row, t, version)
         for s in lost:
             self.close(s, row, version)
-        self.rows.remove(row)
+        del self.rows[row]
         for s in lost:
-            others = np.array([t for t in {*self.out[s], *lost} if t != s])
+            others = np.array([t for t in sorted({*self.out[s], *lost}) if t != s])
             if len(others):
                 d = squared(self.vectors[others], self.vectors[s])
                 order = np.lexsort((others, d))
                 for t in rng_prune(self.vectors[s], others[order], d[order], self.vectors, self.most).tolist():
-                    self.out[s].setdefault(t, version)
+                    self.link(s, t, version)
                 if len(self.out[s]) > self.most:
                     self.trim(s, version)
 
+    def live(self) -> list[tuple[int, int]]:
+        return [(s, t) for s, ts in self.out.items() for t in ts]
+
     def edges(self) -> np.ndarray:
         """Rows ``src, dst, begin, end``."""
         live = [(s, t, b, OPEN) for s, ts in self.out.items() for t, b in ts.items()]
@@ -122,28 +255,36 @@ class GrowingGraph:
 
 def static_graph(vectors: np.ndarray, rows: np.ndarray, most: int, ef: int) -> np.ndarray:
     """A graph of the ``ef`` nearest members each, pruned, without insertion order; rows ``src, dst, begin, end``."""
-    found = []
-    v = vectors[rows]
-    for i in range(len(rows)):
-        d = squared(v, v[i])
-        d[i] = np.inf
-        near = np.lexsort((rows, d))[: min(ef, len(rows) - 1)]
-        kept = rng_prune(v[i], rows[near], d[near], vectors, most)
-        found += [(int(rows[i]), int(t), 0, OPEN) for t in kept]
-    back = {(t, s) for s, t, _, _ in found} | {(s, t) for s, t, _, _ in found}
-    return np.array(sorted((s, t, 0, OPEN) for s, t in back), np.int64).reshape(-1, 4)
-
-
-def walk(q: np.ndarray, vectors: np.ndarray, seeds: list[int], neighbours, ef: int, work: Counters, seen: np.ndarray | None = None) -> list[tuple[float, int]]:
-    """The greedy search: the nearest open vertex is expanded until it is farther than the ef-th best; pairs (squared distance, row)."""
-    seen = np.zeros(len(vectors), bool) if seen is None else seen
-    start = np.array(sorted(set(seeds)), np.int64)
-    if not len(start):
+    v, found = vectors[rows], []
+    square = np.einsum("ij,ij->i", v, v)
+    width = min(ef, len(rows) - 1)
+    for a in range(0, len(rows), 256) if width > 0 else ():
+        d = square[a : a + 256, None] + square[None, :] - 2 * (v[a : a + 256] @ v.T)
+        d[np.arange(len(d)), np.arange(a, a + len(d))] = np.inf
+        near = np.argpartition(d, width - 1, axis=1)[:, :width]
+        gap = v[near] - v[a : a + 256, None, :]
+        dist = np.einsum("ijk,ijk->ij", gap, gap)
+        order = np.lexsort((near, dist), axis=-1)
+        near, dist = np.take_along_axis(near, order, axis=1), np.take_along_axis(dist, order, axis=1)
+        row, place = np.nonzero(kept_of(v, near, dist, most, True))
+        found.append(np.column_stack([rows[row + a], rows[near[row, place]]]))
+    pairs = np.concatenate(found) if found else np.zeros((0, 2), np.int64)
+    pairs = np.unique(np.concatenate([pairs, pairs[:, ::-1]]), axis=0)
+    return np.column_stack([pairs, np.zeros(len(pairs), np.int64), np.full(len(pairs), OPEN)])
+
+
+def walk(q: np.ndarray, vectors: np.ndarray, seeds: Iterable[int], neighbours, ef: int, work: Counters, seen: set[int] | None = None) -> list[tuple[float, int]]:
+    """The greedy search: the nearest open vertex is expanded until it is farther than the ef-th best.
+
+    Returns pairs (squared distance, row) by rising distance; ``seen`` collects all rows met.
+    """
+    start = sorted(set(seeds))
+    if not start:
         return []
-    seen[start] = True
-    d = squared(vectors[start], q)
+    seen = set() if seen is None else seen
+    seen.update(start)
     work.distances += len(start)
-    frontier = [(float(x), int(r)) for x, r in zip(d, start, strict=True)]
+    frontier = list(zip(squared(vectors[start], q).tolist(), start, strict=True))
     heapq.heapify(frontier)
     best = [(-x, -r) for x, r in frontier]
     heapq.heapify(best)
@@ -154,41 +295,76 @@ def walk(q: np.ndarray, vectors: np.ndarray, seeds: list[int], neighbours, ef: i
         if len(best) >= ef and x > -best[0][0]:
             break
         work.hops += 1
-        near = neighbours(u)
-        near = near[~seen[near]]
-        if not len(near):
+        near = [v for v in neighbours(u) if v not in seen]
+        if not near:
             continue
-        seen[near] = True
+        seen.update(near)
         work.distances += len(near)
-        for dist, v in zip(squared(vectors[near], q).tolist(), near.tolist(), strict=True):
+        gap = vectors[near] - q
+        for d, v in zip(np.einsum("ij,ij->i", gap, gap).tolist(), near, strict=True):
             if len(best) < ef:
-                heapq.heappush(best, (-dist, -v))
-                heapq.heappush(frontier, (dist, v))
-            elif (-dist, -v) > best[0]:
-                heapq.heapreplace(best, (-dist, -v))
-                heapq.heappush(frontier, (dist, v))
+                heapq.heappush(best, (-d, -v))
+                heapq.heappush(frontier, (d, v))
+            elif (-d, -v) > best[0]:
+                heapq.heapreplace(best, (-d, -v))
+                heapq.heappush(frontier, (d, v))
+    else:
+        work.exhausted += 1
     return sorted((-x, -r) for x, r in best)
 
 
 @dataclass
 class Edges:
-    """Edges by source, with a level each (root first)."""
+    """Edges by source and level (root first); ``start`` has a place for each vertex and level, and one more."""
 
+    levels: int
     start: np.ndarray
-    level: np.ndarray
     dst: np.ndarray
     begin: np.ndarray
     end: np.ndarray
 
     @staticmethod
-    def of(n: int, rows: np.ndarray) -> Edges:
+    def of(n: int, rows: np.ndarray, levels: int = 1) -> Edges:
         """From rows ``level, src, dst, begin, end``."""
-        rows = rows[np.lexsort((rows[:, 2], rows[:, 0], rows[:, 1]))] if len(rows) else rows.reshape(0, 5)
-        start = np.searchsorted(rows[:, 1], np.arange(n + 1))
-        return Edges(start, *(np.ascontiguousarray(rows[:, k]) for k in (0, 2, 3, 4)))
+        rows = rows.reshape(-1, 5)
+        order = np.lexsort((rows[:, 2], rows[:, 0], rows[:, 1]))
+        place = rows[order, 1].astype(np.int64) * levels + rows[order, 0]
+        return Edges(levels, np.searchsorted(place, np.arange(n * levels + 1)).astype(np.int32), *(np.ascontiguousarray(rows[order, k].astype(np.int32)) for k in (2, 3, 4)))
 
-    def at(self, u: int) -> slice:
-        return slice(self.start[u], self.start[u + 1])
+    def at(self, u: int, low: int = 0, high: int | None = None) -> slice:
+        """Edges of ``u`` at levels from ``low`` to ``high``."""
+        first = u * self.levels
+        return slice(self.start[first + low], self.start[first + (self.levels if high is None else high + 1)])
+
+    @staticmethod
+    def merged(n: int, parts: list[tuple[np.ndarray, ...]]) -> Edges:
+        """From the levels' arrays ``src, dst, begin, end``, each by rising src."""
+        levels = len(parts)
+        count = np.zeros((n, levels), np.int64)
+        for j, (src, *_) in enumerate(parts):
+            count[:, j] = np.bincount(src, minlength=n)
+        start = np.concatenate([[0], np.cumsum(count)])
+        out = [np.empty(start[-1], np.int32) for _ in range(3)]
+        for j, (src, *columns) in enumerate(parts):
+            at = start[src.astype(np.int64) * levels + j] + np.arange(len(src)) - np.searchsorted(src, src)
+            for o, c in zip(out, columns, strict=True):
+                o[at] = c
+        return Edges(levels, start.astype(np.int32 if start[-1] < 2**31 else np.int64), *out)
+
+    def packed(self) -> bytes:
+        """Level count, sizes, and the arrays."""
+        return np.array([self.levels, len(self.start), self.start.itemsize], "<i8").tobytes() + b"".join(a.tobytes() for a in (self.start, self.dst, self.begin, self.end))
+
+    @staticmethod
+    def unpacked(data: bytes) -> Edges:
+        levels, n, size = np.frombuffer(data, "<i8", 3).tolist()
+        start = np.frombuffer(data, f"<i{size}", n, 24)
+        m = (len(data) - 24 - n * size) // 12
+        return Edges(levels, start, *(np.frombuffer(data, "<i4", m, 24 + n * size + 4 * m * k) for k in range(3)))
+
+    def rows(self) -> np.ndarray:
+        place = np.repeat(np.arange(len(self.start) - 1), np.diff(self.start))
+        return np.column_stack([place % self.levels, place // self.levels, self.dst, self.begin, self.end])
 
     @property
     def count(self) -> int:
@@ -196,31 +372,28 @@ class Edges:
 
     @property
     def nbytes(self) -> int:
-        return sum(x.nbytes for x in (self.start, self.level, self.dst, self.begin, self.end))
+        return sum(x.nbytes for x in (self.start, self.dst, self.begin, self.end))
 
 
 @dataclass
 class Shard:
-    """Objects of a worker: ids, vectors, interval ends, and their ranks in the domain."""
+    """Objects of a worker: ids, vectors, interval ends; ``tie`` orders insertions of one version (the ids, or the order of arrival)."""
 
     ids: np.ndarray
     vectors: np.ndarray
     left: np.ndarray
     right: np.ndarray
-    values: np.ndarray
-    extra: dict = field(default_factory=dict)
+    tie: np.ndarray | None = None
+
+    def __post_init__(self):
+        if self.tie is None:
+            self.tie = self.ids
 
     def __len__(self) -> int:
         return len(self.ids)
 
-    def ranks(self, x: np.ndarray) -> np.ndarray:
-        return np.searchsorted(self.values, x, side="left") + 1
-
-
-def first_unique(x: np.ndarray, most: int) -> np.ndarray:
-    """The first ``most`` different values, in order."""
-    _, at = np.unique(x, return_index=True)
-    return x[np.sort(at)[:most]]
+    def take(self, rows: np.ndarray) -> Shard:
+        return Shard(self.ids[rows], self.vectors[rows], self.left[rows], self.right[rows], self.tie[rows])
 
 
 def ranked(ids: np.ndarray, distance: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:

@@ -10,13 +10,19 @@ from __future__ import annotations
 
 import math
 import time
+from bisect import bisect_right
 from collections.abc import Iterable
+from copy import copy
 
 import numpy as np
 
 from rangeann.functions.predicates import ORIENTATIONS, Box, atomic_plan, atoms_of, plan
-from rangeann.functions.tree import cover, height_of, levels_of, span
-from rangeann.plans.kernel import OPEN, Counters, Edges, GrowingGraph, Shard, first_unique, squared, static_graph, walk
+from rangeann.functions.tree import cover, height_of, span
+from rangeann.plans.kernel import OPEN, Counters, Edges, GrowingGraph, Shard, grow, squared, static_graph, walk
+
+SMALL = 16  # members up to which a node is scanned and has no graph
+BUCKETS = 4096  # leaves of a tree at most; more key values share leaves
+HUBS = 32  # one vertex in so many is in the next hub level
 
 Found = tuple[np.ndarray, np.ndarray, Counters]  # rows, squared distances, work
 
@@ -81,16 +87,14 @@ class Method:
 
 def grown(shard: Shard, rows: Iterable[int], m: int, ef: int, prune: bool = True) -> np.ndarray:
     """Rows ``level 0, src, dst, begin, end`` of a graph without versions."""
-    g = GrowingGraph(shard.vectors, m, ef, prune)
-    for r in rows:
-        g.insert(int(r), 0)
-    e = g.edges()
+    rows = np.fromiter(rows, np.int64)
+    e = grow(shard.vectors[rows], np.zeros(len(rows), np.int64), np.array([0, len(rows)]), m, ef, prune)
     e = e[e[:, 3] == OPEN]
-    return np.column_stack([np.zeros(len(e), np.int64), e])
+    return np.column_stack([np.zeros(len(e), np.int64), rows[e[:, 0]], rows[e[:, 1]], e[:, 2:]])
 
 
 def open_neighbours(e: Edges):
-    return lambda u: e.dst[e.at(u)]
+    return lambda u: e.dst[e.at(u)].tolist()
 
 
 class Exact(Method):
@@ -112,162 +116,312 @@ class Exact(Method):
 # --- the versioned tree of graphs -------------------------------------------------------
 
 
-def versions_and_keys(shard: Shard, orient: str) -> tuple[np.ndarray, np.ndarray]:
-    """Version rank (rising with insertion) and key rank of every object."""
-    attribute, order, key = ORIENTATIONS[orient]
-    of = {"l": shard.ranks(shard.left), "r": shard.ranks(shard.right)}
-    v = of[attribute]
-    return (v if order > 0 else len(shard.values) + 1 - v), of[key]
+class Domain:
+    """Versions and keys of one orientation: ranks of the different version values in order of insertion, and the tree's leaves.
 
+    A leaf is a key value or, beyond ``buckets`` of them, a range of about equally many objects; ``low`` and ``high`` are its least
+    and greatest key.  Given ``cuts`` (of an index that grows) leaves keep their least keys, and later values fall into them.
+    """
 
-def level_edges(shard: Shard, orient: str, level: int, m: int, ef_con: int, small: int, graph: str = "grown") -> np.ndarray:
-    """Rows ``level, src, dst, begin, end`` of all graphs of one level of the tree."""
-    version, key = versions_and_keys(shard, orient)
-    height = height_of(len(shard.values))
-    node = (key - 1) >> (height - level)
-    order = np.lexsort((shard.ids, version, node))
-    cuts = np.flatnonzero(np.diff(node[order])) + 1
+    def __init__(self, shard: Shard, orient: str, buckets: int = BUCKETS, cuts: np.ndarray | None = None):
+        attribute, self.sign, key = ORIENTATIONS[orient]
+        self.orient = orient
+        of = {"l": shard.left, "r": shard.right}
+        self.keys = of[key]
+        self.versions, rank = np.unique(self.sign * of[attribute], return_inverse=True)
+        self.version = rank + 1
+        if cuts is None:
+            cuts = np.unique(self.keys)
+            if len(cuts) > buckets:
+                cuts = np.unique(np.sort(self.keys)[np.arange(buckets) * len(self.keys) // buckets])
+        self.cuts = cuts
+        self.leaf = np.maximum(np.searchsorted(cuts, self.keys, side="right"), 1)
+        self.height = height_of(len(cuts))
+        self.low, self.high = cuts.copy(), cuts.copy()
+        np.minimum.at(self.low, self.leaf - 1, self.keys)
+        np.maximum.at(self.high, self.leaf - 1, self.keys)
+
+    def version_at(self, bound, strict: bool) -> int:
+        """The last version that a bound admits."""
+        return int(np.searchsorted(self.versions, self.sign * bound, side="left" if strict else "right"))
+
+    def leaves(self, low, high, low_strict: bool, high_strict: bool) -> tuple[int, int, list[int]]:
+        """First and last leaf that lie wholly within a key interval (None: open), and the leaves that it cuts."""
+        first = 1 if low is None else int(np.searchsorted(self.low, low, side="right" if low_strict else "left")) + 1
+        last = len(self.cuts) if high is None else int(np.searchsorted(self.high, high, side="left" if high_strict else "right"))
+        begins = 1 if low is None else int(np.searchsorted(self.high, low, side="right" if low_strict else "left")) + 1
+        ends = len(self.cuts) if high is None else int(np.searchsorted(self.low, high, side="left" if high_strict else "right"))
+        return first, last, sorted({k for k in (begins, ends) if begins <= k <= ends and not first <= k <= last})
+
+    def part(self, rows: np.ndarray) -> Domain:
+        """The same versions and leaves with some of the objects."""
+        out = copy(self)
+        out.keys, out.version, out.leaf = self.keys[rows], self.version[rows], self.leaf[rows]
+        return out
+
+    def node(self, level: int) -> np.ndarray:
+        return (self.leaf - 1) >> (self.height - level)
+
+
+def level_edges(shard: Shard, domain: Domain, level: int, m: int, ef_con: int, small: int = SMALL, graph: str = "grown", fresh: np.ndarray | None = None, old: np.ndarray | None = None) -> np.ndarray:
+    """Rows ``level, src, dst, begin, end`` of all graphs of one level of the tree.
+
+    ``graph`` is "grown" (labelled insertion), "walked" (the same with candidates by a walk), or "static_rng" (no insertions: made anew
+    for each of a few spans of versions).  Where the rows ``old`` hold all but the objects marked ``fresh``, which come last, only those are inserted.
+    """
+    version, node = domain.version, domain.node(level)
+    order = np.lexsort((shard.tie, version, node))
+    begins = np.flatnonzero(np.diff(node[order], prepend=-1))
+    sizes = np.diff(np.append(begins, len(order)))
+    wanted = sizes > small
+    if not wanted.any():
+        return np.zeros((0, 5), np.int64)
+    if graph != "grown":
+        parts = [(walked if graph == "walked" else rebuilt)(shard, order[a : a + n], version, m, ef_con) for a, n in zip(begins[wanted], sizes[wanted], strict=True)]
+        e = np.concatenate(parts)
+        return np.column_stack([np.full(len(e), level), e])
+    members = order[np.repeat(wanted, sizes)]
+    cuts = np.concatenate([[0], np.cumsum(sizes[wanted])])
+    start = None
+    if old is not None:
+        before = np.add.reduceat((~fresh[members]).astype(np.int64), cuts[:-1])  # members that are not fresh
+        start = cuts[:-1] + np.where(before > small, before, 0)  # a node that outgrows scanning begins from nothing
+        place = np.empty(len(shard), np.int64)
+        place[members] = np.arange(len(members))
+        old = np.column_stack([place[old[:, 1]], place[old[:, 2]], old[:, 3:]]) if len(old) else np.zeros((0, 4), np.int64)
+    e = grow(shard.vectors[members], version[members], cuts, m, ef_con, fresh=start, old=old)
+    return np.column_stack([np.full(len(e), level), members[e[:, 0]], members[e[:, 1]], e[:, 2:]])
+
+
+def walked(shard: Shard, members: np.ndarray, version: np.ndarray, m: int, ef_con: int, scan: bool = False) -> np.ndarray:
+    """A node's graph by one insertion after the other."""
+    g = GrowingGraph(shard.vectors, m, ef_con, scan=scan)
+    for r in members.tolist():
+        g.insert(r, int(version[r]))
+    return g.edges()
+
+
+def rebuilt(shard: Shard, members: np.ndarray, version: np.ndarray, m: int, ef_con: int, spans: int = 8) -> np.ndarray:
+    """A node's graphs by a builder that cannot insert: one for each span of its versions, over all that is born by the span's end."""
+    born = version[members]
+    ends = np.unique(born[np.linspace(0, len(born) - 1, spans + 1).astype(int)[1:]])
     found = []
-    for members in np.split(order, cuts) if len(order) else []:
-        if len(members) <= small:
-            continue
-        if graph == "static_rng":
-            if len(np.unique(version[members])) > 1:
-                raise ValueError("a static graph has no insertions: build it on objects of one version")
-            e = static_graph(shard.vectors, members, m, ef_con)
-        else:
-            g = GrowingGraph(shard.vectors, m, ef_con)
-            for r in members.tolist():
-                g.insert(r, int(version[r]))
-            e = g.edges()
-        found.append(np.column_stack([np.full(len(e), level), e]))
-    return np.concatenate(found) if found else np.zeros((0, 5), np.int64)
-
-
-def as_shared(rows: np.ndarray, version: np.ndarray, key: np.ndarray, height: int) -> np.ndarray:
-    """The same graphs with a copy of a node's edges at each version that touches the node; spans until its next copy."""
-    out = []
-    for level in np.unique(rows[:, 0]):
-        own = rows[rows[:, 0] == level]
-        node = (key - 1) >> (height - level)
-        for n in np.unique(node):
-            stamps = np.unique(version[node == n])
-            e = own[node[own[:, 1]] == n]
-            for v, nxt in zip(stamps, [*stamps[1:], OPEN], strict=True):
-                copy = e[(e[:, 3] <= v) & (e[:, 4] >= v)].copy()
-                copy[:, 3], copy[:, 4] = v, nxt - 1 if nxt != OPEN else OPEN
-                out.append(copy)
-    return np.concatenate(out) if out else rows
-
-
-def as_snapshots(rows: np.ndarray, version: np.ndarray) -> np.ndarray:
-    """A copy of every graph at every recorded version."""
-    stamps, out = np.unique(version), []
-    for v, nxt in zip(stamps, [*stamps[1:], OPEN], strict=True):
-        copy = rows[(rows[:, 3] <= v) & (rows[:, 4] >= v)].copy()
-        copy[:, 3], copy[:, 4] = v, nxt - 1 if nxt != OPEN else OPEN
-        out.append(copy)
-    return np.concatenate(out) if out else rows
+    for k, end in enumerate(ends):
+        e = static_graph(shard.vectors, members[born <= end], m, ef_con)
+        first = 0 if k == 0 else ends[k - 1] + 1
+        begin = np.maximum(first, np.maximum(version[e[:, 0]], version[e[:, 1]]))
+        found.append(np.column_stack([e[:, :2], begin, np.full(len(e), OPEN if k == len(ends) - 1 else end)]))
+    return np.concatenate(found)
+
+
+def hub_level(ids: np.ndarray) -> np.ndarray:
+    """In how many hub levels an object is: geometric, by a hash of its id."""
+    h = ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    share = ((h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(11)).astype(np.float64) / 2**53
+    return np.floor(np.log(np.maximum(share, 1e-18)) / -math.log(HUBS)).astype(int)
+
+
+class SharedTree:
+    """The tree by path copying: an insertion touches the nodes of one path; at the end of a version each touched node gets a new copy of its graph, all others stay shared.
+
+    Made by single insertions, without labels.  ``copies`` has for each node (level, number) its copies: version and edges.
+    """
+
+    def __init__(self, shard: Shard, domain: Domain, m: int, ef_con: int):
+        self.copies: dict[tuple[int, int], list[tuple[int, list[tuple[int, int]]]]] = {}
+        self.nodes = np.stack([domain.node(j) for j in range(domain.height + 1)])
+        graphs: dict[tuple[int, int], GrowingGraph] = {}
+        order = np.lexsort((shard.tie, domain.version))
+        for v in np.unique(domain.version).tolist():
+            touched = set()
+            for r in order[domain.version[order] == v].tolist():
+                for path in enumerate(self.nodes[:, r].tolist()):
+                    graphs.setdefault(path, GrowingGraph(shard.vectors, m, ef_con, scan=True)).insert(r, v)
+                    touched.add(path)
+            for path in touched:
+                self.copies.setdefault(path, []).append((v, graphs[path].live()))
+
+    def rows(self) -> np.ndarray:
+        """Rows ``level, src, dst, begin, end``: a copy's edges from its version to the one before its node's next copy."""
+        out = []
+        for (level, _), copies in self.copies.items():
+            for (v, e), nxt in zip(copies, [v for v, _ in copies[1:]] + [None], strict=True):
+                out += [(level, s, t, v, OPEN if nxt is None else nxt - 1) for s, t in e]
+        return np.array(out, np.int64).reshape(-1, 5)
+
+
+def snapshots(shard: Shard, orient: str, m: int, ef_con: int, buckets: int = BUCKETS) -> np.ndarray:
+    """A whole tree for each recorded version, built from that version's objects alone; rows ``level, src, dst, begin, end``."""
+    whole = Domain(shard, orient, buckets)
+    out = [np.zeros((0, 5), np.int64)]
+    stamps = np.unique(whole.version).tolist()
+    for v, nxt in zip(stamps, [*stamps[1:], None], strict=True):
+        keep = np.flatnonzero(whole.version <= v)
+        part = shard.take(keep)
+        domain = Domain(part, orient, buckets, whole.cuts)
+        for j in range(domain.height + 1):
+            e = level_edges(part, domain, j, m, ef_con, 0)
+            e = e[e[:, 4] == OPEN]
+            out.append(np.column_stack([e[:, 0], keep[e[:, 1]], keep[e[:, 2]], np.full(len(e), v), np.full(len(e), OPEN if nxt is None else nxt - 1)]))
+    return np.concatenate(out)
 
 
 class Oriented:
-    """One orientation of the tree, ready for searching."""
-
-    def __init__(self, shard: Shard, orient: str, rows: np.ndarray, m: int, small: int):
-        self.shard, self.orient, self.m, self.small = shard, orient, m, small
-        self.version, self.key = versions_and_keys(shard, orient)
-        self.height = height_of(len(shard.values))
-        self.edges = Edges.of(len(shard), rows)
-        self.born = np.lexsort((shard.ids, self.version))
-        self.by_key = np.lexsort((shard.ids, self.version, self.key))
-
-    def bounds(self, box: Box, lq, rq) -> tuple[int, int, int]:
-        """Version bound and key interval as ranks; bounds need not be values of the domain."""
-        values = self.shard.values
+    """One orientation of the tree, ready for searching: its edges, and each level's members by node and birth.
+
+    Nothing in a search is linear in the objects: nodes are found by binary search among a level's members, the first
+    of which is its entry; how many of them a version has is another binary search.
+    """
+
+    def __init__(self, shard: Shard, domain: Domain, edges: Edges, m: int, small: int = SMALL, hubs: list | None = None):
+        self.shard, self.domain, self.edges, self.m, self.small, self.hubs = shard, domain, edges, m, small, hubs or []
+        self.version, self.keys, self.height = domain.version, domain.keys, domain.height
+        born = np.lexsort((shard.tie, self.version))
+        self.members, self.nodes, self.births = [], [], []
+        for j in range(self.height + 1):
+            node = domain.node(j)[born]
+            order = np.argsort(node, kind="stable")
+            self.members.append(born[order])
+            self.nodes.append(node[order])
+            self.births.append(self.version[born[order]])
+
+    def bounds(self, box: Box, lq, rq) -> tuple:
+        """The box's version, the cover of its whole leaves, the leaves that it cuts, and its key interval as a test."""
         ends = {"lq": lq, "rq": rq}
-        at_most = lambda x, strict: int(np.searchsorted(values, x, side="left" if strict else "right"))
-        at_least = lambda x, strict: int(np.searchsorted(values, x, side="right" if strict else "left")) + 1
-        size = len(values)
-        if box.version is None:
-            x = size
-        elif ORIENTATIONS[self.orient][1] > 0:
-            x = at_most(ends[box.version], box.version_strict)
-        else:
-            x = size + 1 - at_least(ends[box.version], box.version_strict)
-        low = at_least(ends[box.low], box.low_strict) if box.low else 1
-        high = at_most(ends[box.high], box.high_strict) if box.high else size
-        return x, low, high
-
-    def find(self, q: np.ndarray, x: int, low: int, high: int, k: int, ef: int, mode: str = "layered", exact_below: int = 0, complete: bool = False, residual: np.ndarray | None = None) -> tuple[list[tuple[float, int]], Counters]:
-        work, s = Counters(), self.shard
-        nodes = cover(low, high, self.height) if x >= 1 else []
-        inside = (self.key >= low) & (self.key <= high)
-        alive = inside & (self.version <= x)
-        if residual is not None:
-            alive &= residual
-        total = int(alive.sum())
-        if not nodes or not total:
+        d = self.domain
+        x = len(d.versions) if box.version is None else d.version_at(ends[box.version], box.version_strict)
+        low, high = (None if e is None else ends[e] for e in (box.low, box.high))
+        first, last, cut = d.leaves(low, high, box.low_strict, box.high_strict)
+        nodes = [n for n in cover(first, last, self.height)] if first <= last else []
+        return x, nodes, [(1 << self.height) + k - 1 for k in cut], (low, high, box.low_strict, box.high_strict)
+
+    def alive(self, node: int, x: int) -> np.ndarray:
+        """A node's members at a version, first-born first."""
+        level = node.bit_length() - 1
+        a, b = np.searchsorted(self.nodes[level], [node - (1 << level), node - (1 << level) + 1])
+        return self.members[level][a : a + np.searchsorted(self.births[level][a:b], x, side="right")]
+
+    def inside(self, rows: np.ndarray, interval: tuple) -> np.ndarray:
+        low, high, low_strict, high_strict = interval
+        k = self.keys[rows]
+        fine = np.ones(len(rows), bool)
+        if low is not None:
+            fine &= (k > low) if low_strict else (k >= low)
+        if high is not None:
+            fine &= (k < high) if high_strict else (k <= high)
+        return fine
+
+    def find(self, q: np.ndarray, x: int, nodes: list[int], cut: list[int], interval: tuple, k: int, ef: int, mode: str = "layered", exact_below: int = 0, residual: np.ndarray | None = None) -> tuple[list[tuple[float, int]], Counters]:
+        """Rows by rising distance; with ``residual`` (a mark for each object) the walk passes all members and is widened until k marked ones are found."""
+        work, s, e = Counters(), self.shard, self.edges
+        held = [(n, self.alive(n, x)) for n in nodes]
+        held = [(n, rows) for n, rows in held if len(rows)]
+        for n in cut:
+            rows = self.alive(n, x)
+            rows = rows[self.inside(rows, interval)]
+            if len(rows):
+                held.append((n, rows))
+        total = sum(len(rows) for _, rows in held)
+        if not total:
             return [], work
         if total <= exact_below:
-            rows = np.flatnonzero(alive)
-            work.distances += total
+            rows = np.concatenate([rows for _, rows in held])
+            rows = rows if residual is None else rows[residual[rows]]
+            work.distances += len(rows)
             return sorted(zip(squared(s.vectors[rows], q).tolist(), rows.tolist(), strict=True))[: max(k, ef)], work
-        level = levels_of(self.key, nodes, self.height)
+        held.sort(key=lambda h: span(h[0], self.height))
+        starts, levels = [span(n, self.height)[0] for n, _ in held], [n.bit_length() - 1 for n, _ in held]
+        leaf, m, layered = self.domain.leaf, self.m, mode == "layered"
+        whole = set(nodes)
         seeds: list[int] = []
-        for n in nodes:
-            a, b = span(n, self.height)
-            members = np.flatnonzero((self.key >= a) & (self.key <= b))
-            if len(members) <= self.small:
-                seeds += members[self.version[members] <= x].tolist()
-            elif len(members):
-                first = members[np.lexsort((s.ids[members], self.version[members]))[0]]
-                if self.version[first] <= x:
-                    seeds.append(int(first))
-        e, m = self.edges, self.m
-
-        def neighbours(u: int) -> np.ndarray:
-            at = e.at(u)
-            dst, lev = e.dst[at], e.level[at]
+        for n, rows in held:
+            if n not in whole or len(rows) <= self.small:
+                seeds += rows.tolist()
+            else:
+                seeds.append(self.descend(q, n, x, int(rows[0]), work) if self.hubs else int(rows[0]))
+
+        def neighbours(u: int) -> list[int]:
+            level = levels[bisect_right(starts, leaf[u]) - 1]
+            at = e.at(u, 0 if layered else level, level)
+            dst = e.dst[at]
             work.edges += len(dst)
-            fine = (e.begin[at] <= x) & (e.end[at] >= x) & inside[dst]
-            fine &= lev <= level[u] if mode == "layered" else lev == level[u]
-            return first_unique(dst[fine], m)
-
-        seen = np.zeros(len(s), bool)
-        best = walk(q, s.vectors, seeds, neighbours, max(k, ef), work, seen)
-        work.unqualified += int((seen & ~(inside & (self.version <= x))).sum())
-        if complete:  # members that no edge led to
-            rest = np.flatnonzero(alive & ~seen)
-            work.swept = len(rest)
-            work.distances += len(rest)
-            best = sorted([*best, *zip(squared(s.vectors[rest], q).tolist(), rest.tolist(), strict=True)])
-        if residual is not None:
-            best = [(d, r) for d, r in best if residual[r]]
-        return best, work
+            dst = dst[(e.begin[at] <= x) & (e.end[at] >= x)]
+            dst = dst[self.inside(dst, interval)]
+            return list(dict.fromkeys(dst.tolist()))[:m]
+
+        width = max(k, ef)
+        while True:
+            seen: set[int] = set()
+            ended = work.exhausted
+            best = walk(q, s.vectors, seeds, neighbours, width, work, seen)
+            marked = best if residual is None else [(d, r) for d, r in best if residual[r]]
+            if residual is None or len(marked) >= k or work.exhausted > ended or width >= total:
+                break
+            width *= 2
+        met = np.fromiter(seen, np.int64, len(seen))
+        fine = self.inside(met, interval) & (self.version[met] <= x)
+        work.unqualified += int((~fine).sum())
+        if work.exhausted > ended:
+            work.missed += total - int(fine.sum())
+        return marked, work
+
+    def descend(self, q: np.ndarray, node: int, x: int, entry: int, work: Counters) -> int:
+        """A nearer entry to a node, by greedy steps through its hub graphs from the top."""
+        level = node.bit_length() - 1
+        for tree, rows, place in reversed(self.hubs):
+            own = tree.alive(node, x)
+            if not len(own):
+                continue
+            e = tree.edges
+
+            def near(u: int, e=e) -> list[int]:
+                at = e.at(u, level, level)
+                return e.dst[at][(e.begin[at] <= x) & (e.end[at] >= x)].tolist()
+
+            start = int(place[entry]) if place[entry] >= 0 else int(own[0])
+            entry = int(rows[walk(q, tree.shard.vectors, [start], near, 1, work)[0][1]])
+        return entry
+
+
+def tree_edges(shard: Shard, domain: Domain, m: int, ef_con: int, small: int, graph: str = "grown") -> Edges:
+    rows = np.concatenate([level_edges(shard, domain, j, m, ef_con, small, graph) for j in range(domain.height + 1)])
+    return Edges.of(len(shard), rows, domain.height + 1)
+
+
+def hub_trees(shard: Shard, domain: Domain, m: int, ef_con: int) -> list[tuple[Oriented, np.ndarray, np.ndarray]]:
+    """The hub levels, lowest first: a tree over the objects in each, their rows, and each row's place among them (-1: none)."""
+    level, out = hub_level(shard.ids), []
+    for j in range(1, int(level.max(initial=0)) + 1):
+        rows = np.flatnonzero(level >= j)
+        part, own = shard.take(rows), domain.part(rows)
+        place = np.full(len(shard), -1)
+        place[rows] = np.arange(len(rows))
+        out.append((Oriented(part, own, tree_edges(part, own, max(4, m // 2), ef_con, 0), m, 0), rows, place))
+    return out
 
 
 class VersionedTree(Method):
-    """The tree of labelled graphs, in up to three orientations; ``variant`` says how it is stored."""
+    """The tree of graphs, in up to three orientations; ``variant`` says how it is made and stored."""
 
     name = "vtg"
 
     def prepare(self) -> None:
-        o = self.options
-        self.small = o.get("small", 2)
+        o, s = self.options, self.shard
+        self.small = o.get("small", SMALL)
         self.orient: dict[str, Oriented] = {}
-        given = o.get("rows", {})
+        variant, buckets = o.get("variant", "labelled"), o.get("buckets", BUCKETS)
         for name in o.get("orientations", ORIENTATIONS):
-            height = height_of(len(self.shard.values))
-            rows = given.get(name)
-            if rows is None:
-                rows = np.concatenate([level_edges(self.shard, name, j, self.m, self.ef_con, self.small) for j in range(height + 1)])
-            version, key = versions_and_keys(self.shard, name)
-            variant = o.get("variant", "labelled")
-            if variant == "snapshot" and len(self.shard) * len(self.shard.values) > o.get("snapshot_limit", 400_000):
-                raise ValueError("a snapshot of every version is too large here; use the shared or labelled variant")
-            if variant != "labelled":
-                rows = as_shared(rows, version, key, height) if variant == "shared" else as_snapshots(rows, version)
-            self.orient[name] = Oriented(self.shard, name, rows, self.m, self.small)
+            domain = Domain(s, name, buckets)
+            if variant != "labelled" and len(s) * len(domain.versions) > o.get("snapshot_limit", 400_000):
+                raise ValueError(f"the {variant} variant is too large here; use the labelled one")
+            if variant == "shared":
+                edges = Edges.of(len(s), SharedTree(s, domain, self.m, self.ef_con).rows(), domain.height + 1)
+            elif variant == "snapshot":
+                edges = Edges.of(len(s), snapshots(s, name, self.m, self.ef_con, buckets), domain.height + 1)
+            else:
+                edges = tree_edges(s, domain, self.m, self.ef_con, self.small, o.get("graph", "grown"))
+            hubs = hub_trees(s, domain, self.m, self.ef_con) if o.get("levels") == "hier" else None
+            self.orient[name] = Oriented(s, domain, edges, self.m, self.small, hubs)
 
     def boxes(self, mask: int) -> list[Box]:
         return plan(mask)
@@ -276,14 +430,14 @@ class VersionedTree(Method):
         o, work, found = self.options, Counters(), []
         for box in self.boxes(mask):
             tree = self.orient[box.orient]
-            got, w = tree.find(q, *tree.bounds(box, lq, rq), k, ef, o.get("mode", "layered"), o.get("exact_below", 0), o.get("complete", False))
+            got, w = tree.find(q, *tree.bounds(box, lq, rq), k, ef, o.get("mode", "layered"), o.get("exact_below", 0))
             found += got
             for c in vars(work):
                 setattr(work, c, getattr(work, c) + getattr(w, c))
         return self.top(found, k, work)
 
     def graphs(self) -> list[Edges]:
-        return [t.edges for t in self.orient.values()]
+        return [e for t in self.orient.values() for e in (t.edges, *(h.edges for h, _, _ in t.hubs))]
 
 
 class AtomicUnion(VersionedTree):
@@ -330,11 +484,12 @@ class PostFilter(OneGraph):
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
         s, work = self.shard, Counters()
-        fine = qualifies(mask, s.left, s.right, lq, rq)
         width = max(k, ef)
         while True:
             best = walk(q, s.vectors, self.entry, open_neighbours(self.edges), width, work)
-            got = [(d, r) for d, r in best if fine[r]]
+            rows = np.array([r for _, r in best], np.int64)
+            fine = qualifies(mask, s.left[rows], s.right[rows], lq, rq)
+            got = [p for p, f in zip(best, fine.tolist(), strict=True) if f]
             if len(got) >= k or width >= self.options.get("max_ef", 512):
                 work.unqualified += len(best) - len(got)
                 return self.top(got, k, work)
@@ -350,18 +505,17 @@ class DenseSubgraph(OneGraph):
         super().__init__(m, ef_con, **options)
         self.degree = gamma
 
-    def near(self, u: int, fine: np.ndarray) -> np.ndarray:
+    def near(self, u: int, fine) -> list[int]:
         t = self.edges.dst[self.edges.at(u)]
-        return t[fine[t]][: self.m]
+        return t[fine(t)][: self.m].tolist()
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
         s, work = self.shard, Counters()
-        fine = qualifies(mask, s.left, s.right, lq, rq)
-        rows = np.flatnonzero(fine)
-        if not len(rows):
-            return self.top([], k, work)
-        start = self.entry[0] if fine[self.entry[0]] else int(rows[0])
-        return self.top(walk(q, s.vectors, [start], lambda u: self.near(u, fine), max(k, ef), work), k, work)
+        fine = lambda rows: qualifies(mask, s.left[rows], s.right[rows], lq, rq)
+        start = np.array(self.entry, np.int64)
+        if not fine(start).any():
+            start = np.flatnonzero(fine(slice(None)))[:1]
+        return self.top(walk(q, s.vectors, start.tolist(), lambda u: self.near(u, fine), max(k, ef), work), k, work)
 
 
 class TwoHop(DenseSubgraph):
@@ -372,11 +526,11 @@ class TwoHop(DenseSubgraph):
     def __init__(self, m: int = 16, ef_con: int = 100, **options):
         super().__init__(m, ef_con, gamma=1, **options)
 
-    def near(self, u: int, fine: np.ndarray) -> np.ndarray:
+    def near(self, u: int, fine) -> list[int]:
         e = self.edges
         one = e.dst[e.at(u)]
-        t = first_unique(np.concatenate([one, *(e.dst[e.at(v)] for v in one)]), len(fine))
-        return t[fine[t] & (t != u)][: self.m]
+        t = np.concatenate([one, *(e.dst[e.at(v)] for v in one)])
+        return [v for v in dict.fromkeys(t[fine(t)].tolist()) if v != u][: self.m]
 
 
 class SegmentedStore(Method):
@@ -388,24 +542,27 @@ class SegmentedStore(Method):
         s = self.shard
         order = np.lexsort((s.ids, s.left))
         self.parts = np.array_split(order, max(1, -(-len(order) // self.options.get("seg_rows", 256)))) if len(order) else []
-        self.edges = [Edges.of(len(s), grown(s, p, self.m, self.ef_con)) for p in self.parts]
+        cuts = np.cumsum([0, *map(len, self.parts)])
+        e = grow(s.vectors[order], np.zeros(len(s), np.int64), cuts, self.m, self.ef_con)
+        e = e[e[:, 3] == OPEN]
+        self.edges = Edges.of(len(s), np.column_stack([np.zeros(len(e), np.int64), order[e[:, 0]], order[e[:, 1]], e[:, 2:]]))
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
         s, work, found = self.shard, Counters(), []
-        fine = qualifies(mask, s.left, s.right, lq, rq)
-        for p, e in zip(self.parts, self.edges, strict=True):
+        fine = qualifies(mask, s.left, s.right, lq, rq)  # the scalar index' bitmap
+        for p in self.parts:
             rows = p[fine[p]]
             if len(rows) <= self.options.get("scan_share", 0.2) * len(p):
                 work.distances += len(rows)
                 found += zip(squared(s.vectors[rows], q).tolist(), rows.tolist(), strict=True)
             else:
-                best = walk(q, s.vectors, [int(p[0])], open_neighbours(e), max(k, ef), work)
+                best = walk(q, s.vectors, [int(p[0])], open_neighbours(self.edges), max(k, ef), work)
                 work.unqualified += sum(not fine[r] for _, r in best)
                 found += [(d, r) for d, r in best if fine[r]]
         return self.top(found, k, work)
 
     def graphs(self) -> list[Edges]:
-        return self.edges
+        return [self.edges]
 
 
 class PointMethod(Method):
@@ -435,26 +592,24 @@ class PrefixCompressed(PointMethod):
     name = "segment2d"
 
     def grow(self) -> None:
-        g = GrowingGraph(self.shard.vectors, self.m, self.ef_con)
-        for v, r in enumerate(self.order.tolist(), 1):
-            g.insert(r, v)
-        e = g.edges()
-        self.edges = Edges.of(len(self.shard), np.column_stack([np.zeros(len(e), np.int64), e]))
+        o = self.order
+        e = grow(self.shard.vectors[o], np.arange(1, len(o) + 1), np.array([0, len(o)]), self.m, self.ef_con)
+        self.edges = Edges.of(len(o), np.column_stack([np.zeros(len(e), np.int64), o[e[:, 0]], o[e[:, 1]], e[:, 2:]]))
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
         s, work, e = self.shard, Counters(), self.edges
         a, b = self.place(lq, rq)
         if a >= b:
             return self.top([], k, work)
-        fine = (s.left >= lq) & (s.left <= rq)
 
-        def near(u: int) -> np.ndarray:
+        def near(u: int) -> list[int]:
             at = e.at(u)
-            return e.dst[at][(e.begin[at] <= b) & (e.end[at] >= b)]
+            return e.dst[at][(e.begin[at] <= b) & (e.end[at] >= b)].tolist()
 
         best = walk(q, s.vectors, [int(self.order[0]), int(self.order[a])], near, max(k, ef), work)
-        work.unqualified += sum(not fine[r] for _, r in best)
-        return self.top([(d, r) for d, r in best if fine[r]], k, work)
+        got = [(d, r) for d, r in best if lq <= s.left[r] <= rq]
+        work.unqualified += len(best) - len(got)
+        return self.top(got, k, work)
 
     def graphs(self) -> list[Edges]:
         return [self.edges]
@@ -468,29 +623,31 @@ class SliceInclusive(PointMethod):
     def grow(self) -> None:
         s = self.shard
         self.slices = np.array_split(self.order, max(1, min(self.options.get("slices", 8), len(self.order) or 1)))
-        each = max(2, self.m // 2)
-        rows = []
+        each, rows = max(2, self.m // 2), []
+        square = np.einsum("ij,ij->i", s.vectors, s.vectors)
         for j, part in enumerate(self.slices):
-            for u in range(len(s)) if len(part) else ():
-                d = squared(s.vectors[part], s.vectors[u])
-                d[part == u] = np.inf
-                rows += [(j, u, int(t), 0, OPEN) for t in part[np.lexsort((part, d))][:each] if t != u]
-        self.edges = Edges.of(len(s), np.array(rows, np.int64).reshape(-1, 5))
+            for a in range(0, len(s) if len(part) else 0, 512):
+                u = np.arange(a, min(a + 512, len(s)))
+                d = square[u, None] + square[None, part] - 2 * (s.vectors[u] @ s.vectors[part].T)
+                d[u[:, None] == part[None, :]] = np.inf
+                n = min(each, len(part))
+                near = np.argpartition(d, n - 1, axis=1)[:, :n]
+                fine = np.isfinite(np.take_along_axis(d, near, axis=1))
+                r, c = np.nonzero(fine)
+                rows.append(np.column_stack([np.full(len(r), j), u[r], part[near[r, c]], np.zeros(len(r), np.int64), np.full(len(r), OPEN)]))
+        self.edges = Edges.of(len(s), np.concatenate(rows) if rows else np.zeros((0, 5), np.int64), len(self.slices))
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
         s, work, e = self.shard, Counters(), self.edges
+        a, b = self.place(lq, rq)
         met = [j for j, p in enumerate(self.slices) if len(p) and s.left[p[0]] <= rq and s.left[p[-1]] >= lq]
-        fine = (s.left >= lq) & (s.left <= rq)
-        if not met or not fine.any():
+        if not met or a >= b:
             return self.top([], k, work)
-
-        def near(u: int) -> np.ndarray:
-            at = e.at(u)
-            return np.unique(e.dst[at][np.isin(e.level[at], met)])
-
+        near = lambda u: list(dict.fromkeys(e.dst[e.at(u, met[0], met[-1])].tolist()))  # noqa: E731  slices met are neighbours
         best = walk(q, s.vectors, [int(self.slices[j][0]) for j in met], near, max(k, ef), work)
-        work.unqualified += sum(not fine[r] for _, r in best)
-        return self.top([(d, r) for d, r in best if fine[r]], k, work)
+        got = [(d, r) for d, r in best if lq <= s.left[r] <= rq]
+        work.unqualified += len(best) - len(got)
+        return self.top(got, k, work)
 
     def graphs(self) -> list[Edges]:
         return [self.edges]
@@ -502,33 +659,40 @@ class WindowPostFilter(PointMethod):
     name = "window_postfilter"
 
     def grow(self) -> None:
-        n, self.windows = len(self.order), {}
+        """For each length the windows one after the other: their objects, where each begins, and one graph of all."""
+        n, self.lengths = len(self.order), []
         for j in range(max(1, n).bit_length() + 1):
             width = 1 << j
             if width < self.options.get("least", 16) and width < n:
                 continue
-            for a in range(0, max(n - width // 2, 1), max(1, width // 2)):
-                part = self.order[a : a + width]
-                self.windows[a, a + width] = part, Edges.of(len(self.shard), grown(self.shard, part, self.m, self.ef_con))
+            begins = np.arange(0, max(n - width // 2, 1), max(1, width // 2))
+            parts = [self.order[a : a + width] for a in begins]
+            cuts = np.cumsum([0, *map(len, parts)])
+            rows = np.concatenate(parts) if parts else self.order
+            e = grow(self.shard.vectors[rows], np.zeros(len(rows), np.int64), cuts, self.m, self.ef_con)
+            e = e[e[:, 3] == OPEN]
+            self.lengths.append((width, rows, cuts, self.shard.vectors[rows], Edges.of(len(rows), np.column_stack([np.zeros(len(e), np.int64), e]))))
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
         s, work = self.shard, Counters()
         a, b = self.place(lq, rq)
         if a >= b:
             return self.top([], k, work)
-        x, y = min(((x, y) for x, y in self.windows if x <= a and b <= y), key=lambda w: w[1] - w[0])
-        part, e = self.windows[x, y]
-        width = max(k, ef)
+        for width, rows, cuts, vectors, e in self.lengths:  # the shortest window around the query
+            w = min(a // max(1, width // 2), len(cuts) - 2)
+            if w * max(1, width // 2) <= a and b <= w * max(1, width // 2) + width:
+                break
+        size, width = cuts[w + 1] - cuts[w], max(k, ef)
         while True:
-            best = walk(q, s.vectors, [int(part[0])], open_neighbours(e), width, work)
+            best = [(d, int(rows[r])) for d, r in walk(q, vectors, [int(cuts[w])], open_neighbours(e), width, work)]
             got = [(d, r) for d, r in best if lq <= s.left[r] <= rq]
-            if len(got) >= min(k, b - a) or width >= len(part):
+            if len(got) >= min(k, b - a) or width >= size:
                 work.unqualified += len(best) - len(got)
                 return self.top(got, k, work)
             width *= 2
 
     def graphs(self) -> list[Edges]:
-        return [e for _, e in self.windows.values()]
+        return [e for *_, e in self.lengths]
 
 
 class TreeGraph(PointMethod):
@@ -538,14 +702,12 @@ class TreeGraph(PointMethod):
 
     def grow(self) -> None:
         s = self.shard
-        flat = Shard(s.ids, s.vectors, np.full(len(s), s.values[0]) if len(s) else s.left, s.right, s.values)
-        height = height_of(len(s.values))
-        self.small = self.options.get("small", 2)
-        self.tree = Oriented(flat, "LU", np.concatenate([level_edges(flat, "LU", j, self.m, self.ef_con, self.small) for j in range(height + 1)]), self.m, self.small)
+        flat = Shard(s.ids, s.vectors, np.zeros_like(s.left), s.right)
+        domain, small = Domain(flat, "LU"), self.options.get("small", SMALL)
+        self.tree = Oriented(flat, domain, tree_edges(flat, domain, self.m, self.ef_con, small), self.m, small)
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
-        x, low, high = self.tree.bounds(Box("LU", None, "lq", "rq"), lq, rq)
-        best, work = self.tree.find(q, x, low, high, k, ef)
+        best, work = self.tree.find(q, *self.tree.bounds(Box("LU", None, "lq", "rq"), lq, rq), k, ef)
         return self.top(best, k, work)
 
     def graphs(self) -> list[Edges]:
@@ -558,28 +720,36 @@ class StabGraph(Method):
     name, masks, point_queries = "stab_graph", (2,), True
 
     def prepare(self) -> None:
-        s, g = self.shard, GrowingGraph(self.shard.vectors, self.m, self.ef_con)
-        enter, leave = s.ranks(s.left), s.ranks(s.right)
+        s, g = self.shard, GrowingGraph(self.shard.vectors, self.m, self.ef_con, scan=True)
+        self.values = np.unique(np.concatenate([s.left, s.right]))
+        enter, leave = (np.searchsorted(self.values, x) + 1 for x in (s.left, s.right))
         todo = sorted([(int(v), 1, int(i), r) for r, (v, i) in enumerate(zip(enter, s.ids, strict=True))] + [(int(v) + 1, 0, int(i), r) for r, (v, i) in enumerate(zip(leave, s.ids, strict=True))])
+        first: dict[int, int] = {}  # a live object at each value
         for v, enters, _, r in todo:
             g.insert(r, v) if enters else g.remove(r, v)
+            first[v] = next(iter(g.rows), -1)
+        at = np.searchsorted(list(first), np.arange(1, len(self.values) + 1), side="right") - 1
+        self.first = np.array(list(first.values()), np.int64)[at] if first else np.zeros(0, np.int64)
         e = g.edges()
         self.edges = Edges.of(len(s), np.column_stack([np.zeros(len(e), np.int64), e]))
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
         s, e, work = self.shard, self.edges, Counters()
-        fine = np.flatnonzero((s.left <= lq) & (s.right >= lq))
-        if not len(fine):
+        x = int(np.searchsorted(self.values, lq, side="right"))
+        seed = int(self.first[x - 1]) if x else -1
+        if seed >= 0 and not s.left[seed] <= lq <= s.right[seed]:  # between two values
+            live = np.flatnonzero((s.left <= lq) & (s.right >= lq))
+            seed = int(live[0]) if len(live) else -1
+        if seed < 0:
             return self.top([], k, work)
-        x = int(np.searchsorted(s.values, lq, side="right"))
 
-        def near(u: int) -> np.ndarray:
+        def near(u: int) -> list[int]:
             at = e.at(u)
             t = e.dst[at][(e.begin[at] <= x) & (e.end[at] >= x)]
-            return t[(s.left[t] <= lq) & (s.right[t] >= lq)]
+            work.edges += at.stop - at.start
+            return t[(s.left[t] <= lq) & (s.right[t] >= lq)].tolist()
 
-        first = fine[np.lexsort((s.ids[fine], s.left[fine]))[0]]
-        return self.top(walk(q, s.vectors, [int(first)], near, max(k, ef), work), k, work)
+        return self.top(walk(q, s.vectors, [seed], near, max(k, ef), work), k, work)
 
     def graphs(self) -> list[Edges]:
         return [self.edges]
@@ -592,16 +762,26 @@ class QuadGraph(Method):
 
     def prepare(self) -> None:
         s = self.shard
-        self.at = np.column_stack([s.ranks(s.left), s.ranks(s.right)]) - 1
-        self.height = height_of(len(s.values))
-        self.cells: dict[tuple[int, int, int], tuple[np.ndarray, Edges, bool]] = {}
+        self.values = np.unique(np.concatenate([s.left, s.right]))
+        self.at = np.column_stack([np.searchsorted(self.values, s.left), np.searchsorted(self.values, s.right)])
+        self.height = height_of(len(self.values))
+        self.cells: dict[tuple[int, int, int], tuple[np.ndarray, bool]] = {}
         self.split(0, 0, 0, np.argsort(s.ids))
+        rows = [np.zeros((0, 5), np.int64)]
+        for level in range(self.height + 1):
+            parts = [r for (j, _, _), (r, leaf) in self.cells.items() if j == level]
+            if parts:
+                order, cuts = np.concatenate(parts), np.cumsum([0, *map(len, parts)])
+                e = grow(s.vectors[order], np.zeros(len(order), np.int64), cuts, self.m, self.ef_con)
+                e = e[e[:, 3] == OPEN]
+                rows.append(np.column_stack([np.full(len(e), level), order[e[:, 0]], order[e[:, 1]], e[:, 2:]]))
+        self.edges = Edges.of(len(s), np.concatenate(rows), self.height + 1)
 
     def split(self, level: int, x: int, y: int, rows: np.ndarray) -> None:
         if not len(rows):
             return
         leaf = len(rows) <= self.options.get("leaf", 32) or level == self.height
-        self.cells[level, x, y] = rows, Edges.of(len(self.shard), grown(self.shard, rows, self.m, self.ef_con)), leaf
+        self.cells[level, x, y] = rows, leaf
         if not leaf:
             half = self.at[rows] >> (self.height - level - 1)
             for a in (2 * x, 2 * x + 1):
@@ -609,19 +789,19 @@ class QuadGraph(Method):
                     self.split(level + 1, a, b, rows[(half[:, 0] == a) & (half[:, 1] == b)])
 
     def find(self, q, lq, rq, mask, k, ef) -> Found:
-        s, work, found = self.shard, Counters(), []
-        low, high = int(np.searchsorted(s.values, lq, side="left")), int(np.searchsorted(s.values, rq, side="right")) - 1
+        s, e, work, found = self.shard, self.edges, Counters(), []
+        low, high = int(np.searchsorted(self.values, lq, side="left")), int(np.searchsorted(self.values, rq, side="right")) - 1
         todo = [(0, 0, 0)]
         while todo:
             level, x, y = todo.pop()
             if (level, x, y) not in self.cells:
                 continue
-            rows, e, leaf = self.cells[level, x, y]
+            rows, leaf = self.cells[level, x, y]
             width = 1 << (self.height - level)
             if (x + 1) * width - 1 < low or y * width > high:
                 continue
             if x * width >= low and (y + 1) * width - 1 <= high:
-                found += walk(q, s.vectors, [int(rows[0])], open_neighbours(e), max(k, ef), work)
+                found += walk(q, s.vectors, [int(rows[0])], lambda u, j=level: e.dst[e.at(u, j, j)].tolist(), max(k, ef), work)
             elif leaf:
                 fine = (s.left[rows] >= lq) & (s.right[rows] <= rq)
                 work.distances += len(rows)
@@ -632,7 +812,7 @@ class QuadGraph(Method):
         return self.top(found, k, work)
 
     def graphs(self) -> list[Edges]:
-        return [e for _, e, _ in self.cells.values()]
+        return [self.edges]
 
 
 class OracleGraph(Method):

@@ -84,7 +84,18 @@ def v3r7(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "lineitem").groupBy(F.col("l_orderkey").alias("id")).agg(F.array(*[c.cast("float") for c in f]).alias("vec"), F.min(at).alias("l"), F.max(at).alias("r"))
 
 
-OBJECT_SETS = {"v1r1": v1r1, "v1r2": v1r2, "v1r3": v1r3, "v1r5": v1r5, "v2r1": v2r1, "v4r4": v4r4, "v3r7": v3r7}
+def v3wide(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders with formula ranges over a hundred thousand values, mean length 48: low selectivities."""
+    i = F.col("id")
+    return v3r7(spark, sf_dir).select("id", "vec", ((i * 7919) % 100_000).alias("l")).withColumn("r", F.col("l") + (i * i * 31 + i * 17) % 97)
+
+
+def v1r1_200(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The main set's objects under id 200, for what is built once a version."""
+    return v1r1(spark, sf_dir).where("id < 200")
+
+
+OBJECT_SETS = {"v3wide": v3wide, "v1r1_200": v1r1_200, "v1r1": v1r1, "v1r2": v1r2, "v1r3": v1r3, "v1r5": v1r5, "v2r1": v2r1, "v4r4": v4r4, "v3r7": v3r7}
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
