@@ -533,6 +533,17 @@ class TwoHop(DenseSubgraph):
         return [v for v in dict.fromkeys(t[fine(t)].tolist()) if v != u][: self.m]
 
 
+def widened(search, fine, width: int, wanted: int, most: int, work: Counters) -> list[tuple[float, int]]:
+    """What of a search's answers is fine, the width doubled until that is enough."""
+    while True:
+        best = search(width)
+        got = [(d, r) for d, r in best if fine(r)]
+        if len(got) >= wanted or width >= most:
+            work.unqualified += len(best) - len(got)
+            return got
+        width *= 2
+
+
 class SegmentedStore(Method):
     """Segments by rising l, a graph each; a segment is scanned if few of it qualify, else walked and filtered."""
 
@@ -556,9 +567,7 @@ class SegmentedStore(Method):
                 work.distances += len(rows)
                 found += zip(squared(s.vectors[rows], q).tolist(), rows.tolist(), strict=True)
             else:
-                best = walk(q, s.vectors, [int(p[0])], open_neighbours(self.edges), max(k, ef), work)
-                work.unqualified += sum(not fine[r] for _, r in best)
-                found += [(d, r) for d, r in best if fine[r]]
+                found += widened(lambda w: walk(q, s.vectors, [int(p[0])], open_neighbours(self.edges), w, work), lambda r: fine[r], max(k, 2 * ef), min(k, len(rows)), len(p), work)  # noqa: B023
         return self.top(found, k, work)
 
     def graphs(self) -> list[Edges]:
@@ -606,9 +615,9 @@ class PrefixCompressed(PointMethod):
             at = e.at(u)
             return e.dst[at][(e.begin[at] <= b) & (e.end[at] >= b)].tolist()
 
-        best = walk(q, s.vectors, [int(self.order[0]), int(self.order[a])], near, max(k, ef), work)
-        got = [(d, r) for d, r in best if lq <= s.left[r] <= rq]
-        work.unqualified += len(best) - len(got)
+        seeds = [int(self.order[0]), int(self.order[a])]
+        share = (b - a) / b  # of the prefix' members that the walk's answers are filtered to
+        got = widened(lambda w: walk(q, s.vectors, seeds, near, w, work), lambda r: lq <= s.left[r] <= rq, int(max(k, ef) / share), min(k, b - a), b, work)
         return self.top(got, k, work)
 
     def graphs(self) -> list[Edges]:

@@ -648,6 +648,29 @@ def variant_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
     return violation("variant_agreement", F.count("*"), stacked(differ))
 
 
+def order_dates(first: str, last: str) -> Query:
+    """Orders whose id is divisible by 1500, with one window for all."""
+    of = lambda d: F.unix_micros(F.lit(d).cast("timestamp_ntz").cast("timestamp"))
+    return lambda s, d: wl.v3r7(s, d).where("id % 1500 = 0").select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), of(first).alias("lq"), of(last).alias("rq"))
+
+
+#: The headline comparisons on four tenths of the orders (one tenth for the graph through time, whose build is sequential): methods, objects, queries, mask.
+LARGE = {
+    "rrknn 5%": (GENERAL, "v3wide_4", wide_queries(0.05), 15),
+    "rrknn 10%": (GENERAL, "v3wide_4", wide_queries(0.1), 15),
+    "prknn": ({"vtg": LD, "tree_graph": {}, "window_postfilter": {}, "segment2d": {}, "quad_graph": {}}, "v3r5_4", order_dates("1998-01-01", "1998-08-27"), 8),
+    "iiknn": ({"vtg": LD, "quad_graph": {}, "pre_filter": {}}, "v3r7_4", order_dates("1997-01-01", "2000-01-01"), 8),
+    "stknn": ({"vtg": LU, "stab_graph": {}, "pre_filter": {}}, "v3r7_1", order_dates("1995-06-01", "1995-06-01"), 2),
+}
+
+
+def large(name: str, spark: SparkSession, sf_dir: str, repeats: int = 2) -> DataFrame:
+    """A headline comparison: accuracy and cost of each method over widths."""
+    methods, objects, queries, mask = LARGE[name]
+    options = {m: o | ({} if m == "pre_filter" else {"ef_con": 60}) | {"shard_rows": ONE_SHARD} for m, o in methods.items()}
+    return compared(options, (objects, queries, mask), (10, 20, 50, 100), spark, sf_dir, repeats=repeats)
+
+
 # --- further operators ---------------------------------------------------------------------
 
 
@@ -744,4 +767,5 @@ QUERIES |= {
 QUERIES |= {"cover_bound": cover_bound_query, "price_band": wl.price_band, "ship_window": wl.ship_window, "exp1_curve": curve}
 QUERIES |= {f"size_{h}": partial(sizes, h) for h in ("cube", "rollup", "grouping_sets")}
 QUERIES |= {label: partial(accuracy_ok, method, label, options) for label, (method, options) in APPROXIMATE.items()}
+QUERIES |= {f"large_{n.replace(' ', '_').replace('%', '')}": partial(large, n) for n in LARGE}
 QUERIES |= {"exp1_overlap_5": partial(exp1, 5), "exp1_overlap_10": partial(exp1, 55)}

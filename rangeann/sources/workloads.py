@@ -95,7 +95,18 @@ def v1r1_200(spark: SparkSession, sf_dir: str) -> DataFrame:
     return v1r1(spark, sf_dir).where("id < 200")
 
 
-OBJECT_SETS = {"v3wide": v3wide, "v1r1_200": v1r1_200, "v1r1": v1r1, "v1r2": v1r2, "v1r3": v1r3, "v1r5": v1r5, "v2r1": v2r1, "v4r4": v4r4, "v3r7": v3r7}
+def v3r5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders with their date as a point."""
+    dates = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("id"), micros("o_orderdate").alias("l"), micros("o_orderdate").alias("r"))
+    return v3r7(spark, sf_dir).select("id", "vec").join(dates, "id")
+
+
+def share(make, tenths: int):
+    """Some tenths of a set, by a hash of the id."""
+    return lambda spark, sf_dir: make(spark, sf_dir).where(F.pmod(F.xxhash64("id"), F.lit(10)) < tenths)
+
+
+OBJECT_SETS = {"v3wide_4": share(v3wide, 4), "v3r7_4": share(v3r7, 4), "v3r7_1": share(v3r7, 1), "v3r5_4": share(v3r5, 4), "v3wide": v3wide, "v1r1_200": v1r1_200, "v1r1": v1r1, "v1r2": v1r2, "v1r3": v1r3, "v1r5": v1r5, "v2r1": v2r1, "v4r4": v4r4, "v3r7": v3r7}
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

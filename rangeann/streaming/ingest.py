@@ -172,7 +172,7 @@ class StreamIndex:
     def index(self, spark: SparkSession) -> ix.Index | None:
         """The growing index since the last compaction."""
         rows = self.latest(spark)
-        return None if rows is None else ix.Index(rows, self.m, self.ef_con, self.small, ("LU",), "double" if dict(rows.dtypes)["l_min"] == "double" else "long")
+        return None if rows is None or rows.isEmpty() else ix.Index(rows, self.m, self.ef_con, self.small, ("LU",), "double" if dict(rows.dtypes)["l_min"] == "double" else "long")
 
     def objects(self, spark: SparkSession, part: str) -> DataFrame | None:
         """Rows ``id, vec, l, r`` since the last compaction: of the growing index ("shards"), of the delta ("late"); or those of the compacted index ("compacted")."""

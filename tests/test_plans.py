@@ -7,8 +7,8 @@ import pytest
 
 from rangeann.functions.predicates import _ALLEN, ALL_MASKS, ALLEN, ORIENTATIONS, atomic_plan, atoms_of, plan
 from rangeann.functions.tree import cover, height_of, levels_of, span
-from rangeann.plans.kernel import OPEN, Counters, GrowingGraph, Shard, rng_prune, squared, static_graph, walk
-from rangeann.plans.methods import METHODS, Exact, VersionedTree, as_shared, as_snapshots, cover_bound, edge_bound, level_edges, qualifies, versions_and_keys
+from rangeann.plans.kernel import OPEN, Counters, Edges, GrowingGraph, Shard, grow, nearest_before, rng_prune, squared, static_graph, walk
+from rangeann.plans.methods import METHODS, Domain, Exact, Oriented, SharedTree, VersionedTree, cover_bound, edge_bound, level_edges, qualifies, snapshots, tree_edges
 
 VALUES = range(1, 7)
 
@@ -71,7 +71,7 @@ def worked_example():
     """Four values; three objects begin at 1, three at 2, two at 3."""
     left, right = [1, 1, 1, 2, 2, 2, 3, 3], [1, 3, 4, 2, 4, 2, 3, 4]
     rng = np.random.default_rng(0)
-    return Shard(np.arange(8), rng.standard_normal((8, 3)), np.array(left), np.array(right), np.arange(1, 5))
+    return Shard(np.arange(8), rng.standard_normal((8, 3)), np.array(left), np.array(right))
 
 
 def test_worked_example_touches_the_path_of_r():
@@ -79,47 +79,122 @@ def test_worked_example_touches_the_path_of_r():
     height = height_of(4)
     path = lambda r: [span((1 << j) | ((r - 1) >> (height - j)), height) for j in range(height + 1)]
     assert path(2) == [(1, 4), (1, 2), (2, 2)] and path(4) == [(1, 4), (3, 4), (4, 4)]
-    version, _ = versions_and_keys(s, "LU")
-    assert [np.flatnonzero(version == v).tolist() for v in (1, 2, 3, 4)] == [[0, 1, 2], [3, 4, 5], [6, 7], []]
+    domain = Domain(s, "LU", cuts=np.arange(1, 5))
+    assert domain.height == 2 and [np.flatnonzero(domain.version == v).tolist() for v in (1, 2, 3)] == [[0, 1, 2], [3, 4, 5], [6, 7]] and domain.version_at(4, False) == 3
+    tree = SharedTree(s, domain, 4, 10)
+    made = {path: [v for v, _ in copies] for path, copies in tree.copies.items()}
+    # nodes as (level, number): each version copies what its objects' paths touch and shares the rest
+    assert made == {(0, 0): [1, 2, 3], (1, 0): [1, 2], (1, 1): [1, 2, 3], (2, 0): [1], (2, 1): [2], (2, 2): [1, 3], (2, 3): [1, 2, 3]}
 
 
 def main_shard(n=120, seed=0, domain=40, dims=8):
     rng = np.random.default_rng(seed)
     left = rng.integers(0, domain, n)
     right = left + rng.integers(0, 12, n)
-    return Shard(np.arange(n) * 3, rng.standard_normal((n, dims)), left, right, np.unique(np.concatenate([left, right])))
+    return Shard(np.arange(n) * 3, rng.standard_normal((n, dims)), left, right)
 
 
 @pytest.mark.parametrize("orient", ORIENTATIONS)
 def test_labels_hold_every_prefix(orient):
     s = main_shard()
-    version, _ = versions_and_keys(s, orient)
-    whole = level_edges(s, orient, 1, 5, 20, 0)
+    whole_domain = Domain(s, orient)
+    version = whole_domain.version
+    whole = level_edges(s, whole_domain, 1, 5, 20, 0)
     for v in np.unique(version)[::4]:
         keep = np.flatnonzero(version <= v)
-        alone = level_edges(Shard(s.ids[keep], s.vectors[keep], s.left[keep], s.right[keep], s.values), orient, 1, 5, 20, 0)
+        part = s.take(keep)
+        alone = level_edges(part, Domain(part, orient, cuts=whole_domain.cuts), 1, 5, 20, 0)
         alone = alone[alone[:, 4] == OPEN]
         seen = whole[(whole[:, 3] <= v) & (whole[:, 4] >= v)]
         assert set(map(tuple, seen[:, 1:3].tolist())) == {(int(keep[a]), int(keep[b])) for a, b in alone[:, 1:3]}
         assert np.bincount(seen[:, 1]).max(initial=0) <= 5
 
 
-def test_edges_respect_births_degrees_and_bounds():
+@pytest.mark.parametrize(("n", "dims", "prune"), [(90, 6, True), (90, 1, True), (60, 6, False), (400, 5, True)])
+def test_replayed_events_are_single_insertions(n, dims, prune):
+    rng = np.random.default_rng(n + dims)
+    x, version = rng.standard_normal((n, dims)), np.sort(rng.integers(0, n // 3, n))
+    g = GrowingGraph(x, 6, 25, prune=prune, scan=True)
+    for r in range(n):
+        g.insert(r, int(version[r]))
+    got = grow(x, version, np.array([0, n]), 6, 25, prune)
+    assert sorted(map(tuple, got.tolist())) == sorted(map(tuple, g.edges().tolist()))
+
+
+def test_candidates_are_the_nearest_before():
+    x = np.random.default_rng(0).standard_normal((700, 4))
+    x[300:320] = x[5]  # ties
+    for a, found, dist in nearest_before(x, 12, start=40, block=64, chunk=128):
+        for i in range(len(found)):
+            d = squared(x[: a + i], x[a + i])
+            want = np.lexsort((np.arange(a + i), d))[:12]
+            assert np.allclose(dist[i][: len(want)], d[want]) and (set(found[i].tolist()) == set(want.tolist()) or len(set(d[want].round(9))) < 12)
+
+
+@pytest.mark.parametrize("cut", [0, 1, 40, 119])
+def test_extended_graphs_are_those_of_one_build(cut):
     s = main_shard()
-    version, _ = versions_and_keys(s, "LU")
-    height = height_of(len(s.values))
-    rows = np.concatenate([level_edges(s, "LU", j, 6, 30, 0) for j in range(height + 1)])
-    assert (rows[:, 3] >= np.maximum(version[rows[:, 1]], version[rows[:, 2]])).all() and (rows[:, 3] <= rows[:, 4]).all()
-    assert len(rows) <= edge_bound(len(s), 6, height)
-    _, key = versions_and_keys(s, "LU")
-    shared, snapshots = as_shared(rows, version, key, height), as_snapshots(rows, version)
-    assert len(rows) < len(shared) < len(snapshots)
+    order = np.lexsort((s.ids, s.left))
+    s = Shard(s.ids[order], s.vectors[order], s.left[order], s.right[order], np.arange(len(s)))
+    whole = Domain(s, "LU")
+    for level in (0, 2, whole.height):
+        want = level_edges(s, whole, level, 5, 20, 3)
+        part = s.take(np.arange(cut))
+        old = level_edges(part, Domain(part, "LU", cuts=whole.cuts), level, 5, 20, 3) if cut else np.zeros((0, 5), np.int64)
+        got = level_edges(s, whole, level, 5, 20, 3, fresh=np.arange(len(s)) >= cut, old=old)
+        assert sorted(map(tuple, got.tolist())) == sorted(map(tuple, want.tolist()))
 
 
-@pytest.mark.parametrize("variant", ["labelled", "shared", "snapshot"])
-def test_storage_variants_answer_alike(variant):
+def test_edges_respect_births_degrees_and_bounds():
+    s = main_shard()
+    domain = Domain(s, "LU")
+    rows = tree_edges(s, domain, 6, 30, 0).rows()
+    assert (rows[:, 3] >= np.maximum(domain.version[rows[:, 1]], domain.version[rows[:, 2]])).all() and (rows[:, 3] <= rows[:, 4]).all()
+    assert len(rows) <= edge_bound(len(s), 6, domain.height)
+    assert len(rows) < len(SharedTree(s, domain, 6, 30).rows()) < len(snapshots(s, "LU", 6, 30))
+    again = Edges.unpacked(Edges.of(len(s), rows, domain.height + 1).packed())
+    assert sorted(map(tuple, again.rows().tolist())) == sorted(map(tuple, rows.tolist()))
+    parts = [rows[rows[:, 0] == j][:, 1:] for j in range(domain.height + 1)]
+    merged = Edges.merged(len(s), [tuple(p[np.argsort(p[:, 0], kind="stable")].T) for p in parts])
+    assert sorted(map(tuple, merged.rows().tolist())) == sorted(map(tuple, rows.tolist()))
+
+
+def test_a_search_touches_little_of_a_large_set():
+    work = {}
+    for n in (1_000, 8_000):
+        s = main_shard(n, domain=400, dims=6)
+        domain = Domain(s, "LU")
+        tree = Oriented(s, domain, tree_edges(s, domain, 12, 40, 16), 12)
+        v = VersionedTree(orientations=()).build(s)
+        v.orient = {"LU": tree}
+        rng = np.random.default_rng(1)
+        work[n] = np.mean([v.search(rng.standard_normal(6), lq, lq + 80, 15, 10, 30)[2].distances for lq in range(50, 300, 10)])
+    assert work[8_000] < 2.5 * work[1_000] < 1_000
+
+
+@pytest.mark.parametrize("low", [None, 3, 3.5, 400])
+@pytest.mark.parametrize("high", [None, 17, 20.5, 1])
+@pytest.mark.parametrize("buckets", [6, 4096])
+def test_leaves_part_an_interval(low, high, buckets):
     s = main_shard()
-    a, b = VersionedTree(6, 30, variant="labelled").build(s), VersionedTree(6, 30, variant=variant).build(s)
+    d = Domain(s, "LU", buckets)
+    for strict in (False, True):
+        first, last, cut = d.leaves(low, high, strict, strict)
+        for leaf in range(1, len(d.cuts) + 1):
+            keys = d.keys[d.leaf == leaf]
+            fine = np.ones(len(keys), bool)
+            if low is not None:
+                fine &= keys > low if strict else keys >= low
+            if high is not None:
+                fine &= keys < high if strict else keys <= high
+            assert fine.all() if first <= leaf <= last else leaf in cut or not fine.any()
+        assert len(cut) <= 2
+
+
+@pytest.mark.parametrize("variant", ["shared", "snapshot"])
+def test_storage_variants_answer_alike(variant):
+    s = main_shard(70)
+    a, b = VersionedTree(6, 30, small=0).build(s), VersionedTree(6, 30, small=0, variant=variant, orientations=ORIENTATIONS).build(s)
     rng = np.random.default_rng(1)
     for mask in ALL_MASKS:
         q, lq = rng.standard_normal(8), int(rng.integers(0, 40))
@@ -132,24 +207,36 @@ def test_snapshots_of_large_sets_are_refused():
         VersionedTree(variant="snapshot", snapshot_limit=100).build(main_shard())
 
 
-@pytest.mark.parametrize("mode", ["layered", "disjoint"])
-@pytest.mark.parametrize("exact_below", [0, 10**6])
-def test_complete_search_is_exact(mode, exact_below):
+@pytest.mark.parametrize("options", [{}, {"mode": "disjoint"}, {"exact_below": 10**6}, {"exact_below": 20}, {"buckets": 7}, {"graph": "static_rng"}, {"graph": "walked"}, {"levels": "hier"}, {"small": 0}])
+def test_wide_searches_are_exact(options):
     s = main_shard(200)
-    tree, truth = VersionedTree(8, 40, complete=True, mode=mode, exact_below=exact_below).build(s), Exact().build(s)
+    tree, truth = VersionedTree(8, 40, **options).build(s), Exact().build(s)
     rng = np.random.default_rng(2)
     for mask in ALL_MASKS:
         for lq, width in ((5, 0), (12, 7), (-5, 3), (60, 9), (7.5, 4.25)):
             q = rng.standard_normal(8)
             a, b = tree.search(q, lq, lq + width, mask, 10, 400), truth.search(q, lq, lq + width, mask, 10, 1)
-            assert a[0].tolist() == b[0].tolist()
+            assert a[0].tolist() == b[0].tolist() and a[2].missed == 0 and a[2].unqualified == 0
+
+
+def test_marks_widen_a_walk():
+    s = main_shard(300)
+    tree = VersionedTree(8, 40).build(s).orient["LU"]
+    marks = s.ids % 15 == 0
+    box = __import__("rangeann.functions.predicates", fromlist=["plan"]).plan(15)[0]
+    for lq in (0, 10, 20):
+        q = np.random.default_rng(lq).standard_normal(8)
+        got, _ = tree.find(q, *tree.bounds(box, lq, lq + 15), 3, 3, residual=marks)
+        rows = np.flatnonzero(qualifies(15, s.left, s.right, lq, lq + 15) & marks)
+        want = sorted(zip(squared(s.vectors[rows], q).tolist(), rows.tolist(), strict=True))[:3]
+        assert [r for _, r in got[:3]] == [r for _, r in want]
 
 
 @pytest.mark.parametrize(("n", "domain", "dims"), [(1, 1, 1), (7, 1, 2), (30, 2, 1), (0, 1, 3)])
 def test_tiny_and_uniform_sets(n, domain, dims):
     rng = np.random.default_rng(0)
     left = rng.integers(0, domain, n)
-    s = Shard(np.arange(n), np.round(rng.standard_normal((n, dims))), left, left, np.unique(left))
+    s = Shard(np.arange(n), np.round(rng.standard_normal((n, dims))), left, left)
     for name in ("vtg", "post_filter", "tree_graph", "quad_graph", "segmented_store"):
         if n or name == "vtg":
             got = METHODS[name]().build(s).search(np.zeros(dims), 0, domain, 8, 50, 60)
@@ -161,7 +248,7 @@ def test_methods_reach_the_truth_and_refuse_other_masks(name):
     s = main_shard(300, domain=60)
     method = METHODS[name]
     if method.point_objects:
-        s = Shard(s.ids, s.vectors, s.left, s.left, np.unique(s.left))
+        s = Shard(s.ids, s.vectors, s.left, s.left)
     built, truth = method().build(s), Exact().build(s)
     rng, hit, total = np.random.default_rng(4), 0, 0
     for _ in range(12):
@@ -194,7 +281,7 @@ def test_pruning_keeps_what_nothing_kept_shadows():
 def test_static_graph_and_walk_find_the_nearest():
     s = main_shard(150)
     e = static_graph(s.vectors, np.arange(150), 8, 40)
-    near = {u: e[e[:, 0] == u][:, 1] for u in range(150)}
+    near = {u: e[e[:, 0] == u][:, 1].tolist() for u in range(150)}
     q = s.vectors[7] + 0.01
     best = walk(q, s.vectors, [0], lambda u: near[u], 60, Counters())
     assert best[0][1] == 7 and len(best) == 60 and walk(q, s.vectors, [], lambda u: near[u], 5, Counters()) == []
