@@ -72,7 +72,7 @@ def test_components_equal_all_pairs(spark, docs):
     assert result(jaccard.near_duplicates(df)) == naive(docs)
 
 
-@pytest.mark.parametrize("small", [{"HOT": 2, "FLUSH_KEYS": 300}, {"PART_KEYS": 200}, {"UNIT_KEYS": 60}, {"LEAF": 4, "PIVOTS": 3}])
+@pytest.mark.parametrize("small", [{"HOT": 2, "FLUSH_KEYS": 300}, {"PART_KEYS": 200}, {"UNIT_KEYS": 60}, {"UNIT_KEYS": 150, "REGION_PIVOTS": 4}, {"UNIT_KEYS": 150, "REGION_PIVOTS": 3, "SOLID": (9.0, 0.999)}, {"LEAF": 4, "PIVOTS": 3}])
 def test_every_way_of_splitting_gives_the_same(spark, docs, monkeypatch, small):
     for name, value in small.items():
         monkeypatch.setattr(jaccard, name, value)
@@ -80,6 +80,42 @@ def test_every_way_of_splitting_gives_the_same(spark, docs, monkeypatch, small):
     assert result(jaccard.near_duplicates(df)) == naive(docs)
 
 
+def test_large_regions_are_parted_as_tables(spark, monkeypatch):
+    """Two clusters that one passage joins: pivots part them, windows keep every link, stars spare comparisons."""
+    rng = np.random.default_rng(0)
+    rows = []
+    for c in range(3):
+        base = rng.integers(1, 1 << 60, 80).astype(np.uint64)
+        for i in range(60):
+            s = base.copy()
+            at = rng.integers(0, 80, rng.integers(0, 16))
+            s[at] = rng.integers(1, 1 << 60, len(at)).astype(np.uint64)
+            s[:3] = [1, 2, 3]
+            s = np.unique(s)
+            rows.append((0, 1000 * c + i, len(s), s.astype("<u8").tobytes(), None))
+    df = spark.createDataFrame(rows, jaccard._MEMBER).repartition(3)
+    sets = {r[1]: set(np.frombuffer(r[3], "<u8").tolist()) for r in rows}
+    up = {c: c for c in sets}
+    find = lambda i: i if up[i] == i else find(up[i])
+    for a in sets:
+        for b in sets:
+            if a < b and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b]):
+                up[find(b)] = find(a)
+    want = {c: find(c) for c in sets}
+    for name, values in {"parted": {"UNIT_KEYS": 1_500}, "solid": {"UNIT_KEYS": 1_500, "SOLID": (0.0, 0.0)}, "one task": {}}.items():
+        for k, v in values.items():
+            monkeypatch.setattr(jaccard, k, v)
+        pairs = jaccard.links(df).collect()
+        assert all(100 * len(sets[r.a] & sets[r.b]) >= 75 * len(sets[r.a] | sets[r.b]) for r in pairs), name
+        up = {c: c for c in sets}
+        for r in pairs:
+            up[find(r.a)] = find(r.b)
+        assert len({(want[c], find(c)) for c in sets}) == len(set(want.values())) == len({find(c) for c in sets}), name
+        if name == "parted":
+            assert len(pairs) < 3 * len(rows)
+        monkeypatch.undo()
+
+
 @pytest.mark.parametrize("seed", [1])
 def test_hot_shingles_keep_their_names_in_many_parts(spark, monkeypatch, seed):
     for name, value in {"HOT": 2, "FLUSH_KEYS": 300, "PART_KEYS": 200}.items():
@@ -122,7 +158,11 @@ def test_copies_and_edges(spark):
     assert kept.columns == ["doc_id", "text", "component_id"] and sorted((r.doc_id for r in kept.collect()), key=str) == [0, 100, None, None]
 
 
-def test_components_of_chains_and_stars(spark):
+@pytest.mark.parametrize("hub", [10_000, 8])
+def test_components_of_chains_and_stars(spark, monkeypatch, hub):
+    import rangeann.llm.components as module
+
+    monkeypatch.setattr(module, "HUB", hub)
     edges = [(i, i + 1) for i in range(60)] + [(100, 100 + i) for i in range(1, 30)] + [(200, 200), (None, 5), (300, 299)]
     got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert all(got[i] == 0 for i in range(61)) and all(got[i] == 100 for i in range(100, 130)) and got[200] == 200 and got[300] == got[299] == 299
