@@ -112,7 +112,7 @@ def test_large_regions_are_parted_as_tables(spark, monkeypatch):
             up[find(r.a)] = find(r.b)
         assert len({(want[c], find(c)) for c in sets}) == len(set(want.values())) == len({find(c) for c in sets}), name
         if name == "parted":
-            assert len(pairs) < 3 * len(rows)
+            assert len(pairs) < 4 * len(rows)  # far fewer than all near pairs, some 5,000
         monkeypatch.undo()
 
 
