@@ -85,18 +85,32 @@ def text_slices(batch: pa.RecordBatch, name: str, most: int) -> Iterator[tuple[i
 _HELD: dict[str, tuple[dict, ...]] = {}
 
 
-def claim(owner: str, *caches: dict) -> None:
-    """Names a worker's caches and empties those of other operators: a worker, which outlives its tasks, holds one operator's at a time.
+def release() -> None:
+    """Gives what is free back to the system, where the C library can do that: an idle worker then holds little of what its largest group took."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
 
-    What is free goes back to the system, where the C library can do that.
-    """
+
+def released(use):
+    """``use``, a function of a group, with ``release`` behind it."""
+
+    def run(group: pa.Table) -> pa.Table:
+        try:
+            return use(group)
+        finally:
+            release()
+
+    return run
+
+
+def claim(owner: str, *caches: dict) -> None:
+    """Names a worker's caches and empties those of other operators: a worker, which outlives its tasks, holds one operator's at a time."""
     for other, held in _HELD.items():
         if other != owner:
             for c in held:
                 c.clear()
     _HELD[owner] = caches
     gc.collect()
-    pa.default_memory_pool().release_unused()
-    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
-    if trim:
-        trim(0)
+    release()

@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column, claim, slices, staged
+from rangeann.llm.common import claim, slices, staged, text_slices
 
 #: Fixed masks: four words count.
 MASKS = ("1111", "11011", "11101")
@@ -40,7 +40,7 @@ BLOCK_WORDS = 2_000_000
 BITS = 22
 EDGE = b".,;:!?\"'()[]{}|*_"
 CACHE_ENTRIES = 400_000
-HITS = 500_000
+HITS = 100_000
 SUB_BATCH_BYTES = 2 << 20
 
 _FACTORS = np.random.default_rng(7).integers(1, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -169,9 +169,9 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text
         def search(batches: Iterable[pa.RecordBatch], block=block):
             seeds = seeds_of(block.value)
             for batch in batches:
-                ids, texts, rows = batch.column(0).to_pylist(), binary_column(batch, text_col), []
-                for a, b in slices(map(len, texts), SUB_BATCH_BYTES):
-                    rows += [(ids[a + d], seeds.ids[i], *v) for d, i, *v in seeds.overlaps(texts[a:b])]
+                ids, rows = batch.column(0).to_pylist(), []
+                for a, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
+                    rows += [(ids[a + d], seeds.ids[i], *v) for d, i, *v in seeds.overlaps(texts)]
                 columns = list(zip(*rows, strict=True)) or [[]] * 5
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32()), strict=True)], names=[id_col, "item_id", "matched_words", "start_word", "compared_words"])
 
@@ -190,9 +190,9 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", it
         def clean(batches: Iterable[pa.RecordBatch], block=block):
             seeds = seeds_of(block.value)
             for batch in batches:
-                texts, keep = binary_column(batch, text_col), np.ones(batch.num_rows, bool)
-                for a, b in slices(map(len, texts), SUB_BATCH_BYTES):
-                    for d, *_ in seeds.overlaps(texts[a:b]):
+                keep = np.ones(batch.num_rows, bool)
+                for a, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES):
+                    for d, *_ in seeds.overlaps(texts):
                         keep[a + d] = False
                 yield batch.filter(pa.array(keep))
 

@@ -34,7 +34,7 @@ import zstandard as zs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import binary_column, claim
+from rangeann.llm.common import claim, text_slices
 from rangeann.llm.labelled import labelled_sample, remainder
 
 SAMPLE = {1: 1_000, 0: 2_000}  # documents of each class that the fit may read
@@ -50,6 +50,7 @@ TOP = 3
 REACH = 8.0
 FEW = 4.0
 CACHE_ENTRIES = 200_000
+SUB_BATCH_BYTES = 2 << 20
 
 _SCORERS: dict[int, Scorer] = {}
 
@@ -267,7 +268,7 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.7, id_col: str = "
     def rate(batches: Iterable[pa.RecordBatch]):
         s = scorer_of(shared.value)
         for batch in batches:
-            got = [s.score(t) for t in binary_column(batch, text_col)]
+            got = [s.score(t) for _, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES) for t in texts]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got, pa.float64()), pa.array([int(x >= threshold) for x in got], pa.int32())], names=[id_col, "held_out", "score", "predicted"])
 
     held = F.coalesce(remainder(id_col, folds) == held_out, F.lit(False)).alias("held_out")
@@ -281,6 +282,6 @@ def keep_clean(docs: DataFrame, model: Model, threshold: float = 0.7, text_col:
     def clean(batches: Iterable[pa.RecordBatch]):
         s = scorer_of(shared.value)
         for batch in batches:
-            yield batch.filter(pa.array([s.score(t) < threshold for t in binary_column(batch, text_col)], pa.bool_()))
+            yield batch.filter(pa.array([s.score(t) < threshold for _, _, texts in text_slices(batch, text_col, SUB_BATCH_BYTES) for t in texts], pa.bool_()))
 
     return docs.mapInArrow(clean, docs.schema)
