@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import column_slices, staged
+from rangeann.llm.common import column_slices, release, staged
 from rangeann.llm.tokens import SUB_BATCH_BYTES, Lookup, read_vocabulary
 
 ROWS_PER_SALT, MOST_SALTS = 4_096, 65_536
@@ -55,6 +55,8 @@ def pieces(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id:
                 if with_ids:
                     arrays.append(pa.array([np.frombuffer(x, "<u4").astype(np.int64) for x in columns[5]], pa.list_(pa.int64())))
                 yield pa.RecordBatch.from_arrays(arrays, names=[id_col, "piece", "start", "length", "ids_crc32", *["ids"] * with_ids])
+                del stream, rows, columns, arrays
+            release()
 
     return docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(cut, f"`{id_col}` long, {PIECES}" + ", ids array<long>" * with_ids)
 

@@ -27,12 +27,12 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeann.llm.common import claim, column_slices
+from rangeann.llm.common import claim, column_slices, release
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
-CACHE_ENTRIES = 700_000  # of a worker's cache
+CACHE_ENTRIES = 400_000  # of a worker's cache
 KEPT_KEY = 9  # bytes of a pre-token that stays when the cache is full
-SUB_BATCH_BYTES = 4 << 20
+SUB_BATCH_BYTES = 3 << 20
 COUNT_BYTES = 16 << 20  # of texts counted at once; what they have once is not frequent
 TASK_TOP = 4_096  # pre-tokens that one task reports
 TASK_DISTINCT = 200_000  # pre-tokens that one task counts at a time
@@ -243,5 +243,6 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id",
             n = np.concatenate(parts) if parts else np.zeros(0, np.int64)
             sizes = pc.fill_null(pc.binary_length(batch.column(1)), 0).cast(pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), sizes, pa.array(n), pa.array(n > limit)], names=[id_col, "n_bytes", "n_tokens", "over_limit"])
+            release()
 
     return docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(count, f"`{id_col}` long, n_bytes long, n_tokens long, over_limit boolean")
