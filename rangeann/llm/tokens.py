@@ -30,8 +30,7 @@ from pyspark.sql import functions as F
 from rangeann.llm.common import claim, column_slices, release
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
-CACHE_ENTRIES = 400_000  # of a worker's cache
-KEPT_KEY = 9  # bytes of a pre-token that stays when the cache is full
+CACHE_ENTRIES = 500_000  # of a worker's cache, half of them those of the last change
 SUB_BATCH_BYTES = 3 << 20
 COUNT_BYTES = 16 << 20  # of texts counted at once; what they have once is not frequent
 TASK_TOP = 4_096  # pre-tokens that one task reports
@@ -93,7 +92,7 @@ class Lookup:
 
     def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool):
         self.tokenizer, self.frequent, self.ids = tokenizer_of(vocabulary), frequent, ids
-        self.cache = _CACHES.setdefault((hash(vocabulary), ids), {})
+        self.cache, self.old = (_CACHES.setdefault((hash(vocabulary), ids, age), {}) for age in ("young", "old"))
         claim("tokens", *_CACHES.values())
         self.ends, self.folds = word_ends(vocabulary)
 
@@ -140,6 +139,9 @@ class Lookup:
                 marks = w[len(core) :]
                 parts.append((w, core, marks))
                 fresh[core] = fresh[marks] = None
+        for k in fresh:
+            if k in self.old:
+                cache[k] = self.old[k]
         keys = [k for k in fresh if k not in cache]
         cache.update(zip(keys, self.encode(keys), strict=True))
         cache.update((w, cache[a] + cache[b]) for w, a, b in parts)
@@ -147,14 +149,18 @@ class Lookup:
     def known(self, keys: list[bytes]) -> list[object]:
         """The value of each of different pre-tokens."""
         cache, frequent = self.cache, self.frequent
-        if len(cache) > CACHE_ENTRIES:
-            # what is long is rare: it goes first
-            kept = {k: v for k, v in cache.items() if len(k) <= KEPT_KEY}
+        if len(cache) > CACHE_ENTRIES // 2:
+            # what was not asked for since the last change goes
+            self.old.clear()
+            self.old.update(cache)
             cache.clear()
-            if len(kept) <= CACHE_ENTRIES // 2:
-                cache.update(kept)
         got = list(map(cache.get, keys))
         gaps = [i for i, v in enumerate(got) if v is None]
+        found = list(map(self.old.get, [keys[i] for i in gaps]))
+        for i, v in zip(gaps, found, strict=True):
+            if v is not None:
+                got[i] = cache[keys[i]] = v
+        gaps = [i for i, v in zip(gaps, found, strict=True) if v is None]
         if frequent:
             for i in gaps:
                 got[i] = frequent.get(keys[i])
