@@ -33,13 +33,13 @@ ROWS_PER_SALT, MOST_SALTS = 4_096, 65_536
 PIECES = "piece int, start long, length long, ids_crc32 long"
 
 
-def pieces(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
-    """Each document's ids and the closing id, cut at ``capacity`` only if longer."""
+def pieces(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, cache_entries: int | None = None) -> DataFrame:
+    """Each document's ids and the closing id, cut at ``capacity`` only if longer; ``cache_entries`` bounds a worker's cache of pre-tokens."""
     vocabulary = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary_path))
     end, width = end_id.to_bytes(4, "little"), 4 * capacity
 
     def cut(batches):
-        look = Lookup(vocabulary.value, {}, ids=True)
+        look = Lookup(vocabulary.value, {}, True, cache_entries)
         for batch in batches:
             ids = batch.column(0).cast(pa.int64()).to_pylist()
             for a, b, texts in column_slices(batch, text_col, SUB_BATCH_BYTES):
@@ -168,6 +168,6 @@ def pack_pieces(found: DataFrame, capacity: int, id_col: str = "doc_id") -> Data
     return ranked.select(*kept, "rank").mapInArrow(place, ", ".join(f"`{c}` {kinds[c]}" for c in kept) + ", sequence_id long, offset long")
 
 
-def pack(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, vocabulary_path: str, capacity: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, cache_entries: int | None = None) -> DataFrame:
     """A row a piece: its document, place in it, sequence and place there, and with ``with_ids`` its ids."""
-    return pack_pieces(staged(pieces(docs, vocabulary_path, capacity, end_id, id_col, text_col, with_ids), "pieces"), capacity, id_col)
+    return pack_pieces(staged(pieces(docs, vocabulary_path, capacity, end_id, id_col, text_col, with_ids, cache_entries), "pieces"), capacity, id_col)

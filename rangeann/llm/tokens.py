@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from rangeann.llm.common import claim, column_slices, release
 
 MAX_KEY = 64  # bytes of a pre-token that may enter a cache
-CACHE_ENTRIES = 500_000  # of a worker's cache, half of them those of the last change
+CACHE_ENTRIES = 700_000  # of a worker's cache, half of them those of the last change
 SUB_BATCH_BYTES = 3 << 20
 COUNT_BYTES = 16 << 20  # of texts counted at once; what they have once is not frequent
 TASK_TOP = 4_096  # pre-tokens that one task reports
@@ -90,9 +90,10 @@ class Lookup:
     of them are encoded as one text, whose ids fall apart where a word ends.
     """
 
-    def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool):
+    def __init__(self, vocabulary: str, frequent: dict[bytes, object], ids: bool, entries: int | None = None):
         self.tokenizer, self.frequent, self.ids = tokenizer_of(vocabulary), frequent, ids
         self.cache, self.old = (_CACHES.setdefault((hash(vocabulary), ids, age), {}) for age in ("young", "old"))
+        self.entries = CACHE_ENTRIES if entries is None else entries
         claim("tokens", *_CACHES.values())
         self.ends, self.folds = word_ends(vocabulary)
 
@@ -149,7 +150,7 @@ class Lookup:
     def known(self, keys: list[bytes]) -> list[object]:
         """The value of each of different pre-tokens."""
         cache, frequent = self.cache, self.frequent
-        if len(cache) > CACHE_ENTRIES // 2:
+        if len(cache) > self.entries // 2:
             # what was not asked for since the last change goes
             self.old.clear()
             self.old.update(cache)
