@@ -18,6 +18,9 @@ from rangeann.llm import decontamination, jaccard, packing, secrets, toxicity
 from rangeann.llm.common import staged, table
 from rangeann.llm.queries import VOCABULARY
 
+#: Of a packing worker: after the join executors have less memory left than where packing runs alone.
+CACHE_ENTRIES = 400_000
+
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return toxicity.keep_clean(docs, toxicity.fit_on(docs, table(spark, sf_dir, "labels")), threshold=0.7)
@@ -36,7 +39,7 @@ def replace_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.pack(docs, public_tokenizers.path(VOCABULARY), capacity=4096, end_id=1)
+    return packing.pack(docs, public_tokenizers.path(VOCABULARY), capacity=4096, end_id=1, cache_entries=CACHE_ENTRIES)
 
 
 STAGES = [
