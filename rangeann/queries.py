@@ -570,7 +570,7 @@ def exp5_stab(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stacked([compared({"vtg": LU, "stab_graph": {}}, w, (20, 100), spark, sf_dir).withColumn("ranges", F.lit(n)) for n, w in works.items()])
 
 
-def exp6_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
+def exp6_scale(spark: SparkSession, sf_dir: str, shares: tuple[int, ...] = (1, 5, 25, 100)) -> DataFrame:
     """Growing shares of the orders, by a hash of the id: the share is the experiment's parameter, up to all of them.
 
     The queries are the same for all shares: every order whose id is divisible by 500, with its own interval.
@@ -578,7 +578,7 @@ def exp6_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
     orders = staged(wl.v3r7(spark, sf_dir), "orders")
     q = orders.where("id % 500 = 0").select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), F.col("l").alias("lq"), F.col("r").alias("rq"))
     parts = []
-    for share in (1, 5, 25, 100):
+    for share in shares:
         objects = orders.where(F.pmod(F.xxhash64("id"), F.lit(100)) < share)
         runs = {"vtg": {"ef_con": 60} | LD, "pre_filter": {}}
         found = staged(stacked([ix.run_method(objects, q, m, 8, efs=(50,), shard_rows=ONE_SHARD, **o).withColumn("method", F.lit(m)) for m, o in runs.items()]), "found")
@@ -648,6 +648,30 @@ def variant_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
     return violation("variant_agreement", F.count("*"), stacked(differ))
 
 
+def reported(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What is reported of the methods and their parameters, by counts that no machine's speed changes: rows ``claim, holds``.
+
+    Windows that a tenth of the objects meets, on four tenths of the orders; a twentieth against a quarter of the orders; the main set for the degree.
+    """
+    general = {m: GENERAL[m] | ({} if m == "pre_filter" else {"ef_con": 40}) | {"shard_rows": ONE_SHARD} for m in ("vtg", "pre_filter", "post_filter")}
+    wide = staged(compared(general, ("v3wide_4", wide_queries(0.1), 15), (10, 50, 100), spark, sf_dir), "wide")
+    scale = staged(exp6_scale(spark, sf_dir, (5, 25)), "scale")
+    degree = staged(exp13_m(spark, sf_dir), "degree")
+    at = lambda c, m, ef: F.max(F.when((F.col("method") == m) & (F.col("ef") == ef), F.col(c)))
+    part = lambda c, p: F.max(F.when((F.col("method") == "vtg") & (F.col("percent") == p), F.col(c)))
+    edges = lambda m: F.max(F.when(F.col("method") == f"m {m}", F.col("edge_count")))
+    claims = {
+        "recall and distances rise with the width": (wide, (at("recall", "vtg", 10) <= at("recall", "vtg", 50)) & (at("recall", "vtg", 50) <= at("recall", "vtg", 100)) & (at("distances", "vtg", 10) < at("distances", "vtg", 50)) & (at("distances", "vtg", 50) < at("distances", "vtg", 100))),
+        "fewer distances than an exact scan at recall 0.99": (wide, (at("recall", "vtg", 100) >= 0.99) & (at("distances", "vtg", 100) < at("distances", "pre_filter", 100))),
+        "fewer distances than post-filter": (wide, at("distances", "vtg", 100) < at("distances", "post_filter", 100)),
+        "no distance outside the predicate, post-filter many": (wide, (at("unqualified", "vtg", 100) == 0) & (at("unqualified", "post_filter", 100) > 0)),
+        "distances rise with the objects, but slower": (scale, (part("distances", 5) < part("distances", 25)) & (part("distances", 25) < 5 * part("distances", 5))),
+        "edges and bytes rise with the objects": (scale, (part("edge_count", 5) < part("edge_count", 25)) & (part("bytes", 5) < part("bytes", 25))),
+        "edges rise with the degree": (degree, (edges(8) < edges(16)) & (edges(16) < edges(32))),
+    }
+    return stacked([rows.agg(holds.alias("holds")).select(F.lit(claim).alias("claim"), F.coalesce("holds", F.lit(False)).alias("holds")) for claim, (rows, holds) in claims.items()])
+
+
 def order_dates(first: str, last: str) -> Query:
     """Orders whose id is divisible by 1500, with one window for all."""
     of = lambda d: F.unix_micros(F.lit(d).cast("timestamp_ntz").cast("timestamp"))
@@ -761,7 +785,7 @@ QUERIES |= {
         json_filter, map_counts, doc_vector_knn, udtf_cover, udaf_topk, sql_rr_match, pre_filter, atomic_union, vtg_small_set, label_equiv, unreached, standing, recent_sessions, node_entries, hashed_members,
         months, approximate_counts, sorted_within, bsp_search, degree_bound, birth_order, visited_unqualified, plan_le_two, edge_count_bound, variant_agreement, allen_partition, union_distinct_nodes, stream_windows,
         stream_sliding, stream_static_join, stream_equals_batch, stream_inserted, exp1_speedup, exp1_low, exp2_cost, exp3_prknn, exp4_iiknn, exp5_stab, exp6_scale, exp7_sel, exp8_dist, exp8_oracle, exp10_card, exp11_k,
-        exp12_ef_con, exp13_m, exp_modes, curve_pivot,
+        exp12_ef_con, exp13_m, exp_modes, curve_pivot, reported,
     )
 }
 QUERIES |= {"cover_bound": cover_bound_query, "price_band": wl.price_band, "ship_window": wl.ship_window, "exp1_curve": curve}

@@ -274,7 +274,7 @@ def duck():
 
 
 FAMILIES = {"rr_mask_": {"06", "15"}, "vtg_mask_": {"10", "13"}, "vtg_price_": {"08"}, "vtg_ship_": {"02"}, "allen_": {"before", "starts", "equals", "partition"}, "size_": {"cube"}}
-LONG = {"variant_agreement", "label_equiv", "visited_unqualified", "unreached", "vtg_docs_15", "degree_bound", "iiknn_vtg", "prknn_vtg", "bsp_search", *APPROXIMATE} - {"two_hop", "vtg_hubs"}
+LONG = {"variant_agreement", "label_equiv", "visited_unqualified", "unreached", "vtg_docs_15", "degree_bound", "iiknn_vtg", "prknn_vtg", "bsp_search", "reported", *APPROXIMATE} - {"two_hop", "vtg_hubs"}
 
 
 def chosen():
