@@ -3,6 +3,7 @@
 import math
 
 import duckdb
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -13,7 +14,7 @@ from rangeann.functions.vectors import cosine, inner_product, l2
 from rangeann.operators import exact, metrics, model, relational
 from rangeann.operators import index as ix
 from rangeann.oracles import ORACLES
-from rangeann.queries import APPROXIMATE, QUERIES
+from rangeann.queries import APPROXIMATE, QUERIES, early
 from rangeann.sources import storage
 from rangeann.sources import workloads as wl
 from rangeann.sources.datasource import RangeIndexSource
@@ -299,3 +300,17 @@ def test_entry_file():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries()) and "rr_mask_15" in e.queries()
+
+
+@pytest.mark.parametrize("mask", [2, 15])
+def test_checked_searches_are_exact_at_any_width(spark, small, index, mask):
+    assert rows(ix.rrknn(index, small[1], mask, k=10, ef=1, check=True)) == rows(exact.knn_exact(*small, mask))
+    want = rows(exact.knn_exact(*small, mask, residual=F.col("label") == 3))
+    assert rows(ix.rrknn(index, small[1], mask, ef=1, residual=3, check=True)) == want
+
+
+def test_invariants_are_counted_where_the_edges_are(spark, index):
+    assert [r.n for r in index.counted(lambda s, o, e: e.crowded(8)).collect()] == [0] * 9
+    assert sum(r.n for r in index.counted(early).collect()) == 0 < sum(r.n for r in index.counted(lambda s, o, e: e.crowded(1)).collect())
+    late = lambda s, o, e: early(s, o, type(e)(e.levels, e.start, e.dst, 0 * e.begin, e.end))
+    assert sum(r.n for r in index.counted(late).collect()) == index.edges().count()

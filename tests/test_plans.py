@@ -296,3 +296,32 @@ def test_removed_vertices_leave_the_walk():
     e = g.edges()
     at = lambda v: e[(e[:, 2] <= v) & (e[:, 3] >= v)]
     assert 5 in at(2)[:, 0] and 5 not in at(3)[:, 0] and 5 not in at(3)[:, 1]
+
+
+@pytest.mark.parametrize("residual", [None, 3])
+def test_a_check_finds_what_a_walk_cannot_reach(residual):
+    rng = np.random.default_rng(7)
+    s = Shard(np.arange(300), rng.integers(-3, 4, (300, 4)).astype(float), rng.integers(0, 40, 300), rng.integers(40, 90, 300))
+    d = Domain(s, "LU")
+    bare = Oriented(s, d, Edges.of(300, np.zeros((0, 5), np.int64), d.height + 1), 8, 4)
+    marks = None if residual is None else s.ids % residual == 0
+    missing = 0
+    for box in plan(2):
+        for lq, rq in ((10, 50), (39, 41), (0, 89)):
+            q = rng.integers(-3, 4, 4).astype(float)
+            fine = (s.left <= lq) & (rq <= s.right) & (True if marks is None else marks)
+            want = sorted((float(x), int(i)) for x, i in zip(((s.vectors - q) ** 2).sum(axis=1)[fine], s.ids[fine], strict=True))[:10]
+            walked, checked = (sorted(bare.find(q, *bare.bounds(box, lq, rq), 10, 20, residual=marks, check=c)[0])[:10] for c in (False, True))
+            assert checked == want
+            missing += walked != want
+    assert missing
+
+
+def test_counts_over_edges_are_those_of_single_versions():
+    rng = np.random.default_rng(3)
+    rows = np.column_stack([rng.integers(0, 3, 400), rng.integers(0, 9, 400), rng.integers(0, 9, 400), rng.integers(1, 9, 400), rng.integers(9, 15, 400)])
+    e = Edges.of(9, rows, 3)
+    of = {(j, u): rows[(rows[:, 0] == j) & (rows[:, 1] == u)] for j in range(3) for u in range(9)}
+    for most in (4, 12, 100):
+        assert e.crowded(most) == sum(((own[:, 3] <= v) & (own[:, 4] >= v)).sum() > most for own in of.values() for v in set(own[:, 3].tolist()))
+    assert np.array_equal(np.concatenate(list(e.parts(7))), e.rows())
