@@ -314,3 +314,9 @@ def test_invariants_are_counted_where_the_edges_are(spark, index):
     assert sum(r.n for r in index.counted(early).collect()) == 0 < sum(r.n for r in index.counted(lambda s, o, e: e.crowded(1)).collect())
     late = lambda s, o, e: early(s, o, type(e)(e.levels, e.start, e.dst, 0 * e.begin, e.end))
     assert sum(r.n for r in index.counted(late).collect()) == index.edges().count()
+
+
+def test_a_shard_is_small_and_read_alone(spark):
+    assert ix.shard_count(spark.range(20_000), ix.SHARD_ROWS) >= 3
+    table = pa.RecordBatch.from_pydict({"n": [1, 2, 3]})
+    assert [r["n"] for r in ix.each_row([table, table])] == [1, 2, 3, 1, 2, 3]
