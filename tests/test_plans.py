@@ -325,3 +325,23 @@ def test_counts_over_edges_are_those_of_single_versions():
     for most in (4, 12, 100):
         assert e.crowded(most) == sum(((own[:, 3] <= v) & (own[:, 4] >= v)).sum() > most for own in of.values() for v in set(own[:, 3].tolist()))
     assert np.array_equal(np.concatenate(list(e.parts(7))), e.rows())
+
+
+def test_memory_of_a_shard_is_bounded(monkeypatch):
+    """A shard of full size takes little beside what a worker holds anyway, and smaller blocks of lists give the same edges."""
+    import tracemalloc
+
+    from rangeann.operators.index import SHARD_ROWS
+    from rangeann.plans import kernel
+
+    rng = np.random.default_rng(5)
+    left = rng.integers(0, 50, SHARD_ROWS)
+    s = Shard(np.arange(SHARD_ROWS), rng.normal(size=(SHARD_ROWS, 64)), left, left + rng.integers(0, 97, SHARD_ROWS))
+    d = Domain(s, "LU")
+    tracemalloc.start()
+    edges = level_edges(s, d, 0, 16, 100)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 64 << 20
+    monkeypatch.setattr(kernel, "CANDIDATES", 10**6)
+    assert (level_edges(s, d, 0, 16, 100) == edges).all()
