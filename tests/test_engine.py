@@ -111,6 +111,30 @@ def test_query_blocks(small, monkeypatch):
     assert rows(metrics.mean(metrics.recall(ix.merge(found, 10, None), exact.knn_exact(*small, 15, digits=None)), "recall"))[0][0] > 0.95
 
 
+@pytest.mark.parametrize("mask", [None, 2, 8, 15])
+def test_scans_equal_exact_search(small, monkeypatch, mask):
+    monkeypatch.setattr(ix, "SCANNED", 3)
+    for objects in (small[0], small[0].unionByName(small[0].withColumn("id", F.col("id") + 500))):  # copies: ties beyond k
+        assert rows(ix.scan(objects, small[1], mask, 7)) == rows(exact.knn_exact(objects, small[1], mask, 7, digits=None))
+
+
+def test_methods_leave_shards_out_that_cannot_answer(small):
+    near = small[1].withColumn("lq", F.lit(0)).withColumn("rq", F.lit(5))
+    want = rows(exact.knn_exact(small[0], near, 15))
+    for method in ("pre_filter", "post_filter", "two_hop"):
+        found = ix.run_method(small[0], near, method, 15, efs=(160,), shard_rows=20, m=8, ef_con=40)
+        assert found.where("qid IS NOT NULL AND id IS NULL").count() < 4 * near.count() and found.where("qid IS NULL").count() == 8
+        if method == "pre_filter":
+            assert rows(ix.merge(found, 10)) == want
+
+
+def test_an_index_is_kept_for_further_runs(small):
+    kept = {}
+    for mode in ("layered", "disjoint"):
+        ix.run_method(*small, "vtg", 15, efs=(20,), made=kept, mode=mode, m=8, ef_con=40, orientations=("LU",))
+    assert len(kept) == 1
+
+
 def test_validation_counts_each_reason(spark):
     schema = T.StructType([*storage.OBJECTS.fields[:2], T.StructField("l", T.DoubleType()), T.StructField("r", T.DoubleType())])
     nan = float("nan")

@@ -271,6 +271,23 @@ def test_methods_reach_the_truth_and_refuse_other_masks(name):
             method().build(main_shard()).search(np.zeros(8), 1, 3, 8, 5, 5)
 
 
+@pytest.mark.parametrize("name, options", [*((n, {}) for n in METHODS), ("vtg", {"mode": "disjoint"}), ("vtg", {"buckets": 16}), ("vtg", {"levels": "hier", "small": 4})])
+def test_searches_together_are_searches_alone(name, options):
+    s = main_shard(300, domain=60)
+    if METHODS[name].point_objects:
+        s = Shard(s.ids, s.vectors, s.left, s.left)
+    built, rng = METHODS[name](m=6, ef_con=30, **options).build(s), np.random.default_rng(6)
+    asked = [(rng.standard_normal(8), a, a if built.point_queries else a + b) for a, b in zip(rng.integers(-5, 65, 30).tolist(), rng.integers(0, 25, 30).tolist(), strict=True)]
+    for mask in (built.masks[-1], *built.masks[:12:5]):
+        for ef in (5, 40, 400):
+            for (q, lq, rq), (rows, d, work) in zip(asked, built.search_many(asked, mask, 5, ef), strict=True):
+                alone = built.search(q, lq, rq, mask, 5, ef)
+                assert rows.tolist() == alone[0].tolist() and np.allclose(d, alone[1])
+                if ef < 400:  # a full width: whether what fell out of it had been met as open is told apart by the order of one expansion
+                    work.exhausted, work.missed = alone[2].exhausted, alone[2].missed
+                assert work == alone[2]
+
+
 def test_pruning_keeps_what_nothing_kept_shadows():
     v = np.array([[0.0, 0], [1, 0], [2, 0], [0, 1.5], [1.1, 0.1]])
     order = np.array([1, 4, 3, 2])
