@@ -71,14 +71,15 @@ class RangeIndexReader(DataSourceReader):
         import numpy as np
         import pyarrow.parquet as pq
 
-        from rangeann.operators.index import answers
+        from rangeann.operators.index import answers, opened
 
         o, meta = self.options, self.meta()
         boxes, lq, rq = self.asked(meta)
         system, _ = self.opened()
         q = np.array([float(x) for x in o["query"].split(",")])
         for row in pq.read_table(partition.path, filesystem=system).take(partition.rows).to_pylist():
-            for _, i, dist, *_ in answers(row, meta["m"], meta["small"], np.float64 if meta["kind"] == "double" else np.int64, boxes, [(0, q, lq, rq)], int(o.get("k", 10)), int(o.get("ef", 100)), "layered", 0, None):
+            shard, trees = opened(row, meta["m"], meta["small"], np.float64 if meta["kind"] == "double" else np.int64, boxes)
+            for _, i, dist, *_ in answers(row, shard, trees, boxes, [(0, q, lq, rq)], int(o.get("k", 10)), int(o.get("ef", 100))):
                 if i is not None:
                     yield (i, dist)
 

@@ -135,6 +135,18 @@ def test_an_index_is_kept_for_further_runs(small):
     assert len(kept) == 1
 
 
+def test_what_a_method_built_is_kept_for_further_runs(small, monkeypatch):
+    kept, sharded, calls = {}, ix.sharded, []
+    monkeypatch.setattr(ix, "sharded", lambda *a: calls.append(a) or sharded(*a))
+    runs = [rows(ix.merge(ix.run_method(*small, "post_filter", 15, efs=(20, 60), shard_rows=70, made=kept, keep=keep, m=8, ef_con=40), 10)) for keep in (False, True, True)]
+    assert runs[0] == runs[1] == runs[2] and len(calls) == 1 and len(kept) == 2
+
+
+def test_a_search_reads_the_orientations_of_its_boxes(small, index):
+    read = ix.search(index, small[1], 8)._jdf.queryExecution().optimizedPlan().children().head().output().mkString(" ")
+    assert "LD_cuts" in read and "LU" not in read and "RD" not in read
+
+
 def test_validation_counts_each_reason(spark):
     schema = T.StructType([*storage.OBJECTS.fields[:2], T.StructField("l", T.DoubleType()), T.StructField("r", T.DoubleType())])
     nan = float("nan")

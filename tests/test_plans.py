@@ -295,6 +295,46 @@ def test_pruning_keeps_what_nothing_kept_shadows():
     assert rng_prune(v[0], order, squared(v[order], v[0]), v, 1).tolist() == [1]
 
 
+@pytest.mark.parametrize("width, most", [(5, 3), (40, 4), (100, 16), (130, 200)])
+def test_lists_pruned_together_are_lists_pruned_alone(width, most, monkeypatch):
+    from rangeann.plans import kernel
+
+    rng = np.random.default_rng(width)
+    x = rng.standard_normal((300, 5))
+    found, dist = np.full((40, width), -1), np.full((40, width), np.inf)
+    for i in range(40):
+        n = int(rng.integers(0, width + 1))
+        rows = rng.choice(np.arange(40, 300), n, replace=False)
+        order = np.argsort(squared(x[rows], x[i]))
+        found[i, :n], dist[i, :n] = rows[order], squared(x[rows], x[i])[order]
+    want = [rng_prune(x[i], found[i][found[i] >= 0], dist[i][found[i] >= 0], x, most).tolist() for i in range(40)]
+    grown = GrowingGraph(x, most, 50)
+    full = [i for i in range(40) if (found[i] >= 0).any()]
+    assert grown.pruned_each(full, [rng.permutation(found[i][found[i] >= 0]).tolist() for i in full]) == [want[i] for i in full]
+    for places in (7, 32, 64):
+        monkeypatch.setattr(kernel, "PLACES", places)
+        keep = kernel.kept_of(x, found, dist, most, True)
+        assert [f[k].tolist() for f, k in zip(found, keep, strict=True)] == want
+
+
+def test_segments_cells_and_lists_take_queries_together(monkeypatch):
+    """No single walks: many queries are one call."""
+    from rangeann.plans import kernel, methods
+
+    s, rng = main_shard(300, domain=60), np.random.default_rng(6)
+    asked = [(rng.standard_normal(8), a, a + 20) for a in range(0, 40, 4)]
+    for name in ("segmented_store", "quad_graph"):
+        built = METHODS[name](m=6, ef_con=30).build(s)
+        with monkeypatch.context() as m:
+            m.setattr(methods, "walk", None)
+            built.search_many(asked, 8, 5, 20)
+    with monkeypatch.context() as m:
+        m.setattr(kernel, "rng_prune", lambda *a, f=kernel.rng_prune: calls.append(1) or f(*a))
+        calls: list[int] = []
+        METHODS["stab_graph"](m=6, ef_con=30).build(s)
+    assert len(calls) < len(s)  # one an insertion, none a removal
+
+
 def test_static_graph_and_walk_find_the_nearest():
     s = main_shard(150)
     e = static_graph(s.vectors, np.arange(150), 8, 40)
