@@ -147,6 +147,15 @@ def test_a_search_reads_the_orientations_of_its_boxes(small, index):
     assert "LD_cuts" in read and "LU" not in read and "RD" not in read
 
 
+def test_ids_without_a_vector_are_left_out_of_the_grouping(spark, tmp_path):
+    spark.createDataFrame([(i, [1.0, float(i)]) for i in (3, 5, 9)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    spark.createDataFrame([(i, 10.0 * i + j) for i in range(40) for j in range(2)], "l_orderkey long, l_extendedprice double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    found = wl.v1r2(spark, str(tmp_path))
+    assert sorted((r.id, r.l, r.r) for r in found.collect()) == [(i, 10.0 * i, 10.0 * i + 1) for i in (3, 5, 9)]
+    assert "GreaterThanOrEqual(l_orderkey,3), LessThanOrEqual(l_orderkey,9)" in found._jdf.queryExecution().executedPlan().toString()
+    assert wl.v1r2(spark, "/root/testdata/sf0.001").count() == wl.table(spark, "/root/testdata/sf0.001", "embeddings").join(wl.price_band(spark, "/root/testdata/sf0.001"), F.col("vec_id") == F.col("id")).count()
+
+
 def test_validation_counts_each_reason(spark):
     schema = T.StructType([*storage.OBJECTS.fields[:2], T.StructField("l", T.DoubleType()), T.StructField("r", T.DoubleType())])
     nan = float("nan")

@@ -317,6 +317,22 @@ def test_lists_pruned_together_are_lists_pruned_alone(width, most, monkeypatch):
         assert [f[k].tolist() for f, k in zip(found, keep, strict=True)] == want
 
 
+def test_members_are_sought_once_for_equal_intervals(monkeypatch):
+    from rangeann.operators import index as ix
+
+    s, calls = main_shard(300, domain=60), []
+    tree = VersionedTree(m=6, ef_con=30, orientations=("LU",)).build(s).orient["LU"]
+    alive, bounds = Oriented.alive, Oriented.bounds
+    monkeypatch.setattr(Oriented, "alive", lambda *a: calls.append("alive") or alive(*a))
+    monkeypatch.setattr(Oriented, "bounds", lambda *a: calls.append("bounds") or bounds(*a))
+    row = {f"{c}_{n}": f(x) for c, x in (("l", s.left), ("r", s.right)) for n, f in (("min", np.min), ("max", np.max))}
+    q = np.random.default_rng(2).standard_normal((40, 8))
+    one = ix.together(row, s, {"LU": tree}, plan(15), [(0, q[0], 10, 30)], 5, 40, "layered")
+    few, calls[:] = len(calls), []
+    found = ix.together(row, s, {"LU": tree}, plan(15), [(i, v, 10, 30) for i, v in enumerate(q)], 5, 40, "layered")
+    assert len(calls) == few and [r[:3] for r in found if r[0] == 0] == [r[:3] for r in one]
+
+
 def test_segments_cells_and_lists_take_queries_together(monkeypatch):
     """No single walks: many queries are one call."""
     from rangeann.plans import kernel, methods
