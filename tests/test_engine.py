@@ -14,7 +14,8 @@ from rangeann.functions.vectors import cosine, inner_product, l2
 from rangeann.operators import exact, metrics, model, relational
 from rangeann.operators import index as ix
 from rangeann.oracles import ORACLES
-from rangeann.queries import APPROXIMATE, QUERIES, early
+from rangeann.plans.methods import level_edges
+from rangeann.queries import APPROXIMATE, QUERIES, early, label_violations, levels_and_orientations
 from rangeann.sources import storage
 from rangeann.sources import workloads as wl
 from rangeann.sources.datasource import RangeIndexSource
@@ -365,3 +366,12 @@ def test_a_shard_is_small_and_read_alone(spark):
     assert ix.shard_count(spark.range(20_000), ix.SHARD_ROWS) >= 3
     table = pa.RecordBatch.from_pydict({"n": [1, 2, 3]})
     assert [r["n"] for r in ix.each_row([table, table])] == [1, 2, 3, 1, 2, 3]
+
+
+def test_label_equiv_compares_the_deepest_level(spark):
+    """Trees of over 1,024 leaves have an eleventh level, whose graphs are compared too."""
+    i = F.col("id")
+    objects = spark.range(1_100).select("id", F.array(F.sin(i).cast("float"), F.cos(i * i).cast("float")).alias("vec"), (i % 300).alias("l"), (1_000 + i % 1_030).alias("r"))
+    assert levels_and_orientations(objects) == [(o, j) for j in range(12) for o in ("LU", "RD", "LD")]
+    without_leaves = lambda s, domain, level, *a: level_edges(s, domain, level, *a)[: 0 if level == 11 else None]
+    assert label_violations(objects, 4, 10).agg(F.sum("n")).first()[0] == 0 < label_violations(objects, 4, 10, without_leaves).agg(F.sum("n")).first()[0]
