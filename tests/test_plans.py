@@ -7,8 +7,8 @@ import pytest
 
 from rangeann.functions.predicates import _ALLEN, ALL_MASKS, ALLEN, ORIENTATIONS, atomic_plan, atoms_of, plan
 from rangeann.functions.tree import cover, height_of, levels_of, span
-from rangeann.plans.kernel import OPEN, Counters, Edges, GrowingGraph, Shard, grow, nearest_before, rng_prune, squared, static_graph, walk
-from rangeann.plans.methods import METHODS, Domain, Exact, Oriented, SharedTree, VersionedTree, cover_bound, edge_bound, level_edges, qualifies, snapshots, tree_edges
+from rangeann.plans.kernel import OPEN, Counters, Edges, GrowingGraph, Scan, Shard, differing, grow, nearest_before, rng_prune, squared, static_graph, walk
+from rangeann.plans.methods import METHODS, Domain, Exact, Oriented, SharedTree, VersionedTree, cover_bound, edge_bound, label_changes, level_edges, qualifies, seen_edges, snapshots, tree_edges
 
 VALUES = range(1, 7)
 
@@ -418,3 +418,69 @@ def test_memory_of_a_shard_is_bounded(monkeypatch):
     assert peak < 64 << 20
     monkeypatch.setattr(kernel, "CANDIDATES", 10**6)
     assert (level_edges(s, d, 0, 16, 100) == edges).all()
+
+
+@pytest.mark.parametrize(("n", "different", "dims"), [(400, 8, 5), (300, 150, 16), (600, 20, 64)])
+def test_copies_of_vectors_are_linked_alike_by_both_builders(n, different, dims):
+    rng = np.random.default_rng(n)
+    x = rng.standard_normal((different, dims)).astype(np.float32).astype(float)[rng.integers(0, different, n)]
+    version = np.arange(n) // 3
+    g, at_once = (GrowingGraph(x, 6, 25, scan=True) for _ in range(2))
+    for r, near in enumerate(at_once.scans(np.arange(n), block=64)):
+        g.insert(r, int(version[r]))
+        at_once.insert_each([r], [int(version[r])], [near])
+    want = sorted(map(tuple, g.edges().tolist()))
+    assert sorted(map(tuple, at_once.edges().tolist())) == sorted(map(tuple, grow(x, version, np.array([0, n]), 6, 25).tolist())) == want
+
+
+@pytest.mark.parametrize(("most_exact", "block"), [(8192, 64), (0, 100)])
+def test_nearest_rows_are_by_distance_and_row(monkeypatch, most_exact, block):
+    from rangeann.plans import kernel
+
+    monkeypatch.setattr(kernel, "EXACT_ROWS", most_exact)  # 0: sought in single precision
+    rng = np.random.default_rng(1)
+    x = rng.standard_normal((500, 8)).astype(np.float32).astype(float)
+    x[rng.permutation(500)[:200]] = x[7]
+    x[100:130] = x[5] + 1e-7 * rng.standard_normal((30, 8))
+    want = [np.lexsort((np.arange(i), squared(x[:i], x[i])))[:12].tolist() for i in range(500)]
+    assert [[r for r in f if r >= 0] for _, found, _ in nearest_before(x, 12, block=block, chunk=128) for f in found.tolist()] == want
+    scan = Scan(x, 12)
+    assert [c.tolist() for a in range(0, 500, block) for c in scan.block(a, min(500, a + block), chunk=128)] == want
+
+
+def test_differing_counts_pairs_of_each_version():
+    rng = np.random.default_rng(3)
+    spans = [rng.integers(1, 15, (40, 4)) for _ in range(2)]
+    for e in spans:
+        e[:, :2] %= 4
+    e[:5, 3] = OPEN
+    rows = [np.column_stack([np.zeros(40, int), e]) for e in spans]
+    want = sum(len(set.symmetric_difference(*({(s, t) for _, s, t, b, e in r.tolist() if b <= v <= e} for r in rows))) for v in range(1, 13))
+    changes = [label_changes(r, 4, 12) for r in rows]
+    assert differing(*changes) == want > 0 == differing(changes[0], changes[0])
+
+
+@pytest.mark.parametrize("level", [0, 2, 5])
+def test_lists_are_seen_as_single_insertions_leave_them(monkeypatch, level):
+    """Rounds over all nodes, candidates in blocks; what is stated too much or too little counts at all versions it is so."""
+    s = main_shard(300, domain=60)
+    domain = Domain(s, "LU")
+    node, last = domain.node(level), len(domain.versions)
+    rows = level_edges(s, domain, level, 5, 20, 0)
+    live = [set() for _ in range(last + 1)]
+    for k in np.unique(node).tolist():
+        g, members = GrowingGraph(s.vectors, 5, 20, scan=True), np.flatnonzero(node == k)
+        for v in range(1, last + 1):
+            for r in members[domain.version[members] == v][np.argsort(s.ids[members[domain.version[members] == v]])].tolist():
+                g.insert(r, v)
+            live[v] |= set(g.live())
+    calls = []
+    with monkeypatch.context() as m:
+        m.setattr(GrowingGraph, "candidates", None)  # no scan an insertion
+        m.setattr(GrowingGraph, "trim", lambda self, *a, f=GrowingGraph.trim: calls.append(1) or f(self, *a))
+        seen = seen_edges(s, domain, level, 5, 20)
+    assert len(calls) == np.bincount(node).max()
+    for given in (rows, rows[::3], np.concatenate([rows, [[level, 0, 1, 2, OPEN]]]), np.concatenate([rows[:-9], rows[-9:] + [0, 0, 0, 1, 0]])):
+        want = sum(len(live[v] ^ {(a, b) for _, a, b, p, q in given.tolist() if p <= v <= q}) for v in range(1, last + 1))
+        assert differing(label_changes(given, len(s), last), seen) == want
+    assert differing(label_changes(rows, len(s), last), seen) == 0
